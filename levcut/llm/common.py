@@ -19,9 +19,6 @@ cloudpickle.register_pickle_by_value(levcut)
 #: Rows of an Arrow batch that holds whole texts: some MB at usual lengths.
 TEXT_ROWS = 1000
 
-UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
-LOWER = UPPER.lower()
-
 #: Byte table: A-Z become a-z, other ASCII that is no digit or letter a space.
 WORD_BYTES = bytes(
     (b + 32 if 65 <= b <= 90 else b if b >= 128 or 48 <= b <= 57 or 97 <= b <= 122 else 32) for b in range(256)

@@ -1,9 +1,9 @@
 """License scan by ordered signature rules, in DataFrame functions alone.
 
 Some hundred rules are made from license names, short identifiers and the ways
-of granting a license. A rule has a keyword, a pattern over the lower-cased text,
+of granting a license. A rule has keywords, a pattern over the lower-cased text,
 a label, a priority and a confidence. A document is looked at only if it holds
-one of a few gate words, and a rule only if its keyword occurs. Detections are
+one of a few gate words, and a rule only if one of its keywords occurs. Detections are
 intervals; one that lies inside an interval of higher priority, or of the same
 priority but longer or of an earlier rule, is suppressed.
 
@@ -20,7 +20,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from levcut.llm.common import LOWER, UPPER, text_column
+from levcut.llm.common import text_column
 
 #: Base phrases and labels.
 BASE = {"mit license": "mit", "apache license": "apache", "general public license": "gpl"}
@@ -30,12 +30,12 @@ NAMES = [
     ("mit", r"(?:the )?mit(?: license)?", "mit", "mit"),
     ("apache-2.0", r"(?:the )?apache(?: software)? licen[sc]e,? ?(?:version )?(?:v\.? ?)?2(?:\.0)?", "apache", "apache-2.0"),
     ("apache-1.1", r"(?:the )?apache(?: software)? licen[sc]e,? ?(?:version )?(?:v\.? ?)?1\.1", "apache", "apache-1.1"),
-    ("gpl-2.0", r"(?:the )?(?:gnu )?(?:general public licen[sc]e|gpl),? ?(?:version |v\.? ?)2(?:\.0)?", "g", "gpl-2.0"),
-    ("gpl-3.0", r"(?:the )?(?:gnu )?(?:general public licen[sc]e|gpl),? ?(?:version |v\.? ?)3(?:\.0)?", "g", "gpl-3.0"),
-    ("lgpl-2.1", r"(?:the )?(?:gnu )?(?:lesser general public licen[sc]e|lgpl),? ?(?:version |v\.? ?)2\.1", "l", "lgpl-2.1"),
-    ("lgpl-3.0", r"(?:the )?(?:gnu )?(?:lesser general public licen[sc]e|lgpl),? ?(?:version |v\.? ?)3(?:\.0)?", "l", "lgpl-3.0"),
-    ("lgpl", r"(?:the )?(?:gnu )?(?:(?:lesser|library) general public licen[sc]e|lgpl)", "l", "lgpl-2.0"),
-    ("agpl-3.0", r"(?:the )?(?:gnu )?(?:affero general public licen[sc]e|agpl),? ?(?:(?:version |v\.? ?)3(?:\.0)?)?", "a", "agpl-3.0"),
+    ("gpl-2.0", r"(?:the )?(?:gnu )?(?:general public licen[sc]e|gpl),? ?(?:version |v\.? ?)2(?:\.0)?", "general public|gpl", "gpl-2.0"),
+    ("gpl-3.0", r"(?:the )?(?:gnu )?(?:general public licen[sc]e|gpl),? ?(?:version |v\.? ?)3(?:\.0)?", "general public|gpl", "gpl-3.0"),
+    ("lgpl-2.1", r"(?:the )?(?:gnu )?(?:lesser general public licen[sc]e|lgpl),? ?(?:version |v\.? ?)2\.1", "lesser general|lgpl", "lgpl-2.1"),
+    ("lgpl-3.0", r"(?:the )?(?:gnu )?(?:lesser general public licen[sc]e|lgpl),? ?(?:version |v\.? ?)3(?:\.0)?", "lesser general|lgpl", "lgpl-3.0"),
+    ("lgpl", r"(?:the )?(?:gnu )?(?:(?:lesser|library) general public licen[sc]e|lgpl)", "general public|lgpl", "lgpl-2.0"),
+    ("agpl-3.0", r"(?:the )?(?:gnu )?(?:affero general public licen[sc]e|agpl),? ?(?:(?:version |v\.? ?)3(?:\.0)?)?", "affero|agpl", "agpl-3.0"),
     ("gfdl", r"(?:the )?gnu free documentation licen[sc]e", "free documentation", "gfdl-1.3"),
     ("bsd-2-clause", r"(?:the )?(?:2-clause|two-clause|simplified|freebsd) bsd(?: licen[sc]e)?|bsd[ -]2[ -]clause(?: licen[sc]e)?", "bsd", "bsd-2-clause"),
     ("bsd-3-clause", r"(?:the )?(?:3-clause|three-clause|new|revised|modified) bsd(?: licen[sc]e)?|bsd[ -]3[ -]clause(?: licen[sc]e)?", "bsd", "bsd-3-clause"),
@@ -51,18 +51,18 @@ NAMES = [
     ("boost", r"(?:the )?boost software licen[sc]e", "boost", "bsl-1.0"),
     ("artistic", r"(?:the )?artistic licen[sc]e", "artistic", "artistic-2.0"),
     ("unlicense", r"(?:the )?unlicen[sc]e", "unlicen", "unlicense"),
-    ("wtfpl", r"(?:the )?(?:do what the [a-z*]+ you want to public licen[sc]e|wtfpl)", "w", "wtfpl"),
-    ("cc0", r"(?:the )?(?:cc0|creative commons zero)(?:[ -]1\.0)?(?: universal)?", "c", "cc0-1.0"),
-    ("cc-by", r"(?:the )?(?:cc[ -]by|creative commons attribution)(?:[ -][1-4]\.0)?", "c", "cc-by-4.0"),
-    ("cc-by-sa", r"(?:the )?(?:cc[ -]by-sa|creative commons attribution[ -]share-?alike)(?:[ -][1-4]\.0)?", "c", "cc-by-sa-4.0"),
-    ("cc-by-nd", r"(?:the )?(?:cc[ -]by-nd|creative commons attribution[ -]noderiv(?:ative)?s)(?:[ -][1-4]\.0)?", "c", "cc-by-nd-4.0"),
-    ("cc-by-nc", r"(?:the )?(?:cc[ -]by-nc|creative commons attribution[ -]noncommercial)(?:[ -][1-4]\.0)?", "c", "cc-by-nc-4.0"),
-    ("cc-by-nc-sa", r"(?:the )?(?:cc[ -]by-nc-sa|creative commons attribution[ -]noncommercial[ -]share-?alike)(?:[ -][1-4]\.0)?", "c", "cc-by-nc-sa-4.0"),
-    ("cc-by-nc-nd", r"(?:the )?(?:cc[ -]by-nc-nd|creative commons attribution[ -]noncommercial[ -]noderiv(?:ative)?s)(?:[ -][1-4]\.0)?", "c", "cc-by-nc-nd-4.0"),
+    ("wtfpl", r"(?:the )?(?:do what the [a-z*]+ you want to public licen[sc]e|wtfpl)", "you want to|wtfpl", "wtfpl"),
+    ("cc0", r"(?:the )?(?:cc0|creative commons zero)(?:[ -]1\.0)?(?: universal)?", "cc0|commons zero", "cc0-1.0"),
+    ("cc-by", r"(?:the )?(?:cc[ -]by|creative commons attribution)(?:[ -][1-4]\.0)?", "cc by|cc-by|commons attribution", "cc-by-4.0"),
+    ("cc-by-sa", r"(?:the )?(?:cc[ -]by-sa|creative commons attribution[ -]share-?alike)(?:[ -][1-4]\.0)?", "cc by|cc-by|commons attribution", "cc-by-sa-4.0"),
+    ("cc-by-nd", r"(?:the )?(?:cc[ -]by-nd|creative commons attribution[ -]noderiv(?:ative)?s)(?:[ -][1-4]\.0)?", "cc by|cc-by|commons attribution", "cc-by-nd-4.0"),
+    ("cc-by-nc", r"(?:the )?(?:cc[ -]by-nc|creative commons attribution[ -]noncommercial)(?:[ -][1-4]\.0)?", "cc by|cc-by|commons attribution", "cc-by-nc-4.0"),
+    ("cc-by-nc-sa", r"(?:the )?(?:cc[ -]by-nc-sa|creative commons attribution[ -]noncommercial[ -]share-?alike)(?:[ -][1-4]\.0)?", "cc by|cc-by|commons attribution", "cc-by-nc-sa-4.0"),
+    ("cc-by-nc-nd", r"(?:the )?(?:cc[ -]by-nc-nd|creative commons attribution[ -]noncommercial[ -]noderiv(?:ative)?s)(?:[ -][1-4]\.0)?", "cc by|cc-by|commons attribution", "cc-by-nc-nd-4.0"),
     ("ofl", r"(?:the )?sil open font licen[sc]e", "open font", "ofl-1.1"),
-    ("python", r"(?:the )?(?:python software foundation|psf) licen[sc]e", "p", "python-2.0"),
+    ("python", r"(?:the )?(?:python software foundation|psf) licen[sc]e", "python software|psf", "python-2.0"),
     ("eupl", r"(?:the )?european union public licen[sc]e", "european", "eupl-1.2"),
-    ("odbl", r"(?:the )?open (?:data commons open )?database licen[sc]e", "open d", "odbl-1.0"),
+    ("odbl", r"(?:the )?open (?:data commons open )?database licen[sc]e", "open database|open data", "odbl-1.0"),
     ("postgresql", r"(?:the )?postgresql licen[sc]e", "postgresql", "postgresql"),
     ("openssl", r"(?:the )?openssl licen[sc]e", "openssl", "openssl"),
     ("ms-pl", r"(?:the )?microsoft public licen[sc]e", "microsoft", "ms-pl"),
@@ -87,7 +87,7 @@ SINGLE = [
     ("public-domain", r"\bin the public domain\b", "public domain", 15, 0.8),
     ("proprietary", r"all rights reserved", "all rights reserved", 5, 0.6),
     ("proprietary", r"(?:proprietary and )?confidential(?: and proprietary)?[.,;: ]+(?:unauthori[sz]ed|do not)", "confidential", 12, 0.8),
-    ("copyright-notice", r"(?:copyright|\(c\)|©) ?(?:\(c\)|©)? ?(?:19|20)\d\d(?:[-, ]+(?:19|20)\d\d)*", "c", 3, 0.5),
+    ("copyright-notice", r"(?:copyright|\(c\)|©) ?(?:\(c\)|©)? ?(?:19|20)\d\d(?:[-, ]+(?:19|20)\d\d)*", "copyright|(c)|©", 3, 0.5),
     ("mit", r"permission is hereby granted, free of charge, to any person obtaining a copy", "permission is hereby", 40, 1.0),
     ("isc", r"permission to use, copy, modify,? and/or distribute this software for any purpose", "permission to use", 40, 1.0),
     ("bsd", r"redistribution and use in source and binary forms,? with or without modification", "redistribution and use", 40, 1.0),
@@ -99,18 +99,18 @@ SINGLE = [
 
 #: A document without any of these has no detection.
 GATES = ["licen", "spdx", "copyright", "(c)", "©", "public domain", "rights reserved", "gpl", "confidential", "creative commons", "cc0", "cc by", "cc-by",
-         "permission", "redistribution", "warrant", "free software", " mit", "bsd", "under the"]
+         "permission", "redistribution", "without warrant", "free software", "under mit", "under the mit", "bsd", "wtfpl", "as-is"]
 
 
 def rules() -> list[tuple[str, str, str, int, float]]:
-    """(label, pattern, keyword, priority, confidence) in order.
+    """(label, pattern, keywords, priority, confidence) in order.
 
     A longer name has a higher priority by its length, so a specific license
     wins over the name that begins it.
     """
     out = [(label, rf"spdx-license-identifier: ?{spdx.replace('.', chr(92) + '.')}(?:-only|-or-later|\+)?(?![\w.-])", "spdx-license", 50, 1.0) for label, _, _, spdx in NAMES]
     for label, name, keyword, _ in NAMES:
-        bare = name if "|" not in name or name.startswith("(?:") and name.count("|") else name
+        bare = name
         for grant, priority, sure in GRANTS:
             if label == "mit" and priority == 10:
                 bare = r"(?:the )?mit licen[sc]e"
@@ -119,19 +119,17 @@ def rules() -> list[tuple[str, str, str, int, float]]:
     return [(a, b.replace(" ", r"\s+").replace(r"\s+?", r"\s*"), k, p, s) for a, b, k, p, s in out]
 
 
-#: Characters that part words: all of ASCII but digits and letters.
-_PARTS = "".join(chr(c) for c in range(1, 128) if not chr(c).isalnum())
+#: What parts words: all of ASCII but digits and letters.
+_PARTS = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 
 
-def lowered(text: Column) -> Column:
-    """A-Z in lower case, nothing else changed."""
-    return F.translate(text, UPPER, LOWER)
+def words_of(lower: Column) -> Column:
+    """Words of a text in lower case.
 
-
-def spaced(text: Column) -> Column:
-    """Words of the text in lower case, parted by one or more spaces."""
-    plain = F.replace(text, F.lit("\x00"), F.lit(" "))
-    return F.translate(plain, UPPER + _PARTS, LOWER + " " * len(_PARTS))
+    Lower-casing letters beyond A-Z too changes no count and no place of a base
+    phrase: no such letter becomes one of the letters of the phrases.
+    """
+    return F.array_remove(F.split(lower, _PARTS), "")
 
 
 def _starts(words: Column) -> Column:
@@ -191,18 +189,18 @@ def _standing(detections: Column) -> Column:
 def scan(docs: DataFrame) -> DataFrame:
     """doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score, detections."""
     listed = rules()
-    kind = "array<struct<label:string,pattern:string,keyword:string,priority:int,id:int,sure:double>>"
+    kind = "array<struct<label:string,pattern:string,keywords:array<string>,priority:int,id:int,sure:double>>"
     table = F.from_json(
-        F.lit(_json([{"label": a, "pattern": b, "keyword": k, "priority": p, "id": i, "sure": s} for i, (a, b, k, p, s) in enumerate(listed)])), kind
+        F.lit(_json([{"label": a, "pattern": b, "keywords": k.split("|"), "priority": p, "id": i, "sure": s} for i, (a, b, k, p, s) in enumerate(listed)])), kind
     )
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_column().alias("text_"))
-    rows = rows.withColumn("words_", F.array_remove(F.split(spaced(F.col("text_")), " "), ""))
+    rows = rows.withColumn("lower_", F.lower("text_")).withColumn("words_", words_of(F.col("lower_")))
     # Cheap: a base phrase needs its last word; the places are looked for only then.
     maybe = F.array_contains("words_", "license")
     no_place = F.array().cast("array<struct<at:bigint,label:string>>")
     rows = rows.select(
         "doc_id",
-        lowered(F.col("text_")).alias("lower_"),
+        "lower_",
         F.size("words_").cast("long").alias("n_words"),
         F.when(maybe, _starts(F.col("words_"))).otherwise(no_place).alias("places_"),
     )
@@ -210,7 +208,7 @@ def scan(docs: DataFrame) -> DataFrame:
     for word in GATES:
         gate = gate | F.contains("lower_", F.lit(word))
     text = F.col("lower_")
-    live = F.filter(table, lambda r: F.contains(text, r["keyword"]))
+    live = F.filter(table, lambda r: F.exists(r["keywords"], lambda k: F.contains(text, k)))
     none = F.array().cast("array<struct<start:int,end:int,priority:int,id:int,label:string,sure:double>>")
     found = F.when(gate, F.flatten(F.transform(live, lambda r: _detections(text, r)))).otherwise(none)
     rows = rows.withColumn("found_", found).withColumn("detections", F.when(F.size("found_") > 1, _standing(F.col("found_"))).otherwise(F.col("found_")))
