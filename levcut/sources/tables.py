@@ -90,9 +90,10 @@ def embedding_matrix(spark: SparkSession, d: str) -> DataFrame:
 
 
 def pairs(df: DataFrame, left, right, weight=None) -> DataFrame:
-    """Bipartite edges: left ids become even, right ids odd."""
+    """Bipartite edges: left ids become even, right ids odd; src < dst."""
     w = F.count("*").cast("double") if weight is None else F.sum(weight).cast("double")
-    return df.groupBy((left * 2).alias("src"), (right * 2 + 1).alias("dst")).agg(w.alias("w"))
+    a, b = left * 2, right * 2 + 1
+    return df.groupBy(F.least(a, b).alias("src"), F.greatest(a, b).alias("dst")).agg(w.alias("w"))
 
 
 def g_order_part(spark: SparkSession, d: str, days: int | None = None) -> DataFrame:
