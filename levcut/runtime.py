@@ -26,7 +26,7 @@ def checkpoint_folder(spark) -> str:
     """spark.checkpoint.dir, or a folder of our own where none is set (tests)."""
     context = spark.sparkContext
     if context.getCheckpointDir() is None:
-        context.setCheckpointDir(context.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="levcut-"))
+        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="levcut-"))
     return context.getCheckpointDir()
 
 
