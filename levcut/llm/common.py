@@ -2,19 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
-from pyspark import cloudpickle
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-import levcut
-
-# Functions of this package travel to the executors inside the task, so the
-# executors need no installed copy of it.
-cloudpickle.register_pickle_by_value(levcut)
+from levcut.runtime import checkpoint_folder, cut_lineage  # noqa: F401
 
 #: Rows of an Arrow batch that holds whole texts: some MB at usual lengths.
 TEXT_ROWS = 1000
@@ -40,16 +34,3 @@ def map_arrow(df: DataFrame, function: Callable[[Iterator[pa.RecordBatch]], Iter
     """mapInArrow with batches small enough for whole texts."""
     df.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(TEXT_ROWS))
     return df.mapInArrow(function, schema)
-
-
-def cut_lineage(df: DataFrame) -> DataFrame:
-    """A reliable checkpoint in the shared folder of the session.
-
-    The folder is spark.checkpoint.dir; only where neither that setting nor a
-    checkpoint directory is there (tests), a folder of our own is set.
-    """
-    spark = df.sparkSession
-    context = spark.sparkContext
-    if context.getCheckpointDir() is None:
-        context.setCheckpointDir(context.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="levcut-"))
-    return df.checkpoint(eager=True)

@@ -146,7 +146,7 @@ def fit(rows: list[tuple[bytes, int]], share: float, epochs: int = 14, least_ste
         0.0,
     )
     labels = np.array([y for _, y in rows], np.float32)
-    ones = float(labels.mean()) if len(labels) else 0.5
+    ones = float(labels.mean()) if len(labels) else 0.0
     if not 0 < ones < 1:
         net.out[:] = 0
         net.shift = float(np.log((share + 1e-3) / (1 - share + 1e-3)))
