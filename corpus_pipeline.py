@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 from levcut.llm import decontaminate, mixing, quality, shards, simhash
-from levcut.llm.common import table
+from levcut.llm.common import checkpoint_folder, table
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
@@ -49,11 +49,7 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     The written tables stand in the shared checkpoint folder of the session.
     """
-    import tempfile
-
-    context = spark.sparkContext
-    shared = context.getCheckpointDir() or context.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="levcut-")
-    base = f"{shared.rstrip('/')}/pipeline-{uuid.uuid4().hex}"
+    base = f"{checkpoint_folder(spark).rstrip('/')}/pipeline-{uuid.uuid4().hex}"
     docs = table(spark, sf_dir, "documents")
     for name, stage in STAGES:
         stage(spark, docs, sf_dir).write.parquet(f"{base}/{name}")
