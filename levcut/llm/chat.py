@@ -37,40 +37,38 @@ def _plain(column: Column) -> Column:
 
 def rotate(turns: DataFrame) -> DataFrame:
     """conv_id, perspective, turn, speaker, segment, start_char, end_char, mask_start, mask_end, trained."""
+    speaker = _plain(F.coalesce(F.col("role").cast("string"), F.lit("unknown")))
+    user = lambda name: F.concat(F.lit("<|user name="), name, F.lit("|>\n"))
     rows = turns.select(
         "conv_id",
+        F.coalesce(F.concat(F.lit("c"), F.col("conv_id").cast("string")), F.lit("")).alias("key"),
         F.col("turn").cast("long").alias("turn"),
-        _plain(F.coalesce(F.col("role").cast("string"), F.lit("unknown"))).alias("speaker"),
+        speaker.alias("speaker"),
         _plain(text_column()).alias("said"),
+        F.floor(F.coalesce(F.col("turn").cast("long"), F.lit(0)) / BLOCK_TURNS).alias("block"),
     )
-    cast = rows.select(F.col("conv_id").alias("conv_"), F.col("speaker").alias("perspective")).distinct()
+    # Offsets of blocks come from sums by speaker: as a user each turn has one
+    # length, and its own speaker's perspective changes that by a constant.
+    as_user = F.length(user(F.col("speaker"))) + F.length("said") + len(END)
+    sums = rows.groupBy("key", "block", "speaker").agg(F.sum(as_user).alias("chars"), F.count("*").alias("n"))
+    cast = sums.select("key", F.col("speaker").alias("perspective")).distinct()
+    blocks = sums.groupBy("key", "block").agg(F.sum("chars").alias("chars"))
+    own_turns = sums.select("key", "block", F.col("speaker").alias("perspective"), "n")
+    grid = blocks.join(cast, "key").join(own_turns, ["key", "block", "perspective"], "left")
+    total = F.col("chars") + F.coalesce("n", F.lit(0)) * (len(ASSISTANT) - F.length(user(F.col("perspective"))))
+    before = Window.partitionBy("key", "perspective").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
+    offsets = grid.select("key", "block", "perspective", F.coalesce(F.sum(total).over(before), F.lit(0)).alias("offset"))
+    # The turns themselves move once, by conversation and block, which also suits the window.
     own = F.col("speaker") == F.col("perspective")
-    head = F.when(own, F.lit(ASSISTANT)).otherwise(F.concat(F.lit("<|user name="), F.col("speaker"), F.lit("|>\n")))
     full = (
-        rows.join(cast, F.col("conv_id").eqNullSafe(F.col("conv_")))
-        .drop("conv_")
-        .withColumns({"own": own, "head": F.length(head).cast("long"), "segment": F.concat(head, F.col("said"), F.lit(END))})
-        .withColumn("chars", F.length("segment").cast("long"))
-        .withColumn("block", F.floor(F.coalesce("turn", F.lit(0)) / BLOCK_TURNS))
+        rows.join(offsets, ["key", "block"])
+        .withColumns({"own": own, "head": F.when(own, F.lit(ASSISTANT)).otherwise(user(F.col("speaker")))})
+        .withColumn("segment", F.concat("head", "said", F.lit(END)))
+        .withColumns({"chars": F.length("segment").cast("long"), "head": F.length("head").cast("long")})
     )
-    key = ["conv_id", "perspective"]
-    before = Window.partitionBy(*key).orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = (
-        full.groupBy(*key, "block")
-        .agg(F.sum("chars").alias("n"))
-        .select(
-            F.col("conv_id").alias("conv_"),
-            F.col("perspective").alias("view_"),
-            F.col("block").alias("block_"),
-            F.coalesce(F.sum("n").over(before), F.lit(0)).alias("offset"),
-        )
-    )
-    inside = Window.partitionBy(*key, "block").orderBy(F.col("turn").asc_nulls_first(), "speaker", "said")
+    inside = Window.partitionBy("key", "block", "perspective").orderBy(F.col("turn").asc_nulls_first(), "speaker", "said")
     start = F.col("offset") + F.coalesce(F.sum("chars").over(inside.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    placed = full.join(
-        offsets,
-        F.col("conv_id").eqNullSafe(F.col("conv_")) & (F.col("perspective") == F.col("view_")) & (F.col("block") == F.col("block_")),
-    ).withColumn("start_char", start)
+    placed = full.withColumn("start_char", start)
     return placed.select(
         "conv_id",
         "perspective",
