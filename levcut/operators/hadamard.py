@@ -24,10 +24,10 @@ def sampled_rows(df: DataFrame, names: Sequence[str], index: str, rows: Sequence
     """
     chosen = F.explode(F.array(*[F.lit(int(i)).cast("long") for i in rows]))
     sign = F.when(u01(index, seed) < 0.5, -1.0).otherwise(1.0)
-    flip = F.when(F.bit_count(F.col("i").bitwiseAND(F.col(index))) % 2 == 1, -1.0).otherwise(1.0)
-    spread = df.select(chosen.alias("i"), F.col(index), sign.alias("sign_"), *names)
+    flip = F.when(F.bit_count(F.col("to_").bitwiseAND(F.col("at_"))) % 2 == 1, -1.0).otherwise(1.0)
+    spread = df.select(chosen.alias("to_"), F.col(index).alias("at_"), sign.alias("sign_"), *names)
     scale = 1.0 / np.sqrt(size)
-    return spread.groupBy("i").agg(*[F.sum(F.col(c) * F.col("sign_") * flip * F.lit(scale)).alias(c) for c in names])
+    return spread.groupBy(F.col("to_").alias("i")).agg(*[F.sum(F.col(c) * F.col("sign_") * flip * F.lit(scale)).alias(c) for c in names])
 
 
 def transform(df: DataFrame, names: Sequence[str], index: str, size: int, seed: int) -> DataFrame:
@@ -78,7 +78,7 @@ def fast(df: DataFrame, y: str, xs: Sequence[str], index: str, m: int, r: int, s
 def project(df: DataFrame, names: Sequence[str], key: str, r: int, kind: str, seed: int) -> DataFrame:
     """r random combinations of all rows: signs, or sums of twelve uniforms as normals."""
     i = F.explode(F.sequence(F.lit(0), F.lit(r - 1)))
-    mark = F.concat_ws("-", F.col("i"), F.col(key))
+    mark = F.concat_ws("-", F.col("to_"), F.col("at_"))
     if kind == "sign":
         entry = F.when(u01(mark, seed) < 0.5, -1.0).otherwise(1.0)
     elif kind == "gauss":
@@ -87,8 +87,8 @@ def project(df: DataFrame, names: Sequence[str], key: str, r: int, kind: str, se
             entry = entry + u01(mark, seed * 100 + t)
     else:
         raise ValueError(kind)
-    spread = df.select(i.alias("i"), F.col(key), *names)
-    return spread.groupBy("i").agg(*[F.sum(F.col(c) * entry / F.lit(float(np.sqrt(r)))).alias(c) for c in names])
+    spread = df.select(i.alias("to_"), F.col(key).alias("at_"), *names)
+    return spread.groupBy(F.col("to_").alias("i")).agg(*[F.sum(F.col(c) * entry / F.lit(float(np.sqrt(r)))).alias(c) for c in names])
 
 
 def uniformity(df: DataFrame, xs: Sequence[str]) -> float:
