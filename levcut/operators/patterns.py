@@ -40,7 +40,7 @@ def timed_rule(events: DataFrame, first: str, second: str, low: int, high: int)
     band = events.filter(F.hour("ts").between(low, high - 1))
     users = band.groupBy("user_id").agg(F.max((F.col("event_type") == first).cast("int")).alias("a"), F.max((F.col("event_type") == second).cast("int")).alias("b"))
     return users.agg(
-        F.sum("a").alias("with_first"), F.sum(F.col("a") * F.col("b")).alias("with_both"), (F.sum(F.col("a") * F.col("b")) / F.sum("a")).alias("confidence")
+        F.sum("a").alias("with_first"), F.sum(F.col("a") * F.col("b")).alias("with_both"), F.try_divide(F.sum(F.col("a") * F.col("b")), F.sum("a")).alias("confidence")
     )
 
 

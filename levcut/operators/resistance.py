@@ -86,7 +86,12 @@ def check(edges: DataFrame, scores: DataFrame) -> DataFrame:
 
 
 def correlates(edges: DataFrame, scores: DataFrame) -> DataFrame:
-    """Correlation of edge leverage with the product and the sum of end degrees."""
+    """Correlation of edge leverage with the product and the sum of end degrees; null where either is constant."""
     d = graph.degrees(edges).select("node", "deg")
     rows = scores.join(d.select(F.col("node").alias("src"), F.col("deg").alias("d1")), "src").join(d.select(F.col("node").alias("dst"), F.col("deg").alias("d2")), "dst")
-    return rows.agg(F.corr("leverage", F.col("d1") * F.col("d2")).alias("with_product"), F.corr("leverage", F.col("d1") + F.col("d2")).alias("with_sum"))
+
+    def corr(x, y):
+        return F.try_divide(F.covar_pop(x, y), F.stddev_pop(x) * F.stddev_pop(y))
+
+    h, product, total = F.col("leverage"), (F.col("d1") * F.col("d2")).cast("double"), (F.col("d1") + F.col("d2")).cast("double")
+    return rows.agg(corr(h, product).alias("with_product"), corr(h, total).alias("with_sum"))
