@@ -261,6 +261,32 @@ def multilevel_bisection(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame([(int(g.ids[i]), int(i in side)) for i in range(g.n)], "node long, part int")
 
 
+@query()
+def kway_partition(spark: SparkSession, d: str) -> DataFrame:
+    g = small.SmallGraph.of(graph.giant(_sparse(spark, d)))
+    return spark.createDataFrame([(int(g.ids[i]), p) for i, p in enumerate(small.kway(g, 8))], "node long, part int")
+
+
+@query()
+def spectral_improvement(spark: SparkSession, d: str) -> DataFrame:
+    g = small.SmallGraph.of(graph.build(t.g_segment_priority(spark, d), "src", "dst", "w"))
+    rows = []
+    for i in range(g.n - 1):
+        phi, side = small.spectral_improve(g, [i, i + 1])
+        rows.append((i, float(g.phi([i, i + 1])), float(phi), len(side)))
+    return spark.createDataFrame(rows, "start int, phi double, improved_phi double, size int")
+
+
+@query()
+def edge_betweenness(spark: SparkSession, d: str) -> DataFrame:
+    """Betweenness beside leverage on the sparse graph, from 64 sources by id."""
+    e = graph.giant(_sparse(spark, d)).cache()
+    g = small.SmallGraph.of(e)
+    found = small.betweenness(g, range(0, g.n, max(1, g.n // 64)))
+    rows = spark.createDataFrame([(int(g.ids[i]), int(g.ids[j]), float(b)) for (i, j), b in found.items()], "src long, dst long, betweenness double")
+    return rows.join(resistance.exact(e), ["src", "dst"])
+
+
 @query()
 def cut_bounds_and_methods(spark: SparkSession, d: str) -> DataFrame:
     g = small.SmallGraph.of(graph.build(t.g_segment_priority(spark, d), "src", "dst", "w"))

@@ -132,6 +132,16 @@ def test_bounds_hold():
     assert small.sdp_bound(g, 0.25) <= min(g.cut(set(s)) for s in even) + 1e-6
 
 
+def test_improvement_partition_betweenness():
+    g = small.SmallGraph(EDGES)
+    start = [g.ids.index(n) for n in (1, 2, 3, 4, 8)]
+    assert small.spectral_improve(g, start)[0] <= g.phi(start)
+    parts = small.kway(g, 4)
+    assert set(parts) == {0, 1, 2, 3}
+    path = small.SmallGraph([(i, i + 1, 1) for i in range(4)])
+    assert [small.betweenness(path)[i, i + 1] for i in range(4)] == [8.0, 12.0, 12.0, 8.0]
+
+
 def test_components_distances_cores(spark):
     edges = models.path(spark, 60).unionByName(models.ring(spark, 8).select((F.col("src") + 100).alias("src"), (F.col("dst") + 100).alias("dst"), "w"))
     assert {(r["component"], r["count"]) for r in graph.components(edges).groupBy("component").count().collect()} == {(0, 60), (100, 8)}
