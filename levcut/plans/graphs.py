@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from levcut.functions.portable import r6, u01_sql
-from levcut.operators import graph, local, models, probes, resistance, small, spectral
+from levcut.operators import graph, local, models, multilevel, probes, resistance, small, spectral
 from levcut.sources import tables as t
 
 QUERIES: dict = {}
@@ -261,6 +261,23 @@ def multilevel_bisection(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame([(int(g.ids[i]), int(i in side)) for i in range(g.n)], "node long, part int")
 
 
+@query()
+def multilevel_bisection_distributed(spark: SparkSession, d: str) -> DataFrame:
+    """All orders and parts; only the coarsest 500 nodes are split on the driver."""
+    e = graph.giant(t.g_order_part(spark, d)).cache()
+    return multilevel.summary(e, multilevel.bisect(e, 500).withColumnRenamed("side", "part"))
+
+
+@query()
+def multilevel_refinement(spark: SparkSession, d: str) -> DataFrame:
+    """Local improvement alone, from a split by a hash: cut before and after."""
+    e = graph.giant(_sparse(spark, d)).cache()
+    start = multilevel.volumes(e).select("node", F.pmod(F.xxhash64("node"), F.lit(2)).cast("int").alias("side"))
+    after = multilevel.refine(e, multilevel.volumes(e), start)
+    both = [multilevel.summary(e, s.withColumnRenamed("side", "part")).withColumn("step", F.lit(n)) for n, s in (("before", start), ("after", after))]
+    return both[0].unionByName(both[1])
+
+
 @query()
 def kway_partition(spark: SparkSession, d: str) -> DataFrame:
     g = small.SmallGraph.of(graph.giant(_sparse(spark, d)))

@@ -7,7 +7,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from levcut.operators import graph, local, models, probes, resistance, small, spectral
+from levcut.operators import graph, local, models, multilevel, probes, resistance, small, spectral
 
 #: A public club network of 34 nodes, larger neighbours only.
 CLUB = {
@@ -160,3 +160,37 @@ def test_models_and_profiles(spark):
     assert curve[2.0] > curve[16.0] > curve[64.0]
     for make in (models.copying(spark, 200), models.forest_fire(spark, 100), models.geometric(spark, 200, 0.1), models.power_law(spark, 200, 4, 2.5), models.core_periphery(spark, 50, 20), models.hierarchical(spark, 4)):
         assert make.filter("src >= dst").count() == 0 and make.count() > 0
+
+
+def test_matching_pairs_neighbours_and_leaves(spark):
+    star = spark.createDataFrame([(0, i, 1.0) for i in range(1, 10)], "src long, dst long, w double")
+    parents = {r["node"]: r["parent"] for r in multilevel.match(star, multilevel.volumes(star)).collect()}
+    assert set(parents) == set(range(10))
+    sizes = sorted(sum(p == q for p in parents.values()) for q in set(parents.values()))
+    assert sizes == [2, 2, 2, 2, 2]
+    coarse, mass = multilevel.contract(star, multilevel.volumes(star), spark.createDataFrame(list(parents.items()), "node long, parent long"))
+    assert mass.agg(F.sum("mass")).first()[0] == 18.0
+    assert coarse.agg(F.sum("w")).first()[0] == 8.0
+
+
+def test_multilevel_on_a_graph_over_the_limit(spark):
+    rng = random.Random(5)
+    blocks = {(min(a, b), max(a, b)) for k in (0, 100) for _ in range(500) for a, b in [(k + rng.randrange(100), k + rng.randrange(100))] if a != b}
+    rows = [(a, b, 1.0) for a, b in sorted(blocks)] + [(i, 100 + i, 1.0) for i in range(4)]
+    e = spark.createDataFrame(rows, "src long, dst long, w double").cache()
+    sides = multilevel.bisect(e, coarsest=30)
+    assert sides.count() == small.SmallGraph(rows).n
+    assert {r["cut"] for r in multilevel.summary(e, sides.withColumnRenamed("side", "part")).collect()} == {4.0}
+    parts = multilevel.kway(e, 4, coarsest=30)
+    assert parts.select("part").distinct().count() == 4 and parts.count() == sides.count()
+
+
+def test_refinement_never_raises_the_cut_and_keeps_balance(spark, club):
+    g = small.SmallGraph(EDGES)
+    masses = multilevel.volumes(club)
+    start = masses.select("node", (F.col("node") % 2).cast("int").alias("side"))
+    before = g.cut({g.ids.index(r["node"]) for r in start.filter("side = 1").collect()})
+    for rounds in (1, 3):
+        after = {g.ids.index(r["node"]) for r in multilevel.refine(club, masses, start, 0.3, rounds).filter("side = 1").collect()}
+        assert g.cut(after) < before
+        assert 0.3 * g.volume <= g.degree[list(after)].sum() <= 0.7 * g.volume
