@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Iterator, Sequence
 from dataclasses import dataclass
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -56,26 +58,48 @@ def gram(a: DataFrame, most: int = GRAM_COLUMNS) -> tuple[list, np.ndarray]:
     return ids, g
 
 
+def _block(batch: pa.RecordBatch, columns: Sequence[str]) -> np.ndarray:
+    """The wide columns of a batch as a matrix; nulls count as zero."""
+    out = np.zeros((batch.num_rows, len(columns)))
+    for i, c in enumerate(columns):
+        out[:, i] = pc.fill_null(batch.column(batch.schema.get_field_index(c)), 0.0).to_numpy(zero_copy_only=False)
+    return out
+
+
 def rotate(factor: DataFrame, key: str, old: Sequence[str], matrix: np.ndarray, new: Sequence[str]) -> DataFrame:
-    """factor times matrix, as expressions over its wide columns."""
+    """factor times matrix, in Arrow batches.
+
+    As expressions, l x l literals that differ each round would be compiled anew
+    each round, which costs more than the product.
+    """
+    kind = factor.schema[key].dataType.simpleString()
+    old, matrix = list(old), np.asarray(matrix, dtype=float)
 
-    def entry(j: int) -> Column:
-        out = F.lit(0.0)
-        for i, c in enumerate(old):
-            out = out + F.col(c) * F.lit(float(matrix[i, j]))
-        return out
+    def times(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out = _block(batch, old) @ matrix
+            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(out[:, j]) for j in range(out.shape[1]))], names=[key, *new])
 
-    return factor.select(key, *[entry(j).alias(c) for j, c in enumerate(new)])
+    return factor.select(key, *old).mapInArrow(times, f"`{key}` {kind}" + "".join(f", {c} double" for c in new))
 
 
 def inner(factor: DataFrame, columns: Sequence[str]) -> np.ndarray:
-    """The l x l matrix of products of columns: one aggregate row."""
-    pairs = [(i, j) for i in range(len(columns)) for j in range(i, len(columns))]
-    row = factor.agg(*[F.sum(F.col(columns[i]) * F.col(columns[j])).alias(f"s{i}_{j}") for i, j in pairs]).first()
-    out = np.zeros((len(columns), len(columns)))
-    for i, j in pairs:
-        out[i, j] = out[j, i] = row[f"s{i}_{j}"] or 0.0
-    return out
+    """The l x l matrix of products of columns: a partial matrix a partition, then sums by entry."""
+    columns = list(columns)
+    l = len(columns)
+
+    def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        g = np.zeros((l, l))
+        for batch in batches:
+            m = _block(batch, columns)
+            g += m.T @ m
+        at = np.indices((l, l)).reshape(2, -1)
+        yield pa.RecordBatch.from_arrays([pa.array(at[0], pa.int32()), pa.array(at[1], pa.int32()), pa.array(g.ravel())], names=["i", "j", "s"])
+
+    out = np.zeros((l, l))
+    for r in factor.select(*columns).mapInArrow(partial, "i int, j int, s double").groupBy("i", "j").agg(F.sum("s").alias("s")).collect():
+        out[r["i"], r["j"]] = r["s"]
+    return (out + out.T) / 2
 
 
 def orthonormal(factor: DataFrame, key: str, columns: Sequence[str]) -> DataFrame:
@@ -122,13 +146,15 @@ def topk(a: DataFrame, k: int, method: str = "auto", oversample: int = 8, power:
         rows = [(c, *map(float, v[i])) for i, c in enumerate(ids)]
         frame = spark.createDataFrame(rows, f"col_id {kind}" + "".join(f", {c} double" for c in names(len(order))))
         return Svd(frame, np.sqrt(values[order]), total)
+    # Every round reads the matrix twice: derive it (tokens, joins) only once.
+    a = cut_lineage(a.select("row_id", "col_id", "value"))
     q = start_block(a, k + oversample, seed)
     for _ in range(power):
         cols = [c for c in q.columns if c != "col_id"]
         u = orthonormal(cut_lineage(multiply(a, q, "col_id", "row_id", cols, "y")), "row_id", names(len(cols), "y"))
         cols = [c for c in u.columns if c != "row_id"]
         z = cut_lineage(multiply(a, u, "row_id", "col_id", cols, "z"))
-        q = cut_lineage(orthonormal(z, "col_id", names(len(cols), "z")))
+        q = orthonormal(z, "col_id", names(len(cols), "z"))
     cols = [c for c in q.columns if c != "col_id"]
     values, vectors = np.linalg.eigh(inner(multiply(a, q, "col_id", "row_id", cols, "y"), names(len(cols), "y")))
     order = [i for i in np.argsort(-values)[:k] if values[i] > values.max() * 1e-12]

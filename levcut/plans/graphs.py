@@ -60,14 +60,30 @@ def graph_bfs(spark: SparkSession, d: str) -> DataFrame:
     return graph.bfs(e, graph.degrees(e).agg(F.min("node").alias("node")), 6)
 
 
-@query()
+def _peel_sql(k: int, rounds: int) -> str:
+    """Rounds of peeling, one CTE each; rounds past the fixpoint change nothing."""
+    steps = "".join(
+        f""",
+n{i} AS MATERIALIZED (SELECT node FROM (SELECT src AS node FROM p{i} UNION ALL SELECT dst FROM p{i}) GROUP BY node HAVING count(*) >= {k}),
+p{i + 1} AS MATERIALIZED (SELECT src, dst, w FROM p{i} WHERE src IN (SELECT node FROM n{i}) AND dst IN (SELECT node FROM n{i}))"""
+        for i in range(rounds)
+    )
+    return f"WITH {_OP}, p0 AS MATERIALIZED (SELECT * FROM e){steps} SELECT src, dst, w FROM p{rounds}"
+
+
+@query(_peel_sql(2, 30))
 def graph_two_core(spark: SparkSession, d: str) -> DataFrame:
     return graph.peel(_sparse(spark, d), 2)
 
 
-@query()
+@query("""WITH b AS (SELECT DISTINCT doc_id, unnest(regexp_extract_all(lower(text), '([a-z]+)', 1)) AS term FROM documents),
+g AS (SELECT count(*) AS deg FROM b GROUP BY doc_id UNION ALL SELECT count(*) FROM b GROUP BY term)
+SELECT count(*) AS nodes, round(avg(deg), 6) AS mean, round(var_pop(deg), 6) AS variance, round(var_pop(deg) / avg(deg), 6) AS dispersion,
+       round(1 + sum((deg >= 2)::INT) / sum(CASE WHEN deg >= 2 THEN ln(deg / 1.5) END), 6) AS exponent
+FROM g""")
 def graph_degree_tail(spark: SparkSession, d: str) -> DataFrame:
-    return graph.degree_tail(t.g_doc_term(spark, d))
+    tail = graph.degree_tail(t.g_doc_term(spark, d))
+    return tail.select("nodes", *[r6(F.col(c)).alias(c) for c in tail.columns[1:]])
 
 
 @query(f"""WITH {_BIDS}, {_BOTH},
