@@ -320,6 +320,14 @@ def edge_betweenness(spark: SparkSession, d: str) -> DataFrame:
     return rows.join(resistance.exact(e), ["src", "dst"])
 
 
+@query()
+def edge_betweenness_distributed(spark: SparkSession, d: str) -> DataFrame:
+    """All orders and parts, from 16 sources by hash."""
+    e = graph.giant(t.g_order_part(spark, d)).cache()
+    sources = graph.degrees(e).select("node").orderBy(F.xxhash64("node"), "node").limit(16)
+    return graph.betweenness(e, sources).select("src", "dst", r6(F.col("betweenness")).alias("betweenness"))
+
+
 @query()
 def cut_bounds_and_methods(spark: SparkSession, d: str) -> DataFrame:
     g = small.SmallGraph.of(graph.build(t.g_segment_priority(spark, d), "src", "dst", "w"))

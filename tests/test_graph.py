@@ -194,3 +194,12 @@ def test_refinement_never_raises_the_cut_and_keeps_balance(spark, club):
         after = {g.ids.index(r["node"]) for r in multilevel.refine(club, masses, start, 0.3, rounds).filter("side = 1").collect()}
         assert g.cut(after) < before
         assert 0.3 * g.volume <= g.degree[list(after)].sum() <= 0.7 * g.volume
+
+
+def test_distributed_betweenness(spark, club):
+    g = small.SmallGraph(EDGES)
+    for sources in ([1, 17, 34], g.ids):
+        expected = {(g.ids[i], g.ids[j]): b for (i, j), b in small.betweenness(g, [g.ids.index(x) for x in sources]).items()}
+        rows = graph.betweenness(club, spark.createDataFrame([(x,) for x in sources], "node long")).collect()
+        assert len(rows) == len(expected)
+        assert all(abs(r["betweenness"] - expected[r["src"], r["dst"]]) < 1e-9 for r in rows)
