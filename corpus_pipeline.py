@@ -6,7 +6,7 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
-from levcut.llm import decontaminate, mixing, quality, shards, simhash
+from levcut.llm import decontaminate, mixing, quality, shards, similar, simhash
 from levcut.llm.common import checkpoint_folder, table
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
@@ -17,7 +17,8 @@ def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return simhash.keep_one(docs.select(*COLUMNS))
+    docs = docs.select(*COLUMNS)
+    return simhash.keep_one(docs, similar.cluster(docs))
 
 
 def drop_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -301,12 +301,13 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     return cluster(docs).select("doc_id", digits.alias("fingerprint"), "component_id")
 
 
-def keep_one(docs: DataFrame) -> DataFrame:
+def keep_one(docs: DataFrame, found: DataFrame | None = None) -> DataFrame:
     """One document of each component, the one of least doc_id, with its columns.
 
+    ``found`` has doc_id and component_id; by default the components of cluster().
     Rows without doc_id stay. Of rows that share the kept doc_id one stays.
     """
-    found = cut_lineage(cluster(docs))
+    found = cut_lineage(cluster(docs) if found is None else found)
     gone = found.filter("doc_id != component_id").select("doc_id").distinct()
     kept = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
     again = found.filter("doc_id = component_id").groupBy("doc_id").count().filter("count > 1").select("doc_id")
