@@ -53,12 +53,12 @@ NAMES = [
     ("unlicense", r"(?:the )?unlicen[sc]e", "unlicen", "unlicense"),
     ("wtfpl", r"(?:the )?(?:do what the [a-z*]+ you want to public licen[sc]e|wtfpl)", "you want to|wtfpl", "wtfpl"),
     ("cc0", r"(?:the )?(?:cc0|creative commons zero)(?:[ -]1\.0)?(?: universal)?", "cc0|commons zero", "cc0-1.0"),
-    ("cc-by", r"(?:the )?(?:cc[ -]by|creative commons attribution)(?:[ -][1-4]\.0)?", "cc by|cc-by|commons attribution", "cc-by-4.0"),
-    ("cc-by-sa", r"(?:the )?(?:cc[ -]by-sa|creative commons attribution[ -]share-?alike)(?:[ -][1-4]\.0)?", "cc by|cc-by|commons attribution", "cc-by-sa-4.0"),
-    ("cc-by-nd", r"(?:the )?(?:cc[ -]by-nd|creative commons attribution[ -]noderiv(?:ative)?s)(?:[ -][1-4]\.0)?", "cc by|cc-by|commons attribution", "cc-by-nd-4.0"),
-    ("cc-by-nc", r"(?:the )?(?:cc[ -]by-nc|creative commons attribution[ -]noncommercial)(?:[ -][1-4]\.0)?", "cc by|cc-by|commons attribution", "cc-by-nc-4.0"),
-    ("cc-by-nc-sa", r"(?:the )?(?:cc[ -]by-nc-sa|creative commons attribution[ -]noncommercial[ -]share-?alike)(?:[ -][1-4]\.0)?", "cc by|cc-by|commons attribution", "cc-by-nc-sa-4.0"),
-    ("cc-by-nc-nd", r"(?:the )?(?:cc[ -]by-nc-nd|creative commons attribution[ -]noncommercial[ -]noderiv(?:ative)?s)(?:[ -][1-4]\.0)?", "cc by|cc-by|commons attribution", "cc-by-nc-nd-4.0"),
+    ("cc-by", r"(?:the )?(?:cc[ -]by|creative commons attribution)(?:[ -][1-4]\.0)?", "cc by|cc-by|cc+by|commons attribution", "cc-by-4.0"),
+    ("cc-by-sa", r"(?:the )?(?:cc[ -]by-sa|creative commons attribution[ -]share-?alike)(?:[ -][1-4]\.0)?", "cc by|cc-by|cc+by|commons attribution", "cc-by-sa-4.0"),
+    ("cc-by-nd", r"(?:the )?(?:cc[ -]by-nd|creative commons attribution[ -]noderiv(?:ative)?s)(?:[ -][1-4]\.0)?", "cc by|cc-by|cc+by|commons attribution", "cc-by-nd-4.0"),
+    ("cc-by-nc", r"(?:the )?(?:cc[ -]by-nc|creative commons attribution[ -]noncommercial)(?:[ -][1-4]\.0)?", "cc by|cc-by|cc+by|commons attribution", "cc-by-nc-4.0"),
+    ("cc-by-nc-sa", r"(?:the )?(?:cc[ -]by-nc-sa|creative commons attribution[ -]noncommercial[ -]share-?alike)(?:[ -][1-4]\.0)?", "cc by|cc-by|cc+by|commons attribution", "cc-by-nc-sa-4.0"),
+    ("cc-by-nc-nd", r"(?:the )?(?:cc[ -]by-nc-nd|creative commons attribution[ -]noncommercial[ -]noderiv(?:ative)?s)(?:[ -][1-4]\.0)?", "cc by|cc-by|cc+by|commons attribution", "cc-by-nc-nd-4.0"),
     ("ofl", r"(?:the )?sil open font licen[sc]e", "open font", "ofl-1.1"),
     ("python", r"(?:the )?(?:python software foundation|psf) licen[sc]e", "python software|psf", "python-2.0"),
     ("eupl", r"(?:the )?european union public licen[sc]e", "european", "eupl-1.2"),
@@ -97,9 +97,10 @@ SINGLE = [
     ("no-warranty", r"without warrant(?:y|ies) of any kind", "without warrant", 2, 0.3),
 ]
 
-#: A document without any of these has no detection.
-GATES = ["licen", "spdx", "copyright", "(c)", "©", "public domain", "rights reserved", "gpl", "confidential", "creative commons", "cc0", "cc by", "cc-by",
-         "permission", "redistribution", "without warrant", "free software", "under mit", "under the mit", "bsd", "wtfpl", "as-is"]
+#: A document without any of these has no detection. They and the keywords are
+#: looked for where all white space is single spaces; every match holds one.
+GATES = ["licen", "spdx", "copyright", "(c)", "©", "public domain", "rights reserved", "gpl", "confidential", "creative commons", "cc0", "cc by", "cc-by", "cc+by",
+         "permission", "redistribution", "without warrant", "free software", "under mit", "under the mit", "of mit", "of the mit", "in mit", "in the mit", "bsd", "wtfpl", "as-is"]
 
 
 def rules() -> list[tuple[str, str, str, int, float]]:
@@ -204,11 +205,13 @@ def scan(docs: DataFrame) -> DataFrame:
         F.size("words_").cast("long").alias("n_words"),
         F.when(maybe, _starts(F.col("words_"))).otherwise(no_place).alias("places_"),
     )
+    # Patterns take any white space between words, so words are looked for in single-spaced text.
+    rows = rows.withColumn("spaced_", F.regexp_replace("lower_", r"\s{2,}|[\t\n\x0B\f\r]", " "))
     gate = F.lit(False)
     for word in GATES:
-        gate = gate | F.contains("lower_", F.lit(word))
-    text = F.col("lower_")
-    live = F.filter(table, lambda r: F.exists(r["keywords"], lambda k: F.contains(text, k)))
+        gate = gate | F.contains("spaced_", F.lit(word))
+    text, spaced = F.col("lower_"), F.col("spaced_")
+    live = F.filter(table, lambda r: F.exists(r["keywords"], lambda k: F.contains(spaced, k)))
     none = F.array().cast("array<struct<start:int,end:int,priority:int,id:int,label:string,sure:double>>")
     found = F.when(gate, F.flatten(F.transform(live, lambda r: _detections(text, r)))).otherwise(none)
     rows = rows.withColumn("found_", found).withColumn("detections", F.when(F.size("found_") > 1, _standing(F.col("found_"))).otherwise(F.col("found_")))
