@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from levcut.operators import graph, local, spectral
 from levcut.operators.small import SmallGraph
-from levcut.runtime import bounded, cut_lineage
+from levcut.runtime import TooLarge, bounded, cut_lineage
 
 SUMMARY = "method string, set_id string, size long, vol double, cut double, phi double"
 
@@ -93,34 +93,48 @@ def whisker_summary(edges: DataFrame, roles: DataFrame) -> DataFrame:
     return roles.filter("role = 'whisker'").join(deg, "node").groupBy("whisker_id").agg(F.count("*").alias("size"), F.sum("vol").alias("vol"))
 
 
-def bag(summary: DataFrame, most_size: int = 4096, most_kinds: int = 20_000) -> DataFrame:
+def _hull(points: list[tuple[int, float]]) -> list[tuple[int, float]]:
+    """Of (number, volume) those that some price of volume in whiskers makes best."""
+    out: list[tuple[int, float]] = []
+    for j, v in sorted(points, key=lambda p: (p[0], -p[1])):
+        if out and v <= out[-1][1]:
+            continue
+        while len(out) > 1 and (out[-1][1] - out[-2][1]) * (j - out[-1][0]) <= (v - out[-1][1]) * (out[-1][0] - out[-2][0]):
+            out.pop()
+        out.append((j, v))
+    return out
+
+
+def bag(summary: DataFrame, most_total: int = 200_000, most_kinds: int = 20_000) -> DataFrame:
     """size, whiskers, vol, phi: best union of whiskers at each total size.
 
     A union of j whiskers has cut j. The histogram of (size, vol), small at any
-    scale, goes to the driver, where volume is maximized over size and number.
+    scale, goes to the driver. At each total size the upper hull of (j, volume)
+    is kept: whatever a best union is made of is on the hull of its own size, so
+    the result is exact. Whiskers of more than ``most_total`` nodes in all are refused.
     """
-    kinds = bounded(summary.filter(F.col("size") <= most_size).groupBy("size", "vol").agg(F.count("*").alias("n")), most_kinds)
-    best: dict[tuple[int, int], float] = {(0, 0): 0.0}
-    for row in sorted(kinds, key=lambda r: (-r["vol"] / r["size"], r["size"])):
-        size, vol = row["size"], row["vol"]
-        number = min(row["n"], most_size // size)
-        # Only the least phi at each size can extend to a best union of a larger size by more of the same kind.
-        keep: dict[int, list[tuple[float, int, float]]] = {}
-        for (s, j), v in best.items():
-            keep.setdefault(s, []).append((j / v if v else 0.0, j, v))
-        for s, options in keep.items():
-            for _, j, v in sorted(options)[:2]:
-                for t in range(1, number + 1):
-                    if s + t * size > most_size:
-                        break
-                    key = (s + t * size, j + t)
-                    if v + t * vol > best.get(key, -1.0):
-                        best[key] = v + t * vol
-    rows: dict[int, tuple[float, int, float]] = {}
-    for (s, j), v in best.items():
-        if s and (s not in rows or (j / v, j) < rows[s][:2]):
-            rows[s] = (j / v, j, v)
-    return summary.sparkSession.createDataFrame([(s, j, v, p) for s, (p, j, v) in sorted(rows.items())], "size long, whiskers long, vol double, phi double")
+    kinds = bounded(summary.groupBy("size", "vol").agg(F.count("*").alias("n")), most_kinds)
+    total = sum(row["size"] * row["n"] for row in kinds)
+    if total > most_total:
+        raise TooLarge(f"whiskers of {total} nodes, more than {most_total} for the driver")
+    best: dict[int, list[tuple[int, float]]] = {0: [(0, 0.0)]}
+    for row in sorted(kinds, key=lambda r: (r["size"], r["vol"])):
+        left, lot = row["n"], 1
+        while left:
+            # Lots of 1, 2, 4 ... and the rest make up every number of the kind.
+            lot = min(lot, left)
+            size, vol = lot * row["size"], lot * row["vol"]
+            for s in sorted(best, reverse=True):
+                more = [(j + lot, v + vol) for j, v in best[s]]
+                held = best.get(s + size)
+                best[s + size] = _hull(held + more) if held else more
+            left, lot = left - lot, lot * 2
+    rows = []
+    for s in sorted(best):
+        if s:
+            p, j, v = min((j / v, j, v) for j, v in best[s])
+            rows.append((s, j, v, p))
+    return summary.sparkSession.createDataFrame(rows, "size long, whiskers long, vol double, phi double")
 
 
 def bag_prefixes(summary: DataFrame) -> DataFrame:
