@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from levcut.operators import graph, local, spectral
@@ -238,13 +238,26 @@ def set_summaries(edges: DataFrame, sets: DataFrame) -> DataFrame:
     )
 
 
+def improvements(spark: SparkSession, g: SmallGraph, pieces: list[list[int]]) -> list[tuple[float, float, int]]:
+    """(phi, improved phi, improved size) of every piece in order, dealt over tasks."""
+    if not pieces:
+        return []
+    held = spark.sparkContext.broadcast(g)
+
+    def run(piece):
+        phi, side = held.value.improve(piece)
+        return float(held.value.phi(piece)), float(phi), len(side)
+
+    return spark.sparkContext.parallelize(pieces, min(len(pieces), 256)).map(run).collect()
+
+
 def look(edges: DataFrame) -> DataFrame:
     """Is the graph like a hot dog, an expander, or nibbled at: best balanced and best small cuts."""
     g = SmallGraph.of(edges)
     _, vector = g.fiedler()
     even = g.sweep(vector, 0.3)[0]
     small = g.sweep(vector)[0]
-    small = min([small, *(g.improve(p)[0] for p in g.recursive(6)[:40])])
+    small = min([small, *(phi for _, phi, _ in improvements(edges.sparkSession, g, g.recursive(6)))])
     kind = "hot dog" if even < 0.1 and even < 2 * small else "expander" if small > 0.25 else "nibble"
     return edges.sparkSession.createDataFrame([(float(even), float(small), kind)], "balanced_phi double, small_phi double, look string")
 

@@ -263,10 +263,9 @@ def compactness_whiskers(spark: SparkSession, d: str) -> DataFrame:
 @query()
 def flow_improvement(spark: SparkSession, d: str) -> DataFrame:
     g = small.SmallGraph.of(graph.giant(_sparse(spark, d)))
-    rows = []
-    for i, piece in enumerate(g.recursive(20)[:40]):
-        phi, side = g.improve(piece)
-        rows.append((i, len(piece), float(g.phi(piece)), len(side), float(phi)))
+    pieces = g.recursive(20)
+    found = probes.improvements(spark, g, pieces)
+    rows = [(i, len(piece), phi, size, better) for i, (piece, (phi, better, size)) in enumerate(zip(pieces, found, strict=True))]
     return spark.createDataFrame(rows, "piece int, size int, phi double, improved_size int, improved_phi double")
 
 
