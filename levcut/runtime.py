@@ -2,16 +2,18 @@
 
 from __future__ import annotations
 
+import pickle
 import tempfile
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
 from pyspark import cloudpickle
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 import levcut
 
 # Functions of this package travel to the executors inside the task, so the
-# executors need no installed copy of it.
+# executors need no installed copy of it. Objects of its classes go by ship().
 cloudpickle.register_pickle_by_value(levcut)
 
 #: Bytes below which a derived table may be broadcast.
@@ -22,11 +24,29 @@ class TooLarge(ValueError):
     """A result that was to be small is not; nothing is ever truncated."""
 
 
-def checkpoint_folder(spark) -> str:
-    """spark.checkpoint.dir, or a folder of our own where none is set (tests)."""
+def ship(spark: SparkSession, value) -> Callable[[], object]:
+    """What gives the value inside a task; it is broadcast with its classes by value."""
+    held, known = spark.sparkContext.broadcast(cloudpickle.dumps(value)), []
+
+    def get():
+        if not known:
+            known.append(pickle.loads(held.value))
+        return known[0]
+
+    return get
+
+
+def checkpoint_folder(spark: SparkSession) -> str:
+    """spark.checkpoint.dir; where none is set, a folder of our own if all runs in this process, as in tests."""
     context = spark.sparkContext
     if context.getCheckpointDir() is None:
-        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="levcut-"))
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if not folder:
+            master = context.master
+            if master != "local" and not master.startswith("local["):
+                raise ValueError("spark.checkpoint.dir names no shared folder")
+            folder = tempfile.mkdtemp(prefix="levcut-")
+        context.setCheckpointDir(folder)
     return context.getCheckpointDir()
 
 
