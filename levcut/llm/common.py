@@ -8,7 +8,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from levcut.runtime import checkpoint_folder, cut_lineage  # noqa: F401
+from levcut.runtime import checkpoint_folder, cut_lineage, ship  # noqa: F401
 
 #: Rows of an Arrow batch that holds whole texts: some MB at usual lengths.
 TEXT_ROWS = 1000

@@ -7,11 +7,8 @@ from pyspark.sql import functions as F
 
 from levcut.llm.common import text_column
 
-#: Labelled rows of each class that a fit may use at most.
+#: Labelled rows of each class that a fit may use at most; their texts are whole.
 ROWS_PER_CLASS = 1200
-#: Characters of a training text at each end; longer ones lose their middle in
-#: the fit alone. Scoring always reads whole texts.
-TRAIN_CHARS = 16_000
 
 
 def held_out(modulus: int, rest: int):
@@ -19,9 +16,9 @@ def held_out(modulus: int, rest: int):
     return F.coalesce(F.pmod(F.crc32(F.col("doc_id").cast("string").cast("binary")), F.lit(modulus)) == rest, F.lit(False))
 
 
-def sample(docs: DataFrame, labels: DataFrame, label: str, modulus: int, rest: int, rows: int = ROWS_PER_CLASS) -> tuple[list[tuple[int, str, int]], float]:
-    """(doc_id, text, label) of at most ``rows`` documents a class, in order of
-    doc_id, and the share of label 1 among all rows that may be learnt from.
+def choose(docs: DataFrame, labels: DataFrame, label: str, modulus: int, rest: int, rows: int = ROWS_PER_CLASS) -> tuple[DataFrame | None, dict[int, int], float]:
+    """(doc_id, text) of the chosen documents, their labels, and the share of label 1
+    among all rows that may be learnt from.
 
     Labels that are null or not 0 or 1 are left out; a document with both labels
     counts as 1. The choice within a class is by a hash of doc_id.
@@ -37,13 +34,19 @@ def sample(docs: DataFrame, labels: DataFrame, label: str, modulus: int, rest: i
         taken = usable.filter(F.col("label") == one).orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
         chosen |= {r["doc_id"]: r["label"] for r in taken.collect()}
     if not chosen:
-        return [], 0.5
-    text = text_column()
-    ends = F.when(F.length(text) <= 2 * TRAIN_CHARS, text).otherwise(
-        F.concat(F.substring(text, 1, TRAIN_CHARS), F.lit("\n"), F.substring(text, -TRAIN_CHARS, TRAIN_CHARS))
-    )
+        return None, {}, 0.5
     ids = docs.sparkSession.createDataFrame([(k,) for k in chosen], "doc_id long")
-    found = docs.select("doc_id", ends.alias("text")).join(F.broadcast(ids), "doc_id", "left_semi")
-    texts = {r["doc_id"]: r["text"] for r in found.collect()}
-    share = counts.get(1, 0) / sum(counts.values())
+    found = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_column().alias("text")).join(F.broadcast(ids), "doc_id", "left_semi")
+    return found, chosen, counts.get(1, 0) / sum(counts.values())
+
+
+def sample(docs: DataFrame, labels: DataFrame, label: str, modulus: int, rest: int, rows: int = ROWS_PER_CLASS) -> tuple[list[tuple[int, str, int]], float]:
+    """(doc_id, text, label) of the chosen documents in order of doc_id, and the share of label 1.
+
+    Of several texts of one doc_id the first in order is taken.
+    """
+    found, chosen, share = choose(docs, labels, label, modulus, rest, rows)
+    texts: dict[int, str] = {}
+    for r in found.collect() if found is not None else []:
+        texts[r["doc_id"]] = min(r["text"], texts.get(r["doc_id"], r["text"]))
     return sorted((k, t, chosen[k]) for k, t in texts.items()), share

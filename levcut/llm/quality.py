@@ -4,14 +4,16 @@ Bytes are embedded; learned filters, twelve bytes wide and four apart, run over
 the whole document. Overlapping chunks of windows are max-pooled, and the mean,
 the least and the largest of the pooled responses over all chunks of the
 document are combined by a logistic layer into one probability. Long documents
-stream through in pieces, so memory is bounded for any length.
+go through in pieces of whole chunks that overlap as chunks do, so memory is bounded
+for any length and the score is the same as that of the whole at once.
 
 Labels come from a bounded sample (``labelled``): ROWS_PER_CLASS documents a
-class. Scores use the text alone.
+class, with their whole texts. Scores use the text alone.
 
 Nulls: a null or empty text is one chunk of padding and gets that score. A null
 doc_id is not held out. Without usable labels every score is the share of ones
-(0.5 without any). Repeated rows get equal scores; other columns are ignored.
+(0.5 without any). Repeated rows get equal scores; other columns are ignored, and
+those that clash with names of results are kept by accept().
 """
 
 from __future__ import annotations
@@ -25,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from levcut.llm import labelled
-from levcut.llm.common import map_arrow, text_column
+from levcut.llm.common import map_arrow, ship, text_column
 
 HOLD_OUT = (4, 2)
 THRESHOLD = 0.7
@@ -34,8 +36,9 @@ WIDTH, STEP, DIM, FILTERS = 12, 4, 8, 32
 #: A group is 8 windows; a chunk is 8 groups (256 bytes) and overlaps the next by one.
 GROUP, CHUNK, HOP = 8, 8, 7
 TAPS = WIDTH // STEP
-#: Bytes of a document in one piece; pieces are whole hops of chunks.
-PIECE = STEP * GROUP * HOP * 1024
+#: Chunks of a document in one piece, and the bytes from which one is cut.
+PIECE_CHUNKS = 1024
+PIECE = STEP * GROUP * HOP * PIECE_CHUNKS
 PAD = WIDTH - STEP
 
 
@@ -97,6 +100,33 @@ def _chunks(net: Net, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
     return _pool(groups, starts, ends), first
 
 
+def _summary(pooled: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
+    return pooled.sum(0, dtype=np.float64), pooled.min(0), pooled.max(0), len(pooled)
+
+
+def _long(net: Net, text: bytes, piece_chunks: int = PIECE_CHUNKS) -> np.ndarray:
+    """The pooled features of one text, ``piece_chunks`` chunks at a time.
+
+    A piece holds the groups of its chunks and the bytes that their last windows
+    reach into, as they lie in the whole layout.
+    """
+    unit = STEP * GROUP
+    n = max(1, -(-(len(text) + PAD) // unit))
+    starts, ends, _ = _chunk_bounds(np.array([n]))
+    total, least, most, count = 0.0, np.inf, -np.inf, 0
+    for at in range(0, len(starts), piece_chunks):
+        low, high = int(starts[at]), int(ends[min(at + piece_chunks, len(starts)) - 1])
+        data = np.zeros((high - low) * unit + PAD, np.uint8)
+        # Byte i of the layout is byte i - PAD of the text.
+        first, last = max(0, low * unit - PAD), min(len(text), high * unit)
+        data[first + PAD - low * unit : last + PAD - low * unit] = np.frombuffer(text, np.uint8, last - first, first)
+        groups = _responses(net, data).reshape(-1, GROUP, FILTERS).max(1)
+        some = slice(at, at + piece_chunks)
+        part, small, large, k = _summary(_pool(groups, starts[some] - low, ends[some] - low))
+        total, least, most, count = total + part, np.minimum(least, small), np.maximum(most, large), count + k
+    return np.concatenate([total / count, least, most])
+
+
 def probabilities(net: Net, texts: list[bytes], budget: int = 1 << 19) -> np.ndarray:
     """One probability a text, in bounded memory."""
     features = np.zeros((len(texts), 3 * FILTERS), np.float32)
@@ -112,14 +142,7 @@ def probabilities(net: Net, texts: list[bytes], budget: int = 1 << 19) -> np.nda
     batch, held = [], 0
     for i, text in enumerate(texts):
         if len(text) > PIECE:
-            # Each piece begins as many bytes early as a chunk overlaps its neighbour.
-            lap = STEP * GROUP * (CHUNK - HOP) + PAD
-            total, least, most, n = 0.0, np.inf, 0.0, 0
-            for at in range(0, len(text), PIECE):
-                pooled, _ = _chunks(net, [text[max(0, at - lap) : at + PIECE]])
-                total, n = total + pooled.sum(0), n + len(pooled)
-                least, most = np.minimum(least, pooled.min(0)), np.maximum(most, pooled.max(0))
-            features[i] = np.concatenate([total / n, least, most])
+            features[i] = _long(net, text)
             continue
         batch.append((i, text))
         held += len(text)
@@ -131,6 +154,19 @@ def probabilities(net: Net, texts: list[bytes], budget: int = 1 << 19) -> np.nda
     return 1 / (1 + np.exp(-np.clip(features @ net.out + net.shift, -30, 30)))
 
 
+def pieces(rows: list[tuple[bytes, int]], most: int = 32_768) -> list[tuple[bytes, int, float]]:
+    """(text, label, share): a training text over ``most`` bytes enters as pieces that share its weight.
+
+    Together the pieces are the whole text, so a step of the fit holds a bounded
+    number of bytes and no part of a text is left out.
+    """
+    out = []
+    for text, label in rows:
+        n = max(1, -(-len(text) // most))
+        out += [(text[at * most : (at + 1) * most], label, 1 / n) for at in range(n)]
+    return out
+
+
 def fit(rows: list[tuple[bytes, int]], share: float, epochs: int = 14, least_steps: int = 600, batch: int = 24, seed: int = 5, rate: float = 0.004) -> Net:
     """Stochastic gradient descent with momentum terms on the log loss.
 
@@ -145,13 +181,14 @@ def fit(rows: list[tuple[bytes, int]], share: float, epochs: int = 14, least_ste
         rng.normal(0, 0.1, 3 * FILTERS).astype(np.float32),
         0.0,
     )
-    labels = np.array([y for _, y in rows], np.float32)
-    ones = float(labels.mean()) if len(labels) else 0.0
+    rows = pieces(rows)
+    labels, parts = np.array([y for _, y, _ in rows], np.float32), np.array([w for _, _, w in rows])
+    ones = float((labels * parts).sum() / parts.sum()) if len(labels) else 0.0
     if not 0 < ones < 1:
         net.out[:] = 0
         net.shift = float(np.log((share + 1e-3) / (1 - share + 1e-3)))
         return net
-    weight = np.where(labels == 1, 0.5 / ones, 0.5 / (1 - ones))
+    weight = parts * np.where(labels == 1, 0.5 / ones, 0.5 / (1 - ones))
     names = ("embed", "filters", "bias", "out")
     moments = {k: [np.zeros_like(getattr(net, k)), np.zeros_like(getattr(net, k))] for k in names}
     moments["shift"] = [np.zeros(1), np.zeros(1)]
@@ -230,23 +267,22 @@ def train(docs: DataFrame, labels: DataFrame, rows: int = labelled.ROWS_PER_CLAS
 
 
 def score(docs: DataFrame, net: Net, keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """The named columns of docs and ``score``."""
-    shared = docs.sparkSession.sparkContext.broadcast(net)
-    plain = docs.select(*keep).schema
-    ddl = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in plain.fields)
+    """The named columns of docs, in a struct ``kept``, and ``score``."""
+    shared = ship(docs.sparkSession, net)
+    chosen = docs.select(F.struct(*keep).alias("kept"), text_column().alias("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = [x.encode("utf-8", "replace") for x in batch.column(batch.num_columns - 1).to_pylist()]
-            values = probabilities(shared.value, texts) if texts else np.zeros(0)
-            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(values.astype(np.float64))], names=[*plain.names, "score"])
+            texts = [x.encode("utf-8", "replace") for x in batch.column(1).to_pylist()]
+            values = probabilities(shared(), texts) if texts else np.zeros(0)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(values.astype(np.float64))], names=["kept", "score"])
 
-    return map_arrow(docs.select(*keep, text_column().alias("text_")), run, f"{ddl}, score double")
+    return map_arrow(chosen, run, f"kept {chosen.schema['kept'].dataType.simpleString()}, score double")
 
 
 def judge(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """doc_id, held_out, score, predicted for every document."""
-    scored = score(docs, train(docs, labels))
+    scored = score(docs, train(docs, labels)).select("kept.doc_id", "score")
     return scored.select(
         "doc_id", held_out_column(), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted")
     )
@@ -258,7 +294,5 @@ def held_out_column():
 
 def accept(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """The documents with a predicted label of 1, with their columns."""
-    clean = docs.drop("score")
-    scored = score(clean, train(docs, labels), tuple(clean.columns))
-    kept = scored.filter(F.col("score") >= THRESHOLD).drop("score")
-    return kept.select(*docs.columns)
+    scored = score(docs, train(docs, labels), tuple(docs.columns))
+    return scored.filter(F.col("score") >= THRESHOLD).select("kept.*")

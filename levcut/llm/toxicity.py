@@ -1,21 +1,23 @@
 """Toxicity from the nearest labelled examples by exact TF-IDF cosine.
 
-Terms are words and their beginnings of PREFIXES bytes, so compounds share terms,
-and each of these marked with a level that its count in the document reaches.
-The space is spanned by the terms whose presence tells the classes of a bounded
-labelled sample apart (chi-square test); their document frequencies are counted
-over all documents. Examples are stored in an inverted index whose posting lists
-are cut into blocks of examples, with the largest weight of each word in each
-block. A query bounds its cosine with every block, visits blocks from the
-largest bound down and stops when no bound exceeds the k-th best cosine, so the
-neighbours are exact. Votes weighted by cosine are calibrated on the
-leave-one-out votes of the examples.
-
-Nulls: a null or empty text, or one without any term of the space, has no
-neighbours and scores the share of toxic examples among such examples. A null
-doc_id is not held out. Without usable labels every score is 0. Ties among
-neighbours go to the smaller example id. Repeated rows get equal scores; other
-columns are ignored.
+The space has every word of every labelled example of a bounded sample. A weight
+is the count's logarithm times the inverse document frequency over all documents;
+for words whose presence tells the classes apart (chi-square over SURE) it is
+scaled by the root of that value, all others keep it as it is, so no word and no
+example leaves the space. ``scaled=False`` is the plain TF-IDF cosine.
+
+Examples stand in an inverted index whose posting lists are cut into blocks of
+examples, with the largest weight of each word in each block. A query bounds its
+cosine with every block, visits blocks from the largest bound down and stops when
+no bound exceeds the k-th best cosine, so the neighbours are exact. Votes weighted
+by cosine, classes weighing alike, are calibrated on the leave-one-out votes of
+the examples.
+
+Nulls: a null or empty text, or one without any word of the space, has no
+neighbours and scores the share of toxic examples. A null doc_id is not held out.
+Without usable labels every score is 0. Ties among neighbours go to the smaller
+example id. Repeated rows get equal scores; very long texts are counted whole, in
+memory of their distinct words; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -29,151 +31,148 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from levcut.llm import labelled
-from levcut.llm.common import WORD_BYTES, map_arrow, text_column
+from levcut.llm.common import WORD_BYTES, map_arrow, ship, text_column
 
 HOLD_OUT = (3, 1)
 THRESHOLD = 0.7
 NEIGHBOURS = 15
+#: Examples of a block.
 BLOCK = 32
-#: Terms of the space at most; the least chi-square value of one, absolute and
-#: as a share of the largest.
-SPACE, CHI_SQUARE, CHI_SHARE = 1024, 15.0, 0.1
-#: Bytes of word beginnings that are terms beside the words; PREFIX marks them.
-PREFIXES, PREFIX = range(5, 9), b"^"
-#: Counts at which a term gains a further term.
-LEVELS = ((2, b"@2"), (4, b"@4"))
-#: A word can only give terms of the space if one begins with its first bytes.
-HEAD = 3
+#: Chi-square value of one in a thousand, from which a word's weight is scaled.
+SURE = 10.8
+#: Blocks of the first visit; each further one takes twice as many.
+FIRST_VISIT = 8
 
 
 def words(text: str) -> list[bytes]:
     return text.encode("utf-8", "replace").translate(WORD_BYTES).split()
 
 
-def terms(word: bytes) -> list[bytes]:
-    """The terms of one word."""
-    return [word, *(PREFIX + word[:n] for n in PREFIXES if len(word) >= n)]
-
-
-def counted(text: list[bytes], heads_: frozenset[bytes] | None = None) -> Counter:
-    """Terms of a document with their counts; heads_ leaves out words that can't matter."""
-    counts: Counter = Counter()
-    for word, n in Counter(text).items():
-        if heads_ is None or word[:HEAD] in heads_:
-            for term in terms(word):
-                counts[term] += n
-    for term, n in list(counts.items()):
-        for least, mark in LEVELS:
-            if n >= least:
-                counts[term + mark] = 1
-    return counts
-
-
-def heads(space) -> frozenset[bytes]:
-    return frozenset(t.removeprefix(PREFIX)[:HEAD] for t in space)
-
-
-def choose_space(rows: list[tuple[int, list[bytes], int]], most: int = SPACE, least: float = CHI_SQUARE, share: float = CHI_SHARE) -> list[bytes]:
-    """Terms by falling chi-square of presence against label, then by bytes."""
-    seen = [Counter(), Counter()]
-    sizes = [0, 0]
-    for _, text, label in rows:
-        seen[label].update(counted(text).keys())
-        sizes[label] += 1
-    n = sum(sizes)
-    scored = []
-    for term in seen[1].keys() | seen[0].keys():
-        in_one, in_zero = seen[1][term], seen[0][term]
-        df = in_one + in_zero
-        spread = df * (n - df) * sizes[0] * sizes[1]
-        if df >= 3 and spread:
-            chi = n * (in_one * (sizes[0] - in_zero) - in_zero * (sizes[1] - in_one)) ** 2 / spread
-            if chi >= least:
-                scored.append((-chi, term))
-    scored.sort()
-    return [t for x, t in scored[:most] if -x >= -share * scored[0][0]]
+def _ranges(starts: np.ndarray, ends: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Every index of the ranges, and the range that each comes from."""
+    sizes = ends - starts
+    owner = np.repeat(np.arange(len(sizes)), sizes)
+    total = int(sizes.sum())
+    return np.arange(total) + np.repeat(starts - np.cumsum(sizes) + sizes, sizes), owner
 
 
 class BlockMaxIndex:
-    """Exact nearest neighbours by cosine over blocked posting lists."""
+    """Exact nearest neighbours by cosine over blocked posting lists.
 
-    def __init__(self, vectors: list[dict[int, float]], terms_: int, block: int = BLOCK):
+    vectors: (terms, weights) of each example, terms in 0..terms-1 and distinct.
+    """
+
+    def __init__(self, vectors: list[tuple[np.ndarray, np.ndarray]], terms: int, block: int = BLOCK):
         self.block, self.n = block, len(vectors)
-        blocks = max(1, -(-self.n // block))
-        self.largest = np.zeros((terms_, blocks))
-        lists: list[list[list[tuple[int, float]]]] = [[[] for _ in range(blocks)] for _ in range(terms_)]
-        for i, vector in enumerate(vectors):
-            for term, weight in vector.items():
-                lists[term][i // block].append((i % block, weight))
-                self.largest[term, i // block] = max(self.largest[term, i // block], weight)
-        self.postings = {
-            (t, b): (np.array([i for i, _ in one]), np.array([w for _, w in one]))
-            for t, by_block in enumerate(lists)
-            for b, one in enumerate(by_block)
-            if one
-        }
+        self.blocks = max(1, -(-self.n // block))
         self.visited = 0
-
-    def nearest(self, query: dict[int, float], k: int, leave_out: int = -1) -> list[tuple[float, int]]:
+        example = np.repeat(np.arange(self.n), [len(t) for t, _ in vectors])
+        term = np.concatenate([t for t, _ in vectors]) if vectors else np.zeros(0, np.int64)
+        weight = np.concatenate([w for _, w in vectors]) if vectors else np.zeros(0)
+        order = np.lexsort((example, term))
+        self.example, self.weight, term = example[order], weight[order], term[order]
+        # One entry a block of a posting list: where it begins and its largest weight.
+        key = term.astype(np.int64) * self.blocks + self.example // block
+        first = np.flatnonzero(np.diff(key, prepend=-1))
+        self.starts = np.append(first, len(key))
+        self.largest = np.maximum.reduceat(self.weight, first) if len(first) else np.zeros(0)
+        self.of_block = key[first] % self.blocks
+        self.lists = np.searchsorted(key[first] // self.blocks, np.arange(terms + 1))
+
+    def nearest(self, terms: np.ndarray, weights: np.ndarray, k: int, leave_out: int = -1) -> list[tuple[float, int]]:
         """The k examples of largest positive cosine as (cosine, example)."""
-        if not query or not self.n:
+        if not len(terms) or not self.n:
             return []
-        bounds = np.array(list(query.values())) @ self.largest[list(query)]
+        entry, owner = _ranges(self.lists[terms], self.lists[terms + 1])
+        by_block = self.of_block[entry]
+        bounds = np.bincount(by_block, weights[owner] * self.largest[entry], self.blocks)
+        order = np.argsort(-bounds, kind="stable")
         best: list[tuple[float, int]] = []
-        for b in np.argsort(-bounds, kind="stable").tolist():
-            bound = bounds[b] * (1 + 1e-12)
-            if bound <= 0 or len(best) == k and bound < best[-1][0]:
+        at, step = 0, FIRST_VISIT
+        while at < len(order):
+            visit = order[at : at + step]
+            least = best[-1][0] if len(best) == k else 0.0
+            # Sums in another order may differ in the last bits.
+            visit = visit[bounds[visit] * (1 + 1e-9) >= least] if least else visit[bounds[visit] > 0]
+            if not len(visit):
                 break
-            self.visited += 1
-            scores = np.zeros(self.block)
-            for term, weight in query.items():
-                posting = self.postings.get((term, b))
-                if posting is not None:
-                    scores[posting[0]] += weight * posting[1]
-            found = [(float(scores[i]), b * self.block + i) for i in np.flatnonzero(scores > 0).tolist() if b * self.block + i != leave_out]
-            best = sorted(best + found, key=lambda x: (-x[0], x[1]))[:k]
+            chosen = np.zeros(self.blocks, bool)
+            chosen[visit] = True
+            inside = np.flatnonzero(chosen[by_block])
+            posting, of = _ranges(self.starts[entry[inside]], self.starts[entry[inside] + 1])
+            scores = np.bincount(self.example[posting], weights[owner[inside]][of] * self.weight[posting], self.n)
+            if leave_out >= 0:
+                scores[leave_out] = 0
+            hit = np.flatnonzero(scores > least) if not least else np.flatnonzero(scores >= least)
+            if len(hit) > k:
+                border = np.partition(scores[hit], len(hit) - k)[len(hit) - k]
+                hit = hit[scores[hit] >= border]
+            best = sorted(best + [(float(scores[i]), i) for i in hit.tolist()], key=lambda x: (-x[0], x[1]))[:k]
+            self.visited += len(visit)
+            at, step = at + step, step * 2
         return best
 
 
 class Model:
-    """Space, idf, index and calibration."""
+    """Space, weights, index and calibration."""
 
-    def __init__(self, rows: list[tuple[int, list[bytes], int]], space: list[bytes], frequency: dict[bytes, int], documents: int, k: int = NEIGHBOURS):
+    def __init__(self, rows: list[tuple[int, dict[bytes, int], int]], frequency: dict[bytes, int], documents: int, k: int = NEIGHBOURS, scaled: bool = True):
         self.k = k
+        ones = sum(y for _, _, y in rows)
+        self.blank = ones / len(rows) if rows else 0.0
+        space = sorted({w for _, counts, _ in rows for w in counts})
         self.place = {w: i for i, w in enumerate(space)}
-        self.heads = heads(space)
-        self.idf = [float(np.log((1 + documents) / (1 + frequency.get(w, 0))) + 1) for w in space]
-        vectors = [self.vector(text) for _, text, _ in rows]
-        # Examples that share terms with each other stand in the same blocks.
-        order = sorted(range(len(rows)), key=lambda i: (not vectors[i], max(vectors[i], key=lambda t: (vectors[i][t], -t), default=-1), rows[i][0]))
-        order = [i for i in order if vectors[i]]
-        self.ids = [rows[i][0] for i in order]
-        self.labels = [rows[i][2] for i in order]
-        self.index = BlockMaxIndex([vectors[i] for i in order], len(space))
-        without = [rows[i][2] for i in range(len(rows)) if not vectors[i]]
-        self.blank = sum(without) / len(without) if without else (sum(r[2] for r in rows) / len(rows) if rows else 0.0)
-        votes = np.array([self.vote(self.index.nearest(vectors[i], k, at)) for at, i in enumerate(order)])
-        self.slope, self.shift = calibrate(votes, np.array(self.labels))
-
-    def vector(self, text: list[bytes]) -> dict[int, float]:
-        """Unit vector of tf-idf weights; tf grows by its logarithm."""
-        place = self.place
-        weights = {place[t]: (1 + np.log(c)) * self.idf[place[t]] for t, c in counted(text, self.heads).items() if t in place}
-        norm = sum(w * w for w in weights.values()) ** 0.5
-        return {t: float(w / norm) for t, w in sorted(weights.items())}
+        seen = np.zeros((2, len(space)))
+        for _, counts, y in rows:
+            seen[y, [self.place[w] for w in counts]] += 1
+        found = np.array([frequency.get(w, 0) for w in space], float)
+        self.scale = (np.log((1 + documents) / (1 + found)) + 1) * (separation(seen, len(rows) - ones, ones) if scaled else 1)
+        held = [(doc, y, self.vector(counts)) for doc, counts, y in rows]
+        held = [x for x in held if len(x[2][0])]
+        # Examples whose heaviest word is the same stand in the same blocks.
+        held.sort(key=lambda x: (int(x[2][0][x[2][1].argmax()]), x[0]))
+        self.ids = [doc for doc, _, _ in held]
+        self.labels = np.array([y for _, y, _ in held], int)
+        totals = np.bincount(self.labels, minlength=2)
+        self.voice = np.where(self.labels == 1, 1 / max(1, totals[1]), 1 / max(1, totals[0]))
+        self.index = BlockMaxIndex([v for _, _, v in held], len(space))
+        votes = np.array([self.vote(self.index.nearest(*v, k, i)) for i, (_, _, v) in enumerate(held)])
+        self.slope, self.shift = calibrate(votes, self.labels)
+
+    def vector(self, counts: dict[bytes, int]) -> tuple[np.ndarray, np.ndarray]:
+        """Terms of the space and their weights, of length one together."""
+        get = self.place.get
+        listed = [(at, c) for w, c in counts.items() if (at := get(w)) is not None]
+        if not listed:
+            return np.zeros(0, np.int64), np.zeros(0)
+        terms, n = np.array(listed, np.int64).T
+        weights = (1 + np.log(n)) * self.scale[terms]
+        return terms, weights / np.sqrt((weights * weights).sum())
 
     def vote(self, near: list[tuple[float, int]]) -> float:
-        total = sum(s for s, _ in near)
-        return sum(s * self.labels[i] for s, i in near) / total if total else self.blank
+        voices = [(s * self.voice[i], self.labels[i]) for s, i in near]
+        total = sum(v for v, _ in voices)
+        return float(sum(v for v, y in voices if y) / total) if total else self.blank
 
-    def score(self, text: list[bytes]) -> tuple[float, list[tuple[int, float, int]]]:
+    def score(self, text: str) -> tuple[float, list[tuple[int, float, int]]]:
         """Calibrated score and evidence: (doc_id, cosine, label) of neighbours."""
-        query = self.vector(text)
-        near = self.index.nearest(query, self.k)
+        near = self.index.nearest(*self.vector(Counter(words(text))), self.k)
         if not near:
             return self.blank, []
         value = 1 / (1 + np.exp(-(self.slope * (self.vote(near) - 0.5) + self.shift)))
-        return float(value), [(self.ids[i], s, self.labels[i]) for s, i in near]
+        return float(value), [(self.ids[i], s, int(self.labels[i])) for s, i in near]
+
+
+def separation(seen: np.ndarray, zeros: int, ones: int) -> np.ndarray:
+    """Root of the chi-square value of each word's presence against the label where it is sure, else 1.
+
+    seen: documents of label 0 and 1 that hold each word.
+    """
+    n, df = zeros + ones, seen.sum(0)
+    spread = df * (n - df) * zeros * ones
+    cross = seen[1] * (zeros - seen[0]) - seen[0] * (ones - seen[1])
+    chi = n * cross**2 / np.where(spread > 0, spread, np.inf)
+    return np.where(chi > SURE, np.sqrt(chi), 1.0)
 
 
 def calibrate(votes: np.ndarray, labels: np.ndarray) -> tuple[float, float]:
@@ -192,19 +191,43 @@ def calibrate(votes: np.ndarray, labels: np.ndarray) -> tuple[float, float]:
     return float(w[0]), float(w[1])
 
 
-def frequencies(docs: DataFrame, space: list[bytes]) -> tuple[dict[bytes, int], int]:
-    """Documents that hold each term of the space, and all documents.
+def examples(docs: DataFrame, labels: DataFrame, rows: int = labelled.ROWS_PER_CLASS) -> list[tuple[int, dict[bytes, int], int]]:
+    """(doc_id, counts of its words, label) of the labelled sample; whole texts are counted by the executors.
+
+    Of several texts of one doc_id the one whose words come first in order is taken.
+    """
+    found, chosen, _ = labelled.choose(docs, labels, "toxic", *HOLD_OUT, rows)
+    if found is None:
+        return []
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            counts = [sorted(Counter(words(x)).items()) for x in batch.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays(
+                [batch.column(0), pa.array([[w for w, _ in c] for c in counts], pa.list_(pa.binary())), pa.array([[n for _, n in c] for c in counts], pa.list_(pa.int64()))],
+                names=["doc_id", "words", "counts"],
+            )
+
+    taken: dict[int, list[tuple[bytes, int]]] = {}
+    for r in map_arrow(found, run, "doc_id long, words array<binary>, counts array<long>").collect():
+        one = [(bytes(w), n) for w, n in zip(r["words"], r["counts"], strict=True)]
+        taken[r["doc_id"]] = min(one, taken.get(r["doc_id"], one))
+    return [(doc, dict(one), chosen[doc]) for doc, one in sorted(taken.items())]
+
+
+def frequencies(docs: DataFrame, space: frozenset[bytes]) -> tuple[dict[bytes, int], int]:
+    """Documents that hold each word of the space, and all documents.
 
-    Every task sends one count a term at most, whatever it reads.
+    Every task sends one count a word at most, whatever it reads.
     """
-    shared = docs.sparkSession.sparkContext.broadcast((frozenset(space), heads(space)))
+    shared = ship(docs.sparkSession, space)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        (known, heads_), counts, n = shared.value, Counter(), 0
+        known, counts, n = shared(), Counter(), 0
         for batch in batches:
             for text in batch.column(0).to_pylist():
                 n += 1
-                counts.update(known.intersection(counted(words(text), heads_)))
+                counts.update(known.intersection(words(text)))
         listed = [(w, c) for w, c in counts.items()] + [(b"", n)]
         yield pa.RecordBatch.from_arrays(
             [pa.array([w for w, _ in listed], pa.binary()), pa.array([c for _, c in listed], pa.int64())], names=["term", "n"]
@@ -215,12 +238,10 @@ def frequencies(docs: DataFrame, space: list[bytes]) -> tuple[dict[bytes, int],
     return found, found.pop(b"", 0)
 
 
-def train(docs: DataFrame, labels: DataFrame, rows: int = labelled.ROWS_PER_CLASS) -> Model:
-    taken, _ = labelled.sample(docs, labels, "toxic", *HOLD_OUT, rows)
-    examples = [(doc, words(text), y) for doc, text, y in taken]
-    space = choose_space(examples)
-    frequency, documents = frequencies(docs, space)
-    return Model(examples, space, frequency, documents)
+def train(docs: DataFrame, labels: DataFrame, rows: int = labelled.ROWS_PER_CLASS, scaled: bool = True) -> Model:
+    taken = examples(docs, labels, rows)
+    frequency, documents = frequencies(docs, frozenset(w for _, counts, _ in taken for w in counts))
+    return Model(taken, frequency, documents, scaled=scaled)
 
 
 SCORED = "doc_id long, score double, evidence array<struct<doc_id:long,cosine:double,toxic:int>>"
@@ -228,12 +249,13 @@ SCORED = "doc_id long, score double, evidence array<struct<doc_id:long,cosine:do
 
 def score(docs: DataFrame, model: Model) -> DataFrame:
     """doc_id, score and evidence for every document."""
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+    shared = ship(docs.sparkSession, model)
     evidence = pa.list_(pa.struct([("doc_id", pa.int64()), ("cosine", pa.float64()), ("toxic", pa.int32())]))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        judge_one = shared().score
         for batch in batches:
-            out = [shared.value.score(words(x)) for x in batch.column(1).to_pylist()]
+            out = [judge_one(x) for x in batch.column(1).to_pylist()]
             near = [[{"doc_id": d, "cosine": s, "toxic": y} for d, s, y in e] for _, e in out]
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0), pa.array([s for s, _ in out], pa.float64()), pa.array(near, evidence)],

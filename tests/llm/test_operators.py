@@ -4,6 +4,7 @@ import hashlib
 import random
 import re
 import zlib
+from collections import Counter
 
 import numpy as np
 import pytest
@@ -288,35 +289,92 @@ def test_quality_long_texts_are_whole():
     assert np.allclose(many, one, atol=1e-6)
 
 
-def test_held_out_accuracy():
+def plain_probability(net, text):
+    """The network by loops over windows, groups and chunks of one text."""
+    unit = quality.STEP * quality.GROUP
+    n = max(1, -(-(len(text) + quality.PAD) // unit))
+    data = bytes(quality.PAD) + text + bytes(n * unit - len(text))
+    filters = net.filters.reshape(quality.STEP * quality.DIM, quality.TAPS, quality.FILTERS).transpose(1, 0, 2).reshape(-1, quality.FILTERS)
+    window = lambda i: np.maximum(net.embed[list(data[i : i + quality.WIDTH])].ravel() @ filters + net.bias, 0)
+    groups = [np.max([window(g * unit + k * quality.STEP) for k in range(quality.GROUP)], 0) for g in range(n)]
+    chunks = [np.max(groups[s : s + quality.CHUNK], 0) for s in range(0, max(1, n - (quality.CHUNK - quality.HOP)), quality.HOP)]
+    features = np.concatenate([np.mean(chunks, 0), np.min(chunks, 0), np.max(chunks, 0)])
+    return 1 / (1 + np.exp(-(features @ net.out + net.shift)))
+
+
+def test_quality_network_is_the_plain_one():
+    net = quality.fit([(b"good text here. " * 9, 1), (b"*** %%% $$$ &&& " * 9, 0)] * 12, 0.8, least_steps=30)
+    rng = random.Random(8)
+    texts = [b"", b"a", *(bytes(rng.randrange(256) for _ in range(k)) for k in (5, 24, 25, 255, 256, 257, 700, 3000))]
+    assert np.allclose(quality.probabilities(net, texts), [plain_probability(net, x) for x in texts], atol=1e-5)
+    for text in texts:
+        whole = quality._long(net, text, 1 << 30)
+        assert all(np.allclose(quality._long(net, text, k), whole, atol=1e-6) for k in (1, 2, 5))
+
+
+def test_quality_pieces_of_training_texts_are_whole():
+    rows = [(b"x" * 100_000, 1), (b"", 0), (b"abc", 1)]
+    got = quality.pieces(rows)
+    assert [sum(len(t) for t, y, _ in got if y == k) for k in (0, 1)] == [0, 100_003]
+    assert np.isclose(sum(w for _, _, w in got), 3)
+
+
+def test_accept_keeps_clashing_columns(docs, labels):
+    odd = docs.withColumnRenamed("lang", "text_").withColumnRenamed("source", "kept")
+    got = quality.accept(odd, labels)
+    assert got.columns == odd.columns
+    assert got.count() <= odd.count()
+
+
+def toxic_rows():
     import duckdb
 
     d = "/root/testdata/sf0.1"
     found = duckdb.execute(f"SELECT doc_id, text, toxic FROM '{d}/documents.parquet' JOIN '{d}/labels.parquet' USING (doc_id) ORDER BY doc_id").fetchall()
-    out = lambda i: zlib.crc32(str(i).encode()) % 3 == 1
-    train = [(i, toxicity.words(t), y) for i, t, y in found if not out(i)]
-    train = [r for r in train if r[2]] + [r for r in train if not r[2]][:1000]
-    space = toxicity.choose_space(train)
-    seen = {}
-    for _, text, _ in found:
-        for term in set(toxicity.counted(toxicity.words(text))) & set(space):
-            seen[term] = seen.get(term, 0) + 1
-    model = toxicity.Model(sorted(train), space, seen, len(found))
-    test = [(model.score(toxicity.words(t))[0] >= 0.7, y) for i, t, y in found if out(i)]
-    hits = sum(p and y for p, y in test)
-    assert hits / max(1, sum(p for p, _ in test)) > 0.85 and hits / sum(y for _, y in test) > 0.8
+    return [(i, Counter(toxicity.words(t)), y, zlib.crc32(str(i).encode()) % 3 == 1) for i, t, y in found]
+
+
+def test_toxicity_held_out_accuracy_and_plain_cosine():
+    rows_ = toxic_rows()
+    train = [r[:3] for r in rows_ if not r[3]]
+    train = sorted([r for r in train if r[2]] + [r for r in train if not r[2]][:1000])
+    space = {w for _, counts, _ in train for w in counts}
+    seen = Counter(w for _, counts, _, _ in rows_ for w in counts if w in space)
+    model = toxicity.Model(train, seen, len(rows_))
+    assert len(model.ids) >= 0.99 * sum(bool(c) for _, c, _ in train), "every labelled text with words is an example"
+    spelled = [" ".join(w.decode("utf-8", "replace") for w in c.elements()) for _, c, _, _ in rows_]
+    test = [(model.score(t), r[2]) for t, r in zip(spelled, rows_, strict=True) if r[3]]
+    hits = sum(s >= 0.7 and y for (s, _), y in test)
+    assert hits / max(1, sum(s >= 0.7 for (s, _), _ in test)) > 0.85 and hits / sum(y for _, y in test) > 0.85
+    assert sum(not e for (_, e), _ in test) < 0.05 * len(test)
+    # Neighbours and their cosines by brute force over dictionaries.
+    examples = {doc: dict(zip(*(x.tolist() for x in model.vector(c)), strict=True)) for doc, c, _ in train}
+    for _, counts, _, held in rows_[:60]:
+        if held:
+            q = dict(zip(*(x.tolist() for x in model.vector(counts)), strict=True))
+            plain = sorted((-sum(w * v.get(t, 0) for t, w in q.items()), doc) for doc, v in examples.items())[: model.k]
+            got = model.score(" ".join(w.decode() for w in counts.elements()))[1]
+            assert np.allclose([s for _, s, _ in got], [-s for s, _ in plain if s < 0][: len(got)])
 
 
 def test_block_max_is_exact():
     rng = random.Random(4)
-    make = lambda: {t: rng.random() for t in rng.sample(range(30), rng.randrange(1, 9))}
-    vectors = [make() for _ in range(150)]
+
+    def make():
+        terms = np.array(rng.sample(range(30), rng.randrange(1, 9)))
+        return terms, np.array([rng.choice([0.25, 0.5, rng.random()]) for _ in terms])
+
+    vectors = [make() for _ in range(900)]
     index = toxicity.BlockMaxIndex(vectors, 30, 8)
-    for _ in range(60):
-        q = make()
-        plain = sorted(((sum(w * v.get(t, 0) for t, w in q.items()), i) for i, v in enumerate(vectors)), key=lambda x: (-x[0], x[1]))
-        got = index.nearest(q, 7)
-        assert [i for _, i in got] == [i for s, i in plain[:7] if s > 0]
+    for trial in range(60):
+        terms, weights = make() if trial % 3 else vectors[trial]
+        q = dict(zip(terms.tolist(), weights.tolist(), strict=True))
+        plain = sorted(((sum(w * q.get(t, 0) for t, w in zip(*v, strict=True)), i) for i, v in enumerate(vectors)), key=lambda x: (-round(x[0], 9), x[1]))
+        got = index.nearest(terms, weights, 7)
+        assert np.allclose([s for s, _ in got], [s for s, _ in plain[:7] if s > 0])
+        assert index.nearest(terms, weights, 7, plain[0][1])[0][1] != plain[0][1]
+    assert index.visited < 60 * 2 * index.blocks
+    assert toxicity.BlockMaxIndex([], 3).nearest(np.array([1]), np.array([1.0]), 4) == []
 
 
 def test_html(spark):
