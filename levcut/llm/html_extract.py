@@ -1,19 +1,23 @@
 """Main text of web pages by a minimum cut over their blocks.
 
-A page is cut into blocks of text at block-level tags. A linear classifier of
-block features (container tags and names, length, links, punctuation) gives each
-block a cost of being called content and one of being called boilerplate; these
-are the capacities to the terminals. Neighbours in the page and blocks that are
-near in the element tree are joined by smoothness edges. A maximum flow finds
-the labelling of least total cost.
+A page is cut into blocks of text at block-level tags. The graph has a node for
+each block and one for each element that holds blocks. A linear classifier of a
+block's own features (tag, length, links, punctuation) gives it a cost of being
+called content and one of being called boilerplate; so do the tag and the name of
+an element, softened by what stands around it. These costs are the capacities to
+the terminals. Smoothness edges join a block to its element, elements to their
+parents and blocks to their neighbours in the page; across a named container they
+are weak. A maximum flow finds the labelling of least total cost, so a container
+speaks for its blocks only as far as its edges and its cost carry.
 
 Scripts, styles, templates, the head, form controls and comments in the markup
 never become blocks. Character references are decoded after the markup is read.
 White space inside a block becomes one space; blocks are joined by one space.
 
 Nulls: null html counts as empty and gives an empty text; so does a page without
-content. Truncated or unbalanced markup is read as far as it goes. Repeated rows
-give repeated results; empty tables empty ones; other columns are ignored.
+content. Truncated or unbalanced markup is read as far as it goes. Very long pages
+are read whole; memory grows with one page's blocks. Repeated rows give repeated
+results; empty tables empty ones; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -55,26 +59,44 @@ BOILER_WORDS = set(
     "outbrain overlay pager pagination popup promo promoted promotion reader related reply replies respond search share sharing shoutbox sidebar sidenav "
     "signup skip social sponsor sponsored subscribe subscription taboola tags toc toolbar topbar widget widgets alert complementary".split()
 )
-#: Names that hold such a word but mark the main text.
+#: Words beside such a word that leave its meaning as it is.
+PLAIN_WORDS = set(
+    "area articles bar body bottom box btn button buttons card cards column container content controls el entry global group holder icons inner item items "
+    "left level line link links list main mobile module page panel policy post posts primary right row second secondary section site slot small stories story "
+    "text thread top unit view wrap wrapper".split()
+)
+#: Whole names that mark the main text, and words that put a header inside it.
 MAIN_WORDS = set("article articlebody body content entry entrycontent main maincontent post postbody postcontent story text".split())
+TITLE_WORDS = {"article", "entry", "post", "story", "content"}
 WORDS_OF_NAME = re.compile(r"[A-Za-z][a-z]+|[A-Z]+(?![a-z])")
 BLANK = re.compile(r"\s+")
-#: Weights of the classifier: positive speaks for content.
+#: Tags of text rather than of containers.
+TEXT_TAGS = {"p", "h1", "h2", "h3", "h4", "h5", "h6", "li", "dt", "dd", "td", "th", "blockquote", "pre", "figcaption", "caption"}
+#: Weights of the classifier: positive speaks for content. First of blocks, then of elements.
 WEIGHTS = {
-    "base": -0.4, "boiler": -7.0, "page_header": -7.0, "article": 2.5, "paragraph": 1.0, "heading": 0.6, "item": -0.3,
-    "long": 1.5, "sentence": 0.7, "links": -3.0, "outside": -0.6, "short": -0.3,
+    "base": -0.3, "paragraph": 1.0, "heading": 0.6, "item": 0.0, "long": 1.5, "sentence": 0.7, "links": -3.0, "short": -0.2,
+    "boiler": -6.0, "hint": -1.5, "article": 2.0, "main": 1.0, "outside": -0.6,
 }
-SMOOTH_NEXT, SMOOTH_NEAR = 0.8, 1.2
+#: What is left of an element's leaning one level below, and its bounds.
+FADE, LOWEST, HIGHEST = 0.85, -6.0, 2.5
+#: Capacities of smoothness: block and element, element and parent (for each block
+#: below), neighbours; across a named container.
+TO_ELEMENT, TO_PARENT, TO_NEXT, ACROSS = 3.5, 0.6, 0.8, 0.1
+
+
+@dataclass
+class Element:
+    parent: int
+    leaning: float
+    named: bool
+    article: bool
 
 
 @dataclass
 class Block:
-    parts: list[str]
-    path: tuple[int, ...]
+    element: int
     tag: str
-    boiler: bool
-    article: bool
-    header: bool
+    parts: list[str]
     linked: int = 0
     text: str = field(default="")
 
@@ -82,30 +104,42 @@ class Block:
 @dataclass
 class _Open:
     tag: str
-    key: int
-    boiler: bool
-    article: bool
-    header: bool
+    element: int
 
 
-def _named(attributes: str) -> tuple[bool, bool]:
-    """Whether class, id or role name boilerplate, and whether they name main text."""
-    boiler = main = False
+def named(tag: str, attributes: str, in_article: bool) -> tuple[float, bool, bool]:
+    """An element's own leaning, whether it is a border, and whether it marks the main text."""
+    w = WEIGHTS
+    boiler = tag in BOILER_TAGS or tag == "header" and not in_article
+    hint, main = False, False
     for match in NAMES.finditer(attributes):
         for name in BLANK.split(match[2] or match[3] or match[4] or ""):
             parts = {x.lower() for x in WORDS_OF_NAME.findall(name)}
+            told = parts & BOILER_WORDS
             plain = re.sub(r"[^a-z]", "", name.lower())
-            boiler = boiler or bool(parts & BOILER_WORDS) or plain in BOILER_WORDS
-            main = main or plain in MAIN_WORDS or bool(parts & {"article", "main", "post", "entry", "story"})
-    return boiler, main
-
-
-def blocks(page: str) -> list[Block]:
-    """The page's blocks of text in order."""
+            if told == {"header"} and parts & TITLE_WORDS:
+                continue
+            if plain in BOILER_WORDS or told and not parts - told - PLAIN_WORDS:
+                boiler = True
+            elif told:
+                hint = True
+            elif plain in MAIN_WORDS:
+                main = True
+    marks = tag in ("article", "main")
+    # The name of an article's own element says how it is shown, not what it is.
+    if boiler and marks and main:
+        boiler, hint = False, True
+    leaning = w["boiler"] * boiler + w["hint"] * (hint and not boiler) + w["article"] * marks + w["main"] * main
+    return leaning, boiler or marks or main, (marks or main) and not boiler
+
+
+def blocks(page: str) -> tuple[list[Block], list[Element]]:
+    """The page's blocks of text in order, and the elements that hold them."""
     found: list[Block] = []
-    stack: list[_Open] = [_Open("", 0, False, False, False)]
+    elements = [Element(-1, 0.0, False, False)]
+    stack: list[_Open] = [_Open("", 0)]
     current: Block | None = None
-    at, keys, links, skip = 0, 0, 0, ""
+    at, links, skip = 0, 0, ""
     in_head = False
 
     def text(raw: str) -> None:
@@ -114,8 +148,7 @@ def blocks(page: str) -> list[Block]:
             return
         decoded = html.unescape(raw)
         if current is None:
-            top = stack[-1]
-            current = Block([], tuple(x.key for x in stack), top.tag, top.boiler, top.article, top.header)
+            current = Block(stack[-1].element, stack[-1].tag, [])
         current.parts.append(decoded)
         if links:
             current.linked += len(decoded.strip())
@@ -145,8 +178,6 @@ def blocks(page: str) -> list[Block]:
         if tag in ("head", "body", "html"):
             end_block()
             in_head = tag == "head" and not closing
-            if tag != "head":
-                in_head = False
             continue
         if tag in INLINE:
             if tag == "a":
@@ -163,33 +194,29 @@ def blocks(page: str) -> list[Block]:
                     break
             continue
         in_head = False
-        while len(stack) > 1 and stack[-1].tag in CLOSES.get(tag, () if tag in INLINE else {"p"}):
+        while len(stack) > 1 and stack[-1].tag in CLOSES.get(tag, {"p"}):
             stack.pop()
-        keys += 1
-        top = stack[-1]
-        boiler, main = _named(attributes)
-        article = top.article or tag in ("article", "main") or main and not boiler
-        header = top.header or tag == "header" and not top.article
-        stack.append(_Open(tag, keys, top.boiler or tag in BOILER_TAGS or boiler, article, header))
+        above = stack[-1].element
+        around = elements[above]
+        own, border, marks = named(tag, attributes, around.article)
+        if tag in TEXT_TAGS and not own:
+            # Its blocks stand in the element around it.
+            stack.append(_Open(tag, above))
+            continue
+        leaning = min(HIGHEST, max(LOWEST, own + FADE * around.leaning))
+        elements.append(Element(above, leaning, border, marks or around.article and own > WEIGHTS["boiler"] / 2))
+        stack.append(_Open(tag, len(elements) - 1))
     # Text that opens a tag which never ends is markup, not text.
     rest = page[at:]
     text(rest if not re.match(r"<[a-zA-Z/!?]", rest) else "")
     end_block()
-    return found
+    return found, elements
 
 
-def leaning(block: Block, any_article: bool) -> float:
-    """Log odds of content."""
+def leaning(block: Block) -> float:
+    """Log odds of content by what the block itself is."""
     w, n = WEIGHTS, len(block.text)
     value = w["base"]
-    if block.boiler:
-        value += w["boiler"]
-    if block.header:
-        value += w["page_header"]
-    if block.article:
-        value += w["article"]
-    elif any_article:
-        value += w["outside"]
     if block.tag == "p":
         value += w["paragraph"]
     elif re.fullmatch(r"h[1-6]", block.tag):
@@ -261,51 +288,70 @@ class FlowNetwork:
                     following[a] += 1
 
 
-def tree_distance(a: tuple[int, ...], b: tuple[int, ...]) -> int:
-    shared = 0
-    for x, y in zip(a, b, strict=False):
-        if x != y:
-            break
-        shared += 1
-    return len(a) + len(b) - 2 * shared
-
-
-def label(found: list[Block]) -> list[bool]:
+def graph(found: list[Block], elements: list[Element]) -> tuple[list[float], list[tuple[int, int, float]]]:
+    """Leaning of every node and (node, node, capacity) of the smoothness edges.
+
+    Nodes are the blocks in order, then the elements that hold blocks. An element
+    weighs as much as the blocks that stand in it directly.
+    """
+    used: dict[int, int] = {}
+    below = [0] * len(elements)
+    for block in found:
+        e = block.element
+        below[e] += 1
+        while e >= 0 and e not in used:
+            used[e] = len(found) + len(used)
+            e = elements[e].parent
+    any_article = any(elements[b.element].article and elements[b.element].leaning > 0 for b in found)
+    costs = [leaning(b) for b in found] + [0.0] * len(used)
+    edges: list[tuple[int, int, float]] = []
+    for i, block in enumerate(found):
+        element = elements[block.element]
+        node = used[block.element]
+        costs[node] += element.leaning + (WEIGHTS["outside"] if any_article and not element.article else 0.0)
+        edges.append((i, node, TO_ELEMENT))
+        if i:
+            before = found[i - 1].element
+            crosses = before != block.element and (_border(elements, before) != _border(elements, block.element))
+            edges.append((i - 1, i, ACROSS if crosses else TO_NEXT))
+    # A parent comes before its children.
+    for e in sorted(used, reverse=True):
+        parent = elements[e].parent
+        if parent >= 0:
+            below[parent] += below[e]
+            edges.append((used[e], used[parent], ACROSS if elements[e].named else TO_PARENT * below[e]))
+    return costs, edges
+
+
+def _border(elements: list[Element], e: int) -> int:
+    """The named container around an element."""
+    while e > 0 and not elements[e].named:
+        e = elements[e].parent
+    return e
+
+
+def label(found: list[Block], elements: list[Element]) -> list[bool]:
     """True for the blocks on the content side of the cut."""
-    any_article = any(b.article and not b.boiler for b in found)
-    costs = [leaning(b, any_article) for b in found]
-    if all(c > 0 for c in costs) or all(c <= 0 for c in costs):
-        return [c > 0 for c in costs]
-    n = len(found)
+    costs, edges = graph(found, elements)
+    if all(c >= 0 for c in costs) or all(c <= 0 for c in costs):
+        return [c > 0 or any(x > 0 for x in costs) for c in costs[: len(found)]]
+    n = len(costs)
     network = FlowNetwork(n + 2)
     for i, cost in enumerate(costs):
         if cost > 0:
             network.join(n, i, cost)
         elif cost < 0:
             network.join(i, n + 1, -cost)
-    last_under: dict[int, int] = {}
-    for i, block in enumerate(found):
-        weight = 0.0
-        if i:
-            other = found[i - 1]
-            # A named container is a border: little smoothness crosses it.
-            crosses = (block.boiler, block.header, block.article) != (other.boiler, other.header, other.article)
-            weight = (0.1 if crosses else SMOOTH_NEXT) + (0 if crosses else SMOOTH_NEAR / 2 ** tree_distance(block.path, other.path))
-            network.join(i - 1, i, weight, weight)
-        parent = block.path[-2] if len(block.path) > 1 else 0
-        near = last_under.get(parent)
-        if near is not None and near != i - 1 and (found[near].boiler, found[near].header) == (block.boiler, block.header):
-            near_weight = SMOOTH_NEAR / 2 ** tree_distance(block.path, found[near].path)
-            network.join(near, i, near_weight, near_weight)
-        last_under[parent] = i
-    return network.source_side(n, n + 1)[:n]
+    for a, b, weight in edges:
+        network.join(a, b, weight, weight)
+    return network.source_side(n, n + 1)[: len(found)]
 
 
 def main_text(page: str | None) -> str:
     if not page:
         return ""
-    found = blocks(page)
-    return " ".join(b.text for b, keep in zip(found, label(found), strict=True) if keep)
+    found, elements = blocks(page)
+    return " ".join(b.text for b, keep in zip(found, label(found, elements), strict=True) if keep)
 
 
 def extract(pages: DataFrame) -> DataFrame:

@@ -394,6 +394,60 @@ def test_html(spark):
     assert network.source_side(2, 3) == [True, False, True, False]
 
 
+LONG = "A long paragraph that goes on for a while, with many words in it and a full stop at its end, as paragraphs have them."
+
+
+def page_of(*lines):
+    return "".join(lines).replace("%s", LONG)
+
+
+@pytest.mark.parametrize("name", ["content has-sidebar", "post comments-open", "post category-search", "entry no-comments share-enabled"])
+@pytest.mark.parametrize("tag", ["div", "article"])
+def test_html_names_that_only_hint_lose_nothing(name, tag):
+    got = html_extract.main_text(page_of(f'<body><{tag} class="{name}"><h1>Title</h1><p>%s</p><p>Yes.</p></{tag}>'))
+    assert got == f"Title {LONG} Yes."
+
+
+def test_html_cut_differs_from_the_sign_and_is_right():
+    page = page_of(
+        '<body><div class="site-header"><p>%s</p></div><div><h1>Title</h1><div>By Ann</div><p>%s</p><ul><li>Milk</li><li>Bread</li><li>Salt</li></ul><p>%s</p></div>',
+        '<div class="sidebar"><div><p>%s</p><p>%s</p></div></div><section id="comments"><article><p>%s</p></article><article class="comment"><p>%s</p></article></section>',
+        '<div class="cookie-notice"><p>%s</p></div><div><ul><li><a href="/a">More</a></li><li><a href="/b">Others</a></li></ul></div>',
+    )
+    found, elements = html_extract.blocks(page)
+    kept = html_extract.label(found, elements)
+    assert html_extract.main_text(page) == f"Title By Ann {LONG} Milk Bread Salt {LONG}"
+    costs, _ = html_extract.graph(found, elements)
+    changed = [found[i].text for i in range(len(found)) if (costs[i] > 0) != kept[i]]
+    assert {"By Ann", "Milk", "Bread", "Salt"} <= set(changed) and changed.count(LONG) == 6
+
+
+def test_html_cut_is_the_minimum():
+    rng = random.Random(9)
+    lines = ["<p>%s</p>", "<p>No.</p>", "<div>word</div>", "<ul><li>a</li><li><a>b</a></li></ul>", '<div class="ad"><p>%s</p></div>', "<aside><p>x y</p></aside>", "<article><p>%s</p></article>"]
+    for _ in range(60):
+        found, elements = html_extract.blocks(page_of(*(rng.choice(lines) for _ in range(rng.randrange(1, 6)))))
+        costs, edges = html_extract.graph(found, elements)
+        if len(costs) > 13:
+            continue
+
+        def cost(side):
+            """Capacity cut: costs of the wrong side and edges between the sides."""
+            return sum(max(c, 0) if not s else max(-c, 0) for c, s in zip(costs, side, strict=True)) + sum(w for a, b, w in edges if side[a] != side[b])
+
+        best = min(cost([m >> i & 1 for i in range(len(costs))]) for m in range(1 << len(costs)))
+        kept = html_extract.label(found, elements)
+        free = len(costs) - len(found)
+        got = min(cost([*kept, *(m >> i & 1 for i in range(free))]) for m in range(1 << free))
+        assert abs(got - best) < 1e-9
+
+
+def test_html_long_pages_are_whole():
+    got = html_extract.main_text(page_of("<article>", *["<p>%s</p>"] * 3000, "</article>", *['<div class="ad"><p>%s</p></div>'] * 300))
+    assert got == " ".join([LONG] * 3000)
+    assert html_extract.main_text("<div>" * 3000 + LONG + "</div>" * 3000) == LONG
+
+
 def test_chat(spark):
     turns = [(1, 0, "ann", "hi"), (1, 1, "bob", "<|end|> yo"), (1, 2, "ann", None), (1, 2, "ann", None), (2, None, None, "alone"), (None, 3, "x", "é")]
     frame = spark.createDataFrame(turns, "conv_id long, turn long, role string, text string")
