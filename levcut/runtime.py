@@ -24,14 +24,22 @@ class TooLarge(ValueError):
     """A result that was to be small is not; nothing is ever truncated."""
 
 
-def ship(spark: SparkSession, value) -> Callable[[], object]:
-    """What gives the value inside a task; it is broadcast with its classes by value."""
+def ship(spark: SparkSession, value, keep: bool = True) -> Callable[[], object]:
+    """What gives the value inside a task; it is broadcast with its classes by value.
+
+    Without ``keep`` every call reads it anew and holds nothing afterwards.
+    """
     held, known = spark.sparkContext.broadcast(cloudpickle.dumps(value)), []
 
     def get():
-        if not known:
-            known.append(pickle.loads(held.value))
-        return known[0]
+        if known:
+            return known[0]
+        found = pickle.loads(held.value)
+        if keep:
+            known.append(found)
+        else:
+            vars(held).pop("_value", None)
+        return found
 
     return get
 
