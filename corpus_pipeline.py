@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 from levcut.llm import decontaminate, mixing, quality, shards, similar, simhash
-from levcut.llm.common import checkpoint_folder, table
+from levcut.llm.common import checkpoint_folder, drop_folder, drop_stored, table
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
@@ -48,11 +48,17 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over documents; each result is written and read again.
 
-    The written tables stand in the shared checkpoint folder of the session.
+    The written tables stand in the shared checkpoint folder of the session. When a
+    stage is written, the table that it has read and its own helping tables go; the
+    last table stays, as the result reads it.
     """
     base = f"{checkpoint_folder(spark).rstrip('/')}/pipeline-{uuid.uuid4().hex}"
-    docs = table(spark, sf_dir, "documents")
+    docs, before = table(spark, sf_dir, "documents"), None
     for name, stage in STAGES:
         stage(spark, docs, sf_dir).write.parquet(f"{base}/{name}")
-        docs = spark.read.parquet(f"{base}/{name}")
+        drop_stored(spark)
+        if before:
+            drop_folder(spark, before)
+        before = f"{base}/{name}"
+        docs = spark.read.parquet(before)
     return docs

@@ -6,28 +6,36 @@ whole window less one. Where the jump is zero, the bucket of the pair lists the
 patterns that end in it, and whole windows are compared. Patterns of one length
 share a searcher; items shorter than a window have searchers of their own.
 
-A pattern set is sent to the executors in blocks of bounded size; more blocks
-mean more passes in the same map stage, so there is no shuffle at all.
+The benchmark's words are sent to the executors in blocks of bounded size (in all
+the size of its texts). A task holds one block's tables at a time: with one block
+they stay, with more a task gathers documents up to HELD bytes and passes them
+through block after block. So memory is bounded for any benchmark, texts cross to
+Python once, and there is no shuffle at all.
 
 Nulls: a null text has no words and hits nothing; an item without words gives
 no window; a null item_id counts as an item but not in the list of ids.
-Repeated items count once. Empty tables give empty results or no hits; columns
-of other names pass through, result columns of the same name are replaced.
+Repeated items count once. Very long texts are searched whole. Empty tables give
+empty results or no hits; columns of other names pass through flag(), result
+columns of the same name are replaced; clean() keeps every column as it is.
 """
 
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
-from levcut.llm.common import WORD_BYTES, map_arrow
+from levcut.llm.common import WORD_BYTES, map_arrow, ship, text_column
 
 WINDOW = 10
 #: Windows of a pattern block: about 200 MB in a Python worker.
 BLOCK_WINDOWS = 200_000
+#: Bytes of documents that a task passes through the blocks at once.
+HELD = 32 << 20
 
 
 def words(text: str | None) -> list[bytes]:
@@ -104,73 +112,98 @@ def merge(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     return [(a, b) for a, b in out]
 
 
-def blocks(benchmark: DataFrame, window: int, limit: int) -> Iterator[Patterns]:
-    """Pattern blocks of at most about ``limit`` windows, in order of item."""
-    taken: list = []
+def blocks(benchmark: DataFrame, window: int, limit: int) -> Iterator[list[tuple[str | None, bytes]]]:
+    """(item, words) of the benchmark in blocks of at most about ``limit`` windows."""
+    taken: list[tuple[str | None, bytes]] = []
     size = 0
     for row in benchmark.select("item_id", "text").toLocalIterator():
         text = words(row["text"])
-        taken.append((row["item_id"], text))
+        taken.append((None if row["item_id"] is None else str(row["item_id"]), b" ".join(text)))
         size += max(1, len(text) - window + 1)
         if size >= limit:
-            yield Patterns(taken, window)
+            yield taken
             taken, size = [], 0
-    yield Patterns(taken, window)
+    yield taken
 
 
 ADDED = "n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, hit_spans array<array<int>>"
 
 
-def flag(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, limit: int = BLOCK_WINDOWS) -> DataFrame:
-    """docs with n_words, n_hit, n_items, items_sha256, contaminated, hit_spans.
+def search(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, limit: int = BLOCK_WINDOWS, held_bytes: int = HELD) -> DataFrame:
+    """The rows of docs in a struct ``kept``, and n_words ... hit_spans beside it.
 
     hit_spans holds the merged [start, end) word positions inside occurrences.
     """
+    spark = docs.sparkSession
     names = [x.split()[0] for x in ADDED.split(", ")]
-    docs = docs.drop(*names, "spans_", "items_")
-    plain = docs.schema
-    context = docs.sparkSession.sparkContext
-
-    def step(shared, first: bool, last: bool):
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            patterns = shared.value
-            for batch in batches:
-                keep = batch.columns[: len(plain)]
-                text = [words(x) for x in batch.column("text").to_pylist()]
-                n = len(text)
-                spans = [[] for _ in range(n)] if first else batch.column("spans_").to_pylist()
-                items = [[] for _ in range(n)] if first else batch.column("items_").to_pylist()
-                for i, one in enumerate(text):
-                    more, found = patterns.search(one)
-                    if more:
-                        spans[i] = [list(x) for x in merge([*map(tuple, spans[i]), *more])]
-                        items[i] = list({*items[i], *("" if x is None else str(x) for x in found)})
-                if last:
-                    hit = [sum(b - a for a, b in x) for x in spans]
-                    listed = [",".join(sorted(y for y in x if y)) for x in items]
-                    added = [
-                        pa.array([len(x) for x in text], pa.int64()),
-                        pa.array(hit, pa.int64()),
-                        pa.array([len(x) for x in items], pa.int64()),
-                        pa.array([hashlib.sha256(x.encode()).hexdigest() for x in listed], pa.string()),
-                        pa.array([x > 0 for x in hit], pa.bool_()),
-                        pa.array(spans, pa.list_(pa.list_(pa.int32()))),
-                    ]
-                    yield pa.RecordBatch.from_arrays([*keep, *added], names=[*plain.names, *names])
-                else:
-                    added = [pa.array(spans, pa.list_(pa.list_(pa.int32()))), pa.array(items, pa.list_(pa.string()))]
-                    yield pa.RecordBatch.from_arrays([*keep, *added], names=[*plain.names, "spans_", "items_"])
-
-        return run
-
-    ddl = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in plain.fields)
-    held = [context.broadcast(x) for x in blocks(benchmark, window, limit)]
-    for i, shared in enumerate(held):
-        last = i == len(held) - 1
-        docs = map_arrow(docs, step(shared, i == 0, last), f"{ddl}, {ADDED if last else 'spans_ array<array<int>>, items_ array<string>'}")
-    return docs
+    taken = list(blocks(benchmark, window, limit))
+    single = len(taken) == 1
+    shared = [ship(spark, block, keep=single) for block in taken]
+    del taken
+
+    def found_in(texts: list[list[bytes]], patterns: Callable[[int], Patterns]) -> tuple[list, list]:
+        spans: list[list[tuple[int, int]]] = [[] for _ in texts]
+        items: list[set] = [set() for _ in texts]
+        for k in range(len(shared)):
+            block = patterns(k)
+            for i, one in enumerate(texts):
+                more, found = block.search(one)
+                if more:
+                    spans[i] = merge([*spans[i], *more])
+                    items[i] |= found
+        return spans, items
+
+    def result(batch: pa.RecordBatch, texts: list[list[bytes]], spans: list, items: list) -> pa.RecordBatch:
+        listed = [",".join(sorted(y for y in x if y is not None)) for x in items]
+        hit = [sum(b - a for a, b in x) for x in spans]
+        added = [
+            pa.array([len(x) for x in texts], pa.int64()),
+            pa.array(hit, pa.int64()),
+            pa.array([len(x) for x in items], pa.int64()),
+            pa.array([hashlib.sha256(x.encode()).hexdigest() for x in listed], pa.string()),
+            pa.array([x > 0 for x in hit], pa.bool_()),
+            pa.array([[list(x) for x in y] for y in spans], pa.list_(pa.list_(pa.int32()))),
+        ]
+        return pa.RecordBatch.from_arrays([batch.column(0), *added], names=["kept", *names])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known: dict[int, Patterns] = {}
+
+        def patterns(k: int) -> Patterns:
+            built = known.get(k) or Patterns(((item, text.split()) for item, text in shared[k]()), window)
+            if single:
+                known[k] = built
+            return built
+
+        def flush(waiting: list[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            texts = [[words(x) for x in batch.column(1).to_pylist()] for batch in waiting]
+            spans, items = found_in([x for one in texts for x in one], patterns)
+            at = 0
+            for batch, one in zip(waiting, texts, strict=True):
+                yield result(batch, one, spans[at : at + len(one)], items[at : at + len(one)])
+                at += len(one)
+
+        waiting: list[pa.RecordBatch] = []
+        size = 0
+        for batch in batches:
+            waiting.append(batch)
+            size += batch.nbytes
+            if single or size >= held_bytes:
+                yield from flush(waiting)
+                waiting, size = [], 0
+        if waiting:
+            yield from flush(waiting)
+
+    chosen = docs.select(F.struct("*").alias("kept"), text_column().alias("text"))
+    return map_arrow(chosen, run, StructType([chosen.schema["kept"], *StructType.fromDDL(ADDED).fields]))
+
+
+def flag(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, limit: int = BLOCK_WINDOWS, held_bytes: int = HELD) -> DataFrame:
+    """docs with n_words, n_hit, n_items, items_sha256, contaminated, hit_spans."""
+    names = [x.split()[0] for x in ADDED.split(", ")]
+    return search(docs, benchmark, window, limit, held_bytes).select(*(F.col("kept")[c].alias(c) for c in docs.columns if c not in names), *names)
 
 
 def clean(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """The documents without any occurrence, with their columns."""
-    return flag(docs, benchmark).filter("not contaminated").select(docs.columns)
+    return search(docs, benchmark).filter("not contaminated").select("kept.*")

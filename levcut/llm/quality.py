@@ -25,6 +25,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from levcut.llm import labelled
 from levcut.llm.common import map_arrow, ship, text_column
@@ -277,7 +278,7 @@ def score(docs: DataFrame, net: Net, keep: tuple[str, ...] = ("doc_id",)) -> Dat
             values = probabilities(shared(), texts) if texts else np.zeros(0)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(values.astype(np.float64))], names=["kept", "score"])
 
-    return map_arrow(chosen, run, f"kept {chosen.schema['kept'].dataType.simpleString()}, score double")
+    return map_arrow(chosen, run, StructType([chosen.schema["kept"]]).add("score", "double"))
 
 
 def judge(docs: DataFrame, labels: DataFrame) -> DataFrame:

@@ -3,13 +3,15 @@
 Every text gets a 64-bit fingerprint of its three-word shingles. Fingerprints
 within ``radius`` bits link; components are the transitive closure.
 
-Search: distinct fingerprints are cut into ``bands`` of bits. Two fingerprints
-within ``radius`` are within ``radius // bands`` on some band, so each band has
-a vantage-point tree of its own, grown from a bounded sample, whose leaves are
-shards. A fingerprint is stored in its home leaf and also visits every leaf that
-its ball overlaps (by the triangle bound); with the default of four bands and
-radius three the balls have radius zero and overlap nothing but home, which is
-why four bands are used. One band is the plain tree over whole fingerprints.
+Search: distinct fingerprints are cut into ``bands`` of bits. Of more bands than
+``radius``, two near fingerprints agree on all but ``radius``, so each choice of the
+others is a key on which they are equal; with fewer bands they are within
+``radius // bands`` on some band. Every key has a vantage-point tree of its own,
+grown from a bounded sample, whose leaves are shards. A fingerprint is stored in its
+home leaf and also visits every leaf that its ball overlaps, by the triangle bound;
+where equal keys suffice the ball has radius zero, and leaves are cut further by the
+key itself, so shards stay small at any count (``bands_for`` takes more bands where
+sixteen bits are too few). One band is the plain tree over whole fingerprints.
 Inside a shard a second vantage-point tree over whole fingerprints finds the
 pairs; the shard keeps a spanning forest of them, so copies never expand into
 all pairs and no link between components is lost.
@@ -23,14 +25,15 @@ Empty tables give empty results; other columns are ignored.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from levcut.llm.common import LOWER_BYTES, cut_lineage, map_arrow, text_column
+from levcut.llm.common import LOWER_BYTES, cut_lineage, map_arrow, ship, text_column
 
 SHINGLE, SEED, RADIUS, BANDS = 3, 42, 3, 4
 #: Fingerprints of the sample that grows the trees, and of a leaf of them.
@@ -64,16 +67,21 @@ def fingerprint(text: str) -> int:
     return int.from_bytes(np.packbits(2 * ones > n).tobytes(), "big")
 
 
+def text_id(name: str = "text") -> Column:
+    """With doc_id, what tells one row from another."""
+    return F.xxhash64(text_column(name))
+
+
 def fingerprints(docs: DataFrame) -> DataFrame:
-    """doc_id, fp (the 64 bits as a signed long)."""
+    """doc_id, text_id, fp (the 64 bits as a signed long)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            values = np.array([fingerprint(x) for x in batch.column(1).to_pylist()], np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(values)], names=["doc_id", "fp"])
+            values = np.array([fingerprint(x) for x in batch.column(2).to_pylist()], np.uint64).view(np.int64)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(values)], names=["doc_id", "text_id", "fp"])
 
-    chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_column().alias("text_"))
-    return map_arrow(chosen, run, "doc_id long, fp long")
+    chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_id().alias("text_id"), text_column().alias("text_"))
+    return map_arrow(chosen, run, "doc_id long, text_id long, fp long")
 
 
 class VantageTree:
@@ -202,27 +210,56 @@ def link_all(values: np.ndarray, radius: int, forest: Forest, leaf: int = 256) -
 
 
 def band_values(values: np.ndarray, bands: int, band: int) -> np.ndarray:
-    width = -(-64 // bands)
-    low = band * width
-    return (values >> np.uint64(low)) & np.uint64((1 << min(width, 64 - low)) - 1)
+    """Bits of one of ``bands`` bands of nearly equal width."""
+    low, high = 64 * band // bands, 64 * (band + 1) // bands
+    return (values >> np.uint64(low)) & np.uint64((1 << (high - low)) - 1)
+
+
+def key_bands(bands: int, radius: int) -> list[tuple[int, ...]]:
+    """The bands that make up each key."""
+    return list(combinations(range(bands), max(1, bands - radius)))
+
+
+def key_values(values: np.ndarray, bands: int, chosen: tuple[int, ...]) -> np.ndarray:
+    out = np.zeros(len(values), np.uint64)
+    for band in chosen:
+        width = 64 * (band + 1) // bands - 64 * band // bands
+        out = (out << np.uint64(width)) | band_values(values, bands, band) if width < 64 else values.copy()
+    return out
+
+
+def bands_for(count: int, radius: int = RADIUS, shard: int = SHARD) -> int:
+    """The fewest bands over the radius whose keys have values enough for shards of that size."""
+    bands = radius + 1
+    while bands < 2 * radius and count > shard << (64 * (bands - radius) // bands):
+        bands += 1
+    return bands
 
 
-def links(distinct: DataFrame, radius: int = RADIUS, bands: int = BANDS, sample: int = SAMPLE, shard: int = SHARD) -> DataFrame:
+def links(distinct: DataFrame, radius: int = RADIUS, bands: int | None = None, sample: int = SAMPLE, shard: int = SHARD) -> DataFrame:
     """fp, to: a spanning forest, within shards, of all links of distinct fingerprints."""
-    context = distinct.sparkSession.sparkContext
     taken = distinct.orderBy(F.xxhash64("fp")).limit(sample).collect()
     count = distinct.count() if len(taken) == sample else len(taken)
     known = np.array([r["fp"] for r in taken], np.int64).view(np.uint64)
+    bands = bands_for(count, radius, shard) if bands is None else bands
     depth = max(0, int(np.ceil(np.log2(max(1, count / shard)))))
-    trees = context.broadcast([VantageTree(band_values(known, bands, b), LEAF, depth) for b in range(bands)])
+    keys = key_bands(bands, radius)
+    reach = 0 if bands > radius else radius // bands
+    grown = [VantageTree(key_values(known, bands, k), LEAF, depth) for k in keys]
+    # Where the bounded tree has too few leaves, equal keys still meet in a part of one.
+    parts = [1 if reach else max(1, -(-count // (shard * tree.leaves))) for tree in grown]
+    shared = ship(distinct.sparkSession, grown)
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        trees = shared()
         for batch in batches:
             values = batch.column(0).to_numpy(zero_copy_only=False).astype(np.int64).view(np.uint64)
-            for band, tree in enumerate(trees.value):
-                rows, leaves, _ = tree.visit(band_values(values, bands, band), radius // bands)
+            for at, (tree, chosen) in enumerate(zip(trees, keys, strict=True)):
+                of_key = key_values(values, bands, chosen)
+                rows, leaves, _ = tree.visit(of_key, reach)
+                part = (of_key[rows] * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(33)) % np.uint64(parts[at])
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(np.full(len(rows), band, np.int32)), pa.array(leaves.astype(np.int32)), pa.array(values[rows].view(np.int64))],
+                    [pa.array(np.full(len(rows), at, np.int32)), pa.array(leaves * parts[at] + part.astype(np.int64)), pa.array(values[rows].view(np.int64))],
                     names=["band", "leaf", "fp"],
                 )
 
@@ -247,7 +284,7 @@ def links(distinct: DataFrame, radius: int = RADIUS, bands: int = BANDS, sample:
             if len(moved):
                 yield pa.RecordBatch.from_arrays([pa.array(fp[a:b][moved]), pa.array(fp[a:b][roots[moved]])], names=["fp", "to"])
 
-    dealt = distinct.select("fp").mapInArrow(deal, "band int, leaf int, fp long")
+    dealt = distinct.select("fp").mapInArrow(deal, "band int, leaf long, fp long")
     return dealt.repartition("band", "leaf").mapInArrow(pair, "fp long, to long").distinct()
 
 
@@ -283,16 +320,16 @@ def components(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
     return roots.union(edges.select(F.col("b").alias("fp"), F.col("b").alias("root")).distinct())
 
 
-def cluster(docs: DataFrame, radius: int = RADIUS, bands: int = BANDS) -> DataFrame:
-    """doc_id, fp, component_id for every document."""
+def cluster(docs: DataFrame, radius: int = RADIUS, bands: int | None = None) -> DataFrame:
+    """doc_id, text_id, fp, group, component_id for every document."""
     rows = cut_lineage(fingerprints(docs))
     distinct = cut_lineage(rows.groupBy("fp").agg(F.min("doc_id").alias("least")))
     found = components(links(distinct, radius, bands))
     rooted = distinct.join(found, "fp", "left").withColumn("root", F.coalesce("root", "fp"))
     lowest = rooted.filter("fp != root").groupBy("root").agg(F.min("least").alias("below"))
     roots = rooted.filter("fp = root").join(lowest, "root", "left").select("root", F.least("least", "below").alias("component_id"))
-    by_fp = rooted.select("fp", "root").join(roots, "root").select("fp", "component_id")
-    return rows.join(by_fp, "fp").select("doc_id", "fp", "component_id")
+    by_fp = rooted.select("fp", "root").join(roots, "root").select("fp", F.col("root").alias("group"), "component_id")
+    return rows.join(by_fp, "fp").select("doc_id", "text_id", "fp", "group", "component_id")
 
 
 def near_duplicates(docs: DataFrame) -> DataFrame:
@@ -302,16 +339,22 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
 
 
 def keep_one(docs: DataFrame, found: DataFrame | None = None) -> DataFrame:
-    """One document of each component, the one of least doc_id, with its columns.
+    """One row of each component, the one of least doc_id, then text_id, with its columns.
 
-    ``found`` has doc_id and component_id; by default the components of cluster().
-    Rows without doc_id stay. Of rows that share the kept doc_id one stays.
+    ``found`` has doc_id, text_id and group of every row; by default those of
+    cluster(). Rows are told apart by doc_id and text, so of rows that share a
+    doc_id each stays or goes with its own component; a null doc_id is last. Rows
+    equal in both are copies, of which one stays.
     """
-    found = cut_lineage(cluster(docs) if found is None else found)
-    gone = found.filter("doc_id != component_id").select("doc_id").distinct()
-    kept = docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
-    again = found.filter("doc_id = component_id").groupBy("doc_id").count().filter("count > 1").select("doc_id")
+    found = cut_lineage((cluster(docs) if found is None else found).groupBy("group", "doc_id", "text_id").agg(F.count("*").alias("n")))
+    first = found.groupBy("group").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "text_id")).alias("first"))
+    stays = found.join(first, "group").withColumn("stays", F.col("doc_id").eqNullSafe(F.col("first.doc_id")) & (F.col("text_id") == F.col("first.text_id")))
+    stays = cut_lineage(stays.select(F.col("doc_id").alias("id_"), F.col("text_id").alias("key_"), "stays", "n"))
+    keyed = docs.select(F.struct("*").alias("kept"), F.col("doc_id").cast("long").alias("doc"), text_id().alias("key"))
+    same = F.col("doc").eqNullSafe(F.col("id_")) & (F.col("key") == F.col("key_"))
+    kept = keyed.join(stays.filter("not stays"), same, "left_anti")
+    again = stays.filter("stays and n > 1")
     if again.isEmpty():
-        return kept
-    once = kept.join(again, "doc_id", "left_anti").select(*docs.columns)
-    return once.unionByName(kept.join(again, "doc_id", "left_semi").select(*docs.columns).dropDuplicates(["doc_id"]))
+        return kept.select("kept.*")
+    once = kept.join(again, same, "left_anti")
+    return once.unionByName(kept.join(again, same, "left_semi").dropDuplicates(["doc", "key"])).select("kept.*")

@@ -18,7 +18,6 @@ equal set. Rows with null doc_id link as in ``simhash``.
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
@@ -28,7 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from levcut.llm import simhash
-from levcut.llm.common import checkpoint_folder, map_arrow, text_column
+from levcut.llm.common import map_arrow, stored, text_column
 
 SHINGLE, SEED, SIMILAR = 5, 43, 0.8
 BANDS, ROWS = 40, 6
@@ -36,17 +35,6 @@ BANDS, ROWS = 40, 6
 PIECE = 4096
 
 
-def stored(df: DataFrame) -> DataFrame:
-    """The rows, written to the shared checkpoint folder and read again.
-
-    Not checkpoint(): what the optimizer keeps of a checkpoint's plan makes
-    unions over several of them fail with columns that are not found.
-    """
-    path = f"{checkpoint_folder(df.sparkSession).rstrip('/')}/similar-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
 def shingles(text: str) -> np.ndarray:
     """The distinct hashes of a text's shingles, sorted; a shorter text is one shingle."""
     listed = simhash.words(text)
@@ -81,26 +69,27 @@ def band_keys(values: np.ndarray, times: np.ndarray, plus: np.ndarray) -> np.nda
 
 
 def sketches(docs: DataFrame) -> DataFrame:
-    """doc_id, fp, set_id (hash of the shingle set), keys, hashes."""
+    """doc_id, text_id, fp, set_id (hash of the shingle set), keys, hashes."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         times, plus = _mixers()
         for whole in batches:
             for at in range(0, whole.num_rows, 100):
                 batch = whole.slice(at, 100)
-                texts = batch.column(1).to_pylist()
+                texts = batch.column(2).to_pylist()
                 sets = [shingles(x) for x in texts]
                 columns = [
                     batch.column(0),
+                    batch.column(1),
                     pa.array(np.array([simhash.fingerprint(x) for x in texts], np.uint64).view(np.int64)),
                     pa.array(np.array([xxhash.xxh64_intdigest(s.tobytes(), SEED) for s in sets], np.uint64).view(np.int64)),
                     pa.array([band_keys(s, times, plus) for s in sets], pa.list_(pa.int64())),
                     pa.array([s.view(np.int64) for s in sets], pa.list_(pa.int64())),
                 ]
-                yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "fp", "set_id", "keys", "hashes"])
+                yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "text_id", "fp", "set_id", "keys", "hashes"])
 
-    chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_column().alias("text_"))
-    return map_arrow(chosen, run, "doc_id long, fp long, set_id long, keys array<long>, hashes array<long>")
+    chosen = docs.select(F.col("doc_id").cast("long").alias("doc_id"), simhash.text_id().alias("text_id"), text_column().alias("text_"))
+    return map_arrow(chosen, run, "doc_id long, text_id long, fp long, set_id long, keys array<long>, hashes array<long>")
 
 
 def verified(pairs: DataFrame, sets: DataFrame, similar: float = SIMILAR) -> DataFrame:
@@ -138,7 +127,7 @@ def links(rows: DataFrame, similar: float = SIMILAR) -> DataFrame:
 
 
 def cluster(docs: DataFrame, similar: float = SIMILAR) -> DataFrame:
-    """doc_id, component_id for every document, by fingerprints and by shingle sets."""
+    """doc_id, text_id, group, component_id for every document, by fingerprints and by shingle sets."""
     rows = stored(sketches(docs))
     known = rows.select("fp", "set_id").distinct()
     found = stored(simhash.components(simhash.links(stored(known.select("fp").distinct()))))
@@ -150,5 +139,5 @@ def cluster(docs: DataFrame, similar: float = SIMILAR) -> DataFrame:
     least = rows.groupBy("set_id").agg(F.min("doc_id").alias("least"))
     rooted = stored(least.join(roots, "set_id", "left").withColumn("root", F.coalesce("root", "set_id")))
     lowest = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    by_set = rooted.join(lowest, "root").select("set_id", "component_id")
-    return rows.select("doc_id", "set_id").join(by_set, "set_id").select("doc_id", "component_id")
+    by_set = rooted.join(lowest, "root").select("set_id", F.col("root").alias("group"), "component_id")
+    return rows.select("doc_id", "text_id", "set_id").join(by_set, "set_id").select("doc_id", "text_id", "group", "component_id")

@@ -205,11 +205,15 @@ def test_decontamination(spark, docs, empty):
         digest = hashlib.sha256(",".join(sorted(map(str, found))).encode()).hexdigest()
         expected.append((i, len(w), len(hit), len(found), digest, bool(hit)))
     key = lambda r: tuple(str(x) for x in r)
-    for limit in (200_000, 7):
-        got = decontaminate.flag(docs, bench, limit=limit).select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated")
+    for limit, held in ((200_000, 1 << 20), (7, 1 << 20), (7, 1)):
+        got = decontaminate.flag(docs, bench, limit=limit, held_bytes=held).select("doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated")
         assert sorted(map(tuple, got.collect()), key=key) == sorted(expected, key=key)
     assert any(x[-1] for x in expected) and not all(x[-1] for x in expected)
     assert decontaminate.clean(docs, bench).columns == docs.columns
+    odd = docs.withColumnRenamed("lang", "spans_").withColumnRenamed("source", "contaminated").withColumnRenamed("shard", "a b.c")
+    cleaned = decontaminate.clean(odd, bench)
+    assert cleaned.columns == odd.columns
+    assert sorted(r["doc_id"] or -1 for r in cleaned.collect()) == sorted((x[0] or -1) for x in expected if not x[-1])
     assert decontaminate.flag(empty, bench).count() == 0
     assert decontaminate.flag(docs, bench.limit(0)).filter("contaminated").count() == 0
 
@@ -238,7 +242,7 @@ def test_simhash(docs, empty):
     expected = [(i, f"{fp:016x}", least.get(g)) for (i, fp), g in zip(listed, group, strict=True)]
     key = lambda r: tuple(str(x) for x in r)
     assert sorted(map(tuple, simhash.near_duplicates(docs).collect()), key=key) == sorted(expected, key=key)
-    for bands in (1, 2):
+    for bands in (1, 2, 5, 6):
         found = simhash.cluster(docs, bands=bands).select("doc_id", "component_id").collect()
         assert sorted(map(tuple, found), key=key) == sorted([(a, c) for a, _, c in expected], key=key)
     assert simhash.near_duplicates(empty).count() == 0
@@ -247,6 +251,48 @@ def test_simhash(docs, empty):
     assert sorted(ids) == sorted(set(least.values())) and kept.columns == docs.columns
 
 
+def test_keep_one_by_row_not_by_id(spark):
+    rng = random.Random(11)
+    text = lambda: " ".join(f"u{rng.randrange(10**6)}" for _ in range(40))
+    a, b, c, d, e = (text() for _ in range(5))
+    made = [(5, a), (5, b), (3, c), (7, c), (7, d), (7, d), (None, e), (None, e), (9, e), (None, None)]
+    docs = spark.createDataFrame([(i, t, "x", "y", 1) for i, t in made], "doc_id long, text string, kept string, key string, n long").repartition(3)
+    from levcut.llm import similar
+
+    for found in (None, similar.cluster(docs.select("doc_id", "text"))):
+        kept = simhash.keep_one(docs, found)
+        assert kept.columns == docs.columns
+        assert sorted((r["doc_id"] or -1, r["text"]) for r in kept.filter("text is not null").collect()) == sorted([(5, a), (5, b), (3, c), (7, d), (9, e)])
+        assert kept.filter("text is null").count() == 1
+
+
+def test_keys_of_near_fingerprints_meet_at_any_count():
+    rng = np.random.default_rng(3)
+    for bands in range(4, 7):
+        keys = simhash.key_bands(bands, 3)
+        for _ in range(300):
+            x = rng.integers(0, 2**64, dtype=np.uint64, size=1)
+            y = x.copy()
+            for bit in rng.choice(64, 3, replace=False):
+                y ^= np.uint64(1) << np.uint64(bit)
+            assert any(simhash.key_values(x, bands, k)[0] == simhash.key_values(y, bands, k)[0] for k in keys)
+    assert [simhash.bands_for(10**k) for k in (3, 7, 9, 12)] == [4, 4, 5, 6]
+
+
+def test_parts_of_leaves_lose_no_link(spark):
+    rng = random.Random(12)
+    base = [rng.getrandbits(64) for _ in range(700)]
+    near = [x ^ (1 << rng.randrange(64)) ^ (1 << rng.randrange(64)) for x in base[:300]]
+    signed = sorted({x - (1 << 64) if x >> 63 else x for x in base + near})
+    frame = spark.createDataFrame([(x,) for x in signed], "fp long").repartition(4)
+    for bands, sample in ((None, 8192), (None, 16), (5, 16), (1, 64)):
+        found = simhash.components(simhash.links(frame, 3, bands, sample, 16)).collect()
+        root = {r["fp"]: r["root"] for r in found}
+        for a, b in zip(base[:300], near, strict=True):
+            a, b = (x - (1 << 64) if x >> 63 else x for x in (a, b))
+            assert root.get(a, a) == root.get(b, b)
+
+
 def test_vantage_point_search_is_exact():
     rng = np.random.default_rng(0)
     base = rng.integers(0, 1 << 63, 40, dtype=np.uint64)
