@@ -24,14 +24,16 @@ def _factor(v: DataFrame, ids: Sequence | None = None, most: int = 200_000) -> t
 
 def two_stage(
     a: DataFrame, k: int, c: int | None = None, rule: str = "low_rr", scheme: str = "with_replacement", seed: int = 0,
-    probs: str = "basis", found: svd.Svd | None = None, tries: int = 5,
+    probs: str = "basis", found: svd.Svd | None = None, tries: int = 5, axis: str = "columns",
 ) -> list:
-    """Exactly k column ids: c columns of the top-k basis are drawn by leverage and
+    """Exactly k column ids (axis="rows": row ids, of the transpose): c columns of the top-k basis are drawn by leverage and
     rescaled, and a deterministic rule picks k of them.
 
     Both stages look at the basis, never at A. A draw with fewer than k distinct
     columns is repeated with the next seed, at last filled up by leverage.
     """
+    if axis == "rows":
+        return two_stage(svd.transpose(a), k, c, rule, scheme, seed, probs, found, tries)
     found = found or svd.topk(a, k)
     p = leverage.columns(found.v, k, probs, a).cache()
     c = c or max(k, math.ceil(2 * k * math.log(max(2, k)) + k))
@@ -64,9 +66,9 @@ def qr_on_basis(a: DataFrame, k: int, rule: str = "pivot", found: svd.Svd | None
     return [ids[i] for i in qr.select(mat, min(k, found.k), rule)]
 
 
-def qr_on_matrix(a: DataFrame, k: int, rule: str = "pivot") -> list:
+def qr_on_matrix(a: DataFrame, k: int, rule: str = "pivot", known: tuple[list, np.ndarray] | None = None) -> list:
     """The conventional baseline: the rule on A itself, through its Gram matrix."""
-    ids, g = svd.gram(a)
+    ids, g = known or svd.gram(a)
     return [ids[i] for i in qr.select(_root(g), k, rule)]
 
 
@@ -76,11 +78,18 @@ def _root(g: np.ndarray) -> np.ndarray:
     return np.sqrt(np.maximum(values, 0))[:, None] * vectors.T
 
 
-def naive_hybrid(a: DataFrame, k: int, c: int, rule: str = "pivot", seed: int = 0) -> list:
+def naive_hybrid(a: DataFrame, k: int, c: int, rule: str = "pivot", seed: int = 0, found: svd.Svd | None = None) -> list:
     """Draws columns of A by leverage and runs the rule on those columns of A."""
-    p = leverage.columns(svd.topk(a, k).v)
+    found = found or svd.topk(a, k)
+    p = leverage.columns(found.v)
     ids = [r["col_id"] for r in sample.draw(p, c, "exponential_keys", seed).collect()]
-    order, g = svd.gram(columns_of(a, ids))
+    if found.gram is not None:
+        every, full = found.gram
+        order = sorted(ids)
+        at = [every.index(i) for i in order]
+        g = full[np.ix_(at, at)]
+    else:
+        order, g = svd.gram(columns_of(a, ids))
     return [order[i] for i in qr.select(_root(g), min(k, len(order)), rule)]
 
 
@@ -90,31 +99,43 @@ def top_loading(v: DataFrame, k: int) -> list:
     return [row[c] for c in svd.names(k)]
 
 
-def residual(a: DataFrame, ids: Sequence, norm: str = "fro", rank: int | None = None, mode: str = "best_in_span") -> float:
+def residual(
+    a: DataFrame, ids: Sequence, norm: str = "fro", rank: int | None = None, mode: str = "best_in_span", known: tuple[list, np.ndarray] | None = None
+) -> float:
     """Error of projecting A on the span of the chosen columns.
 
     With rank: onto the best rank-k part inside the span (best_in_span), or onto
-    the span of the best rank-k part of C (truncate_c).
+    the span of the best rank-k part of C (truncate_c). known: the Gram matrix of
+    A, of which everything here is a block; without it A is multiplied.
     """
     ids = list(dict.fromkeys(ids))
-    kind = a.schema["col_id"].dataType.simpleString()
-    at = F.broadcast(a.sparkSession.createDataFrame([(c, i) for i, c in enumerate(ids)], f"col_id {kind}, at_ int"))
-    stems = svd.names(len(ids), "c")
-    c = a.join(at, "col_id").groupBy("row_id").agg(*[F.sum(F.when(F.col("at_") == i, F.col("value")).otherwise(0.0)).alias(n) for i, n in enumerate(stems)])
-    g = svd.inner(c, stems)
-    w = svd.multiply(a, c, "row_id", "col_id", stems, "w")
+    if known is not None:
+        order, full = known
+        at = [order.index(i) for i in ids]
+        g, whole = full[np.ix_(at, at)], full[:, at]
+    else:
+        kind = a.schema["col_id"].dataType.simpleString()
+        at = F.broadcast(a.sparkSession.createDataFrame([(c, i) for i, c in enumerate(ids)], f"col_id {kind}, at_ int"))
+        stems = svd.names(len(ids), "c")
+        c = a.join(at, "col_id").groupBy("row_id").agg(*[F.sum(F.when(F.col("at_") == i, F.col("value")).otherwise(0.0)).alias(n) for i, n in enumerate(stems)])
+        g = svd.inner(c, stems)
+        w = svd.multiply(a, c, "row_id", "col_id", stems, "w")
     values, vectors = np.linalg.eigh(g)
     live = values > max(values.max(), 0) * 1e-11
     if rank is not None and mode == "truncate_c":
         live &= np.arange(len(values)) >= len(values) - rank
     half = vectors[:, live] / np.sqrt(values[live])
-    m = half.T @ svd.inner(w, svd.names(len(ids), "w")) @ half
+    products = whole.T @ whole if known is not None else svd.inner(w, svd.names(len(ids), "w"))
+    m = half.T @ products @ half
     if norm == "fro":
         kept = np.sort(np.linalg.eigvalsh(m))[::-1][: rank if rank is not None else len(m)]
-        return float(np.sqrt(max(0.0, svd.squared_norm(a) - kept.sum())))
-    order, full = svd.gram(a)
-    rows = {r["col_id"]: [r[n] for n in svd.names(len(ids), "w")] for r in bounded(w, svd.GRAM_COLUMNS)}
-    wm = np.array([rows.get(x, [0.0] * len(ids)) for x in order]) @ half
+        total = float(np.trace(full)) if known is not None else svd.squared_norm(a)
+        return float(np.sqrt(max(0.0, total - kept.sum())))
+    if known is None:
+        order, full = svd.gram(a)
+        rows = {r["col_id"]: [r[n] for n in svd.names(len(ids), "w")] for r in bounded(w, svd.GRAM_COLUMNS)}
+        whole = np.array([rows.get(x, [0.0] * len(ids)) for x in order])
+    wm = whole @ half
     if rank is not None and mode == "best_in_span":
         u = np.linalg.eigh(m)[1][:, ::-1][:, :rank]
         wm = wm @ u
@@ -157,17 +178,23 @@ def best_columns(a: DataFrame, k: int, most: int = 2_000_000) -> DataFrame:
     return spark.range(count).mapInPandas(run, "error double, col_ids array<string>")
 
 
-def relative_error(a: DataFrame, k: int, eps: float, seed: int = 0, scheme: str = "with_replacement", probs: DataFrame | None = None) -> tuple[list, float]:
+def relative_error(
+    a: DataFrame, k: int, eps: float, seed: int = 0, scheme: str = "with_replacement", probs: DataFrame | None = None, known: tuple[list, np.ndarray] | None = None
+) -> tuple[list, float]:
     """More than k columns by leverage: ids and the error of the best rank-k part in their span."""
-    p = probs if probs is not None else leverage.columns(svd.topk(a, k).v)
+    if probs is None:
+        found = svd.topk(a, k)
+        probs, known = leverage.columns(found.v), known or found.gram
+    p = probs
     ids = [r["col_id"] for r in sample.draw(p, sample.draws_for(k, eps), scheme, seed).collect()]
-    return ids, residual(a, ids, rank=k)
+    return ids, residual(a, ids, rank=k, known=known)
 
 
 def best_of(a: DataFrame, k: int, eps: float, repeats: int, seed: int = 0) -> tuple[list, float, list[float]]:
     """Repeats draws over one basis and keeps the least error."""
-    p = leverage.columns(svd.topk(a, k).v).cache()
-    tried = [relative_error(a, k, eps, seed + i, probs=p) for i in range(repeats)]
+    found = svd.topk(a, k)
+    p = leverage.columns(found.v).cache()
+    tried = [relative_error(a, k, eps, seed + i, probs=p, known=found.gram) for i in range(repeats)]
     p.unpersist()
     ids, error = min(tried, key=lambda x: x[1])
     return ids, error, [e for _, e in tried]
@@ -193,7 +220,7 @@ def sweep_c(a: DataFrame, k: int, cs: Sequence[int], seeds: Sequence[int], rule:
     rows = []
     for c in cs:
         for seed in seeds:
-            error = residual(a, two_stage(a, k, c, rule, seed=seed, found=found))
+            error = residual(a, two_stage(a, k, c, rule, seed=seed, found=found), known=found.gram)
             rows.append((c, seed, error, error / optimum if optimum else 1.0))
     return a.sparkSession.createDataFrame(rows, "c int, seed int, error double, ratio double")
 
@@ -203,8 +230,8 @@ def sweep_k(a: DataFrame, ks: Sequence[int], rule: str = "low_rr", seed: int = 0
     found = svd.topk(a, max(ks))
     rows = []
     for k in ks:
-        part = svd.Svd(found.v.select("col_id", *svd.names(k)), found.sigma[:k], found.total)
-        rows.append((k, residual(a, two_stage(a, k, rule=rule, seed=seed, found=part)), part.tail()))
+        part = svd.Svd(found.v.select("col_id", *svd.names(k)), found.sigma[:k], found.total, found.gram)
+        rows.append((k, residual(a, two_stage(a, k, rule=rule, seed=seed, found=part), known=found.gram), part.tail()))
     return a.sparkSession.createDataFrame(rows, "k int, error double, optimum double")
 
 
@@ -214,10 +241,11 @@ def compare_rules(a: DataFrame, k: int, rules: Sequence[str] = qr.RULES, seeds:
     optimum = found.tail() or 1.0
     rows = []
     for rule in rules:
-        rows.append(("matrix", rule, residual(a, qr_on_matrix(a, k, rule))))
-        rows.append(("basis", rule, residual(a, qr_on_basis(a, k, rule, found))))
-        rows.append(("two_stage", rule, min(residual(a, two_stage(a, k, None, rule, seed=s, found=found)) for s in seeds)))
-        rows.append(("naive_hybrid", rule, min(residual(a, naive_hybrid(a, k, 4 * k, rule, s)) for s in seeds)))
+        error = lambda ids: residual(a, ids, known=found.gram)
+        rows.append(("matrix", rule, error(qr_on_matrix(a, k, rule, found.gram))))
+        rows.append(("basis", rule, error(qr_on_basis(a, k, rule, found))))
+        rows.append(("two_stage", rule, min(error(two_stage(a, k, None, rule, seed=s, found=found)) for s in seeds)))
+        rows.append(("naive_hybrid", rule, min(error(naive_hybrid(a, k, 4 * k, rule, s, found)) for s in seeds)))
     return a.sparkSession.createDataFrame([(m, r, e, e / optimum) for m, r, e in rows], "method string, rule string, error double, ratio double")
 
 
@@ -268,10 +296,26 @@ def classify(a: DataFrame, ids: Sequence, labels: DataFrame, seed: int = 3) -> f
     return best.agg(F.avg((F.col("guess_") == F.col("truth_")).cast("double")).alias("x")).first()["x"]
 
 
+def cluster(a: DataFrame, ids: Sequence, groups: int, seed: int = 1) -> DataFrame:
+    """row_id, part: k-means of the rows over the chosen columns alone."""
+    from pyspark.ml.clustering import KMeans
+    from pyspark.ml.feature import VectorAssembler
+
+    stems = svd.names(len(ids), "c")
+    at = {i: n for i, n in zip(ids, stems, strict=True)}
+    wide = columns_of(a, ids).groupBy("row_id").agg(*[F.sum(F.when(F.col("col_id") == i, F.col("value")).otherwise(0.0)).alias(n) for i, n in at.items()])
+    every = a.select("row_id").distinct().join(wide, "row_id", "left").fillna(0.0, stems)
+    rows = VectorAssembler(inputCols=stems, outputCol="features").transform(every)
+    return KMeans(k=groups, seed=seed).fit(rows).transform(rows).select("row_id", F.col("prediction").cast("long").alias("part"))
+
+
 def transfer(a1: DataFrame, a2: DataFrame, k: int, seed: int = 0) -> DataFrame:
     """Columns chosen on one population, judged on another: error and own optimum."""
     ids = two_stage(a1, k, seed=seed)
-    rows = [("own", residual(a1, ids), svd.topk(a1, k).tail()), ("other", residual(a2, ids), svd.topk(a2, k).tail())]
+    rows = []
+    for name, a in (("own", a1), ("other", a2)):
+        found = svd.topk(a, k)
+        rows.append((name, residual(a, ids, known=found.gram), found.tail()))
     return a1.sparkSession.createDataFrame(rows, "population string, error double, optimum double")
 
 

@@ -63,16 +63,17 @@ def transform(df: DataFrame, names: Sequence[str], index: str, size: int, seed:
 
 
 def fast(df: DataFrame, y: str, xs: Sequence[str], index: str, m: int, r: int, seed: int, after: str = "uniform") -> np.ndarray:
-    """Least squares after uniformization: r rows of H D [A b] at random, or r random sums."""
-    rng = np.random.default_rng(seed)
+    """Least squares after uniformization: about r rows of H D [A b] by hash, or r random sums.
+
+    The transform moves every row twice whatever r is; the rows it keeps are a filter.
+    """
     size = padded(m)
     names = [*xs, y]
     if after == "uniform":
-        rows = sampled_rows(df, names, index, sorted(rng.choice(size, min(r, size), replace=False).tolist()), size, seed)
+        rows = transform(df, names, index, size, seed).filter(u01(index, seed + 1) < r / size)
     else:
-        rows = project(df, names, index, r, "sign", seed)
-    block = np.array([[row[c] for c in names] for row in rows.select(*names).collect()])
-    return np.linalg.lstsq(block[:, :-1], block[:, -1], rcond=None)[0]
+        rows = project(df, names, index, r, "gauss" if after == "gauss" else "sign", seed)
+    return lsq.solve(rows, y, xs, "qr")
 
 
 def project(df: DataFrame, names: Sequence[str], key: str, r: int, kind: str, seed: int) -> DataFrame:

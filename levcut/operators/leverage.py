@@ -46,9 +46,12 @@ def columns(v: DataFrame, k: int | None = None, probs: str = "basis", a: DataFra
     return scored.join(rest, "col_id").select("col_id", "score", ((F.col("p") + share) / 2).alias("p"))
 
 
-def rows(a: DataFrame, k: int) -> DataFrame:
-    """row_id, score, p: the same of the transpose."""
-    return columns(svd.topk(svd.transpose(a), k).v).withColumnRenamed("col_id", "row_id")
+def rows(a: DataFrame, k: int, found: svd.Svd | None = None) -> DataFrame:
+    """row_id, score, p: of the left vectors, which one more product gives."""
+    found = found or svd.topk(a, k)
+    u = svd.left(a, found)
+    cols = [c for c in u.columns if c != "row_id"]
+    return u.select("row_id", _squares(cols).alias("score"), (_squares(cols) / float(max(1, len(cols)))).alias("p"))
 
 
 def by_rank(v: DataFrame) -> DataFrame:

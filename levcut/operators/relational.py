@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 from levcut.runtime import cut_lineage
 
 
-def prefix_sum(df: DataFrame, order: Sequence[Column], value: str, name: str, place: str | None = None) -> DataFrame:
-    """Running sum of value over all rows in order, without one task for all.
+def prefix_sum(df: DataFrame, order: Sequence[Column], value: str, name: str, place: str | None = None, part: str | None = None) -> DataFrame:
+    """Running sum of value over all rows in order, without one task for all; part names a column for the range.
 
     Rows are dealt by range; sums of the ranges, one row each, give the offsets.
     The dealt frame is checkpointed so that both uses see the same ranges.
@@ -28,6 +28,8 @@ def prefix_sum(df: DataFrame, order: Sequence[Column], value: str, name: str, pl
     )
     if place:
         out = out.withColumn(place, F.col("n_") + F.row_number().over(inside))
+    if part:
+        out = out.withColumn(part, F.col("part_"))
     return out.drop("part_", "sum_", "n_")
 
 

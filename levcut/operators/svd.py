@@ -24,6 +24,7 @@ class Svd:
     v: DataFrame  # col_id, v0..
     sigma: np.ndarray
     total: float  # squared Frobenius norm
+    gram: tuple[list, np.ndarray] | None = None  # where it was formed
 
     @property
     def k(self) -> int:
@@ -47,15 +48,54 @@ def squared_norm(a: DataFrame) -> float:
 
 
 def gram(a: DataFrame, most: int = GRAM_COLUMNS) -> tuple[list, np.ndarray]:
-    """Column ids in order, and A'A on the driver; columns must be few."""
+    """Column ids in order, and A'A on the driver; columns must be few.
+
+    Rows are brought together once; a task adds up the products of its rows in a
+    matrix of its own, so a long row costs its length and no pairs are shuffled.
+    """
     ids = sorted(r["col_id"] for r in bounded(a.select("col_id").distinct(), most))
-    at = {c: i for i, c in enumerate(ids)}
-    other = a.select("row_id", F.col("col_id").alias("col_2"), F.col("value").alias("value_2"))
-    sums = a.join(other, "row_id").filter("col_id <= col_2").groupBy("col_id", "col_2").agg(F.sum(F.col("value") * F.col("value_2")).alias("s"))
-    g = np.zeros((len(ids), len(ids)))
-    for r in sums.toLocalIterator():
-        g[at[r["col_id"]], at[r["col_2"]]] = g[at[r["col_2"]], at[r["col_id"]]] = r["s"]
-    return ids, g
+    n = len(ids)
+    kind = a.schema["col_id"].dataType.simpleString()
+    at = F.broadcast(a.sparkSession.createDataFrame([(c, i) for i, c in enumerate(ids)], f"col_id {kind}, at_ int"))
+
+    def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        g = np.zeros((n, n))
+        rest: list[np.ndarray] = [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]
+
+        def add(row: np.ndarray, col: np.ndarray, value: np.ndarray) -> None:
+            starts = np.flatnonzero(np.diff(row, prepend=row[0] - 1)) if len(row) else np.zeros(0, int)
+            for low in range(0, len(starts), 2048):
+                first, last = starts[low], starts[low + 2048] if low + 2048 < len(starts) else len(row)
+                own = np.searchsorted(starts, np.arange(first, last), "right") - 1 - low
+                block = np.zeros((int(own.max()) + 1, n))
+                np.add.at(block, (own, col[first:last]), value[first:last])
+                g[:] += block.T @ block
+
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            now = [np.concatenate([r, c.to_numpy(zero_copy_only=False)]) for r, c in zip(rest, batch.columns, strict=True)]
+            # The last row may go on in the next batch.
+            done = int(np.searchsorted(now[0], now[0][-1]))
+            if done:
+                add(*(x[:done] for x in now))
+            rest = [x[done:] for x in now]
+        add(*rest)
+        yield pa.RecordBatch.from_arrays([pa.array(np.arange(n), pa.int32()), pa.array(list(g), pa.list_(pa.float64()))], names=["i", "sums"])
+
+    def total(pdf):
+        import pandas as pd
+
+        return pd.DataFrame({"i": pdf["i"].iloc[:1], "sums": [np.sum(np.stack(pdf["sums"].to_numpy()), 0)]})
+
+    out = np.zeros((n, n))
+    if n:
+        # Only the order of rows matters; a hash of the id serves for ids of any type.
+        rows = a.join(at, "col_id").select(F.xxhash64("row_id").alias("row_"), F.col("at_").cast("long").alias("at_"), F.col("value").cast("double").alias("value"))
+        dealt = rows.repartition("row_").sortWithinPartitions("row_")
+        for r in dealt.mapInArrow(partial, "i int, sums array<double>").groupBy("i").applyInPandas(total, "i int, sums array<double>").toLocalIterator():
+            out[r["i"]] = r["sums"]
+    return ids, out
 
 
 def _block(batch: pa.RecordBatch, columns: Sequence[str]) -> np.ndarray:
@@ -123,21 +163,24 @@ def _signed(ids: list, v: np.ndarray) -> np.ndarray:
     return v * np.where(v[top, np.arange(v.shape[1])] < 0, -1.0, 1.0)
 
 
-def topk(a: DataFrame, k: int, method: str = "auto", oversample: int = 8, power: int = 4, seed: int = 0) -> Svd:
+def topk(a: DataFrame, k: int, method: str = "auto", oversample: int = 8, power: int = 4, seed: int = 0, known: tuple[list, np.ndarray] | None = None) -> Svd:
     """Top right singular vectors and values; min(k, rank) of them.
 
     gram: eigenvectors of A'A, for few columns. subspace: block iteration by
     joins over wide factor frames, for any number; a round is two shuffles each
-    way, and only l x l matrices come to the driver.
+    way, and only l x l matrices come to the driver. known: a Gram matrix that
+    has been formed before.
     """
     require(a, COO)
     spark = a.sparkSession
-    total = squared_norm(a)
+    if known is not None:
+        method = "gram"
+    total = squared_norm(a) if known is None else float(np.trace(known[1]))
     if method == "auto":
         few = a.select("col_id").distinct().limit(GRAM_COLUMNS + 1).count()
         method = "gram" if few <= GRAM_COLUMNS else "subspace"
     if method == "gram":
-        ids, g = gram(a)
+        ids, g = known or gram(a)
         values, vectors = np.linalg.eigh(g) if ids else (np.zeros(0), np.zeros((0, 0)))
         order = np.argsort(-values)[:k]
         order = [i for i in order if values[i] > max(values.max(), 0) * 1e-12]
@@ -145,7 +188,7 @@ def topk(a: DataFrame, k: int, method: str = "auto", oversample: int = 8, power:
         kind = a.schema["col_id"].dataType.simpleString()
         rows = [(c, *map(float, v[i])) for i, c in enumerate(ids)]
         frame = spark.createDataFrame(rows, f"col_id {kind}" + "".join(f", {c} double" for c in names(len(order))))
-        return Svd(frame, np.sqrt(values[order]), total)
+        return Svd(frame, np.sqrt(values[order]), total, (ids, g))
     # Every round reads the matrix twice: derive it (tokens, joins) only once.
     a = cut_lineage(a.select("row_id", "col_id", "value"))
     q = start_block(a, k + oversample, seed)
@@ -221,7 +264,11 @@ def lsa(tf: DataFrame, k: int, weighting: str = "raw") -> DataFrame:
 
 
 def normalize(a: DataFrame, how: str) -> DataFrame:
-    """unit: columns of norm one; center: less the column mean over stored rows; sign: -1, 0, 1; binary."""
+    """unit: columns of norm one; center: less the column mean over all rows; sign: -1, 0, 1; binary.
+
+    Centering moves absent entries too, so its result has every cell and columns
+    must be few; for many columns take pca(), which never forms it.
+    """
     if how == "binary":
         return a.withColumn("value", F.lit(1.0))
     if how == "sign":
@@ -230,6 +277,12 @@ def normalize(a: DataFrame, how: str) -> DataFrame:
         s = a.groupBy("col_id").agg(F.sqrt(F.sum(F.col("value") * F.col("value"))).alias("s")).filter("s > 0")
         return a.join(s, "col_id").select("row_id", "col_id", (F.col("value") / F.col("s")).alias("value"))
     if how == "center":
-        s = a.groupBy("col_id").agg(F.avg("value").alias("s"))
-        return a.join(s, "col_id").select("row_id", "col_id", (F.col("value") - F.col("s")).alias("value"))
+        rows = a.select("row_id").distinct()
+        m = rows.count()
+        sums = bounded(a.groupBy("col_id").agg(F.sum("value").alias("s")), GRAM_COLUMNS)
+        if not sums:
+            return a
+        means = F.array(*[F.struct(F.lit(r["col_id"]).alias("col_id"), F.lit(r["s"] / m).alias("mean")) for r in sums])
+        cells = rows.withColumn("c_", F.explode(means)).select("row_id", "c_.col_id", "c_.mean")
+        return cells.join(a, ["row_id", "col_id"], "left").select("row_id", "col_id", (F.coalesce("value", F.lit(0.0)) - F.col("mean")).alias("value"))
     raise ValueError(how)
