@@ -7,10 +7,11 @@ from collections.abc import Iterator, Sequence
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from levcut.operators import leverage, qr, sample, svd
+from levcut.operators.relational import ranks
 from levcut.runtime import bounded
 
 
@@ -326,5 +327,5 @@ def success(errors: Sequence[float], optimum: float, eps: float) -> float:
 
 def rank_correlation(df: DataFrame, x: str, y: str) -> float:
     """Spearman's over all rows of a frame with one row a column of A."""
-    ranked = df.withColumns({"rx_": F.rank().over(Window.orderBy(x)), "ry_": F.rank().over(Window.orderBy(y))})
+    ranked = ranks(ranks(df, x, "rx_"), y, "ry_")
     return ranked.agg(F.corr("rx_", "ry_").alias("r")).first()["r"]

@@ -133,6 +133,13 @@ def peel(edges: DataFrame, k: int, rounds: int = 1000) -> DataFrame:
     return live
 
 
+def concentration(edges: DataFrame, nodes: DataFrame) -> DataFrame:
+    """nodes, isolated share, components with an edge, and the largest one's share of all nodes."""
+    every = degrees(edges, nodes).agg(F.count("*").alias("nodes"), F.avg((F.col("deg") == 0).cast("double")).alias("isolated"))
+    sizes = components(edges).groupBy("component").agg(F.count("*").alias("size")).agg(F.count("*").alias("components"), F.max("size").alias("largest"))
+    return every.crossJoin(sizes).select("nodes", "isolated", "components", (F.col("largest") / F.col("nodes")).alias("largest_share"))
+
+
 def degree_tail(edges: DataFrame, dmin: int = 2) -> DataFrame:
     """Failure of concentration: mean and variance of degrees, power-law exponent by maximum likelihood."""
     d = degrees(edges)
@@ -219,6 +226,23 @@ def sweep(edges: DataFrame, vectors: DataFrame, key: str = "seed_id") -> DataFra
     return out.select(key, "rank", "node", "value", F.col("vol_").alias("vol"), "cut", F.when(small > 0, F.col("cut") / small).alias("phi"))
 
 
+def sweep_all(edges: DataFrame, vector: DataFrame) -> DataFrame:
+    """sweep() of one vector over all nodes, by running sums over ranges: no task sees the whole graph."""
+    from levcut.operators.relational import prefix_sums
+
+    ranked = prefix_sums(vector.select("node", "value", F.lit(1.0).alias("one_")), [F.col("value").desc(), F.col("node")], {"sum_": "one_"}, "rank").drop("one_", "sum_")
+    ranked = cut_lineage(ranked)
+    deg = degrees(edges).select("node", "vol")
+    total = deg.agg(F.sum("vol").alias("v")).first()["v"] or 0.0
+    left = ranked.select(F.col("node").alias("src"), F.col("rank").alias("r1"))
+    right = ranked.select(F.col("node").alias("dst"), F.col("rank").alias("r2"))
+    closing = edges.join(left, "src").join(right, "dst").groupBy(F.greatest("r1", "r2").alias("rank")).agg(F.sum("w").alias("closed"))
+    steps = ranked.join(deg, "node").join(closing, "rank", "left").withColumn("step_", F.col("vol") - 2 * F.coalesce("closed", F.lit(0.0)))
+    out = prefix_sums(steps.withColumnRenamed("vol", "vol_"), [F.col("rank")], {"vol": "vol_", "cut": "step_"})
+    small = F.least(F.col("vol"), F.lit(total) - F.col("vol"))
+    return out.select(F.lit(0).alias("seed_id"), F.col("rank").cast("int").alias("rank"), "node", "value", "vol", "cut", F.when(small > 0, F.col("cut") / small).alias("phi"))
+
+
 def best_prefix(swept: DataFrame, key: str = "seed_id") -> DataFrame:
     """key, rank, phi of the best prefix; ties to the shorter one."""
     best = F.min(F.struct("phi", "rank", "vol", "cut"))

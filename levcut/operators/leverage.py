@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Sequence
+from functools import reduce
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, Window
@@ -10,7 +11,7 @@ from pyspark.sql import functions as F
 
 from levcut.functions.portable import entropy_term
 from levcut.operators import svd
-from levcut.operators.relational import prefix_sum
+from levcut.operators.relational import prefix_sum, ranks
 
 
 def _squares(columns: Sequence[str]) -> Column:
@@ -149,9 +150,10 @@ def mutual_information(a: DataFrame, labels: DataFrame, bins: int = 4) -> DataFr
 def vs_information_gain(a: DataFrame, labels: DataFrame, ks: Sequence[int]) -> DataFrame:
     """k, pearson, spearman of scores with information gain, for each rank."""
     found = svd.topk(a, max(ks))
-    joined = by_rank(found.v).filter(F.col("rank").isin(*ks)).join(information_gain(a, labels), "col_id")
-    # Ranks are taken within each k over all columns: as many rows as columns.
-    ranked = joined.withColumns(
-        {c: F.rank().over(Window.partitionBy("rank").orderBy(x)) for c, x in (("rs", "score"), ("rg", "gain"))}
-    )
-    return ranked.groupBy("rank").agg(F.corr("score", "gain").alias("pearson"), F.corr("rs", "rg").alias("spearman")).withColumnRenamed("rank", "k")
+    gain = information_gain(a, labels).cache()
+    scores = by_rank(found.v).filter(F.col("rank").isin(*ks)).join(gain, "col_id").cache()
+    parts = []
+    for k in ks:
+        one = ranks(ranks(scores.filter(F.col("rank") == k), "score", "rs"), "gain", "rg")
+        parts.append(one.agg(F.lit(k).alias("k"), F.corr("score", "gain").alias("pearson"), F.corr("rs", "rg").alias("spearman")))
+    return reduce(DataFrame.unionByName, parts)

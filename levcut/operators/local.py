@@ -67,13 +67,13 @@ def nibble(edges: DataFrame, seeds: DataFrame, steps: int = 20, eps: float = 1e-
     return x
 
 
-def heat(edges: DataFrame, seeds: DataFrame, t: float = 5.0, terms: int = 12) -> DataFrame:
-    """seed_id, node, value: the heat kernel's Taylor terms of the walk."""
+def heat(edges: DataFrame, seeds: DataFrame, t: float = 5.0, terms: int = 12, eps: float = 1e-5) -> DataFrame:
+    """seed_id, node, value: the heat kernel's Taylor terms of the walk; what is below eps times the degree goes."""
     x = seeds.select("seed_id", "node", F.lit(1.0).alias("value"))
     total = x.select("seed_id", "node", (F.col("value") * math.exp(-t)).alias("value"))
     walk = cut_lineage(_steps(edges))
     for j in range(1, terms + 1):
-        x = cut_lineage(_walk(walk, x, 0.0).select("seed_id", "node", "value"))
+        x = cut_lineage(_walk(walk, x, 0.0).filter(F.col("value") >= F.col("vol") * eps).select("seed_id", "node", "value"))
         total = total.unionByName(x.select("seed_id", "node", (F.col("value") * math.exp(-t) * t**j / math.factorial(j)).alias("value")))
     return cut_lineage(total.groupBy("seed_id", "node").agg(F.sum("value").alias("value")))
 

@@ -151,15 +151,23 @@ def fit_diagnostics(df: DataFrame, y: str, xs: Sequence[str], method: str = "cho
 
 
 def assumptions(df: DataFrame, y: str, xs: Sequence[str], order: str, bins: int = 10) -> DataFrame:
-    """Are the assumptions plausible: residual moments, and variance by fitted bin."""
-    rows = fit_diagnostics(df, y, xs)
-    low, high = rows.agg(F.min("fitted"), F.max("fitted")).first()
-    width = ((high - low) / bins) or 1.0
-    part = F.least(F.floor((F.col("fitted") - F.lit(low)) / F.lit(width)), F.lit(bins - 1))
-    return rows.groupBy(part.alias("bin")).agg(
-        F.count("*").alias("n"), F.avg("residual").alias("mean"), F.var_pop("residual").alias("variance"),
-        F.skewness("residual").alias("skewness"), F.kurtosis("residual").alias("kurtosis"),
-    )
+    """Are the assumptions plausible: decile, n, mean, variance of the residuals by equal parts of the fit.
+
+    A last row, decile -1, has the number of neighbours in order, their
+    correlation as mean, and the skewness of all residuals as variance.
+    """
+    from levcut.operators.relational import prefix_sum
+
+    rows = fit_diagnostics(df, y, xs).select(F.col(order).alias("at_"), "fitted", "residual", F.lit(1.0).alias("one_"))
+    m = rows.count()
+    ranked = prefix_sum(rows, [F.col("fitted"), F.col("at_")], "one_", "sum_", "place_")
+    part = F.floor((F.col("place_") - 1) * bins / m).cast("long")
+    by_part = ranked.groupBy(part.alias("decile")).agg(F.count("*").alias("n"), F.avg("residual").alias("mean"), F.var_pop("residual").alias("variance"))
+    # Neighbours meet by their place, so no task needs all rows in order.
+    placed = prefix_sum(rows, [F.col("at_")], "one_", "sum_", "place_").select("place_", "residual")
+    after = placed.select((F.col("place_") + 1).alias("place_"), F.col("residual").alias("before_"))
+    lag = placed.join(after, "place_").agg(F.lit(-1).cast("long").alias("decile"), F.count("*").alias("n"), F.corr("residual", "before_").alias("mean"))
+    return by_part.unionByName(lag.crossJoin(rows.agg(F.skewness("residual").alias("variance"))))
 
 
 def delete_effect(df: DataFrame, y: str, xs: Sequence[str], factor: float = 2.0) -> tuple[np.ndarray, np.ndarray, int]:

@@ -111,16 +111,21 @@ def road_like(spark: SparkSession, side: int, drop: float = 0.3, seed: int = 0)
     return lattice(spark, side).filter(u01(F.concat_ws("-", "src", "dst"), seed) >= drop)
 
 
-def expander(spark: SparkSession, n: int, degree: int = 6, seed: int = 1) -> DataFrame:
-    """A union of affine permutations of the ids."""
+def expander_maps(n: int, degree: int = 6, seed: int = 1) -> list[tuple[int, int]]:
+    """Multiplier and shift of the affine permutations whose union is the expander."""
     maps = []
     a = 2 * seed + 3
     while len(maps) < degree // 2:
         if math.gcd(a, n) == 1:
             maps.append((a, 7 * a + seed))
         a = (a * 31 + 17) % max(5, n)
+    return maps
+
+
+def expander(spark: SparkSession, n: int, degree: int = 6, seed: int = 1) -> DataFrame:
+    """A union of affine permutations of the ids."""
     i = spark.range(n)
-    parts = [i.select(F.col("id").alias("src"), F.pmod(F.col("id") * m + c, F.lit(n)).alias("dst")) for m, c in maps]
+    parts = [i.select(F.col("id").alias("src"), F.pmod(F.col("id") * m + c, F.lit(n)).alias("dst")) for m, c in expander_maps(n, degree, seed)]
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)

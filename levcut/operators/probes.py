@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from levcut.operators import graph, local, spectral
 from levcut.operators.small import SmallGraph
-from levcut.runtime import TooLarge, bounded, cut_lineage
+from levcut.runtime import TooLarge, bounded, cut_lineage, ship
 
 SUMMARY = "method string, set_id string, size long, vol double, cut double, phi double"
 
@@ -139,11 +139,12 @@ def bag(summary: DataFrame, most_total: int = 200_000, most_kinds: int = 20_000)
 
 def bag_prefixes(summary: DataFrame) -> DataFrame:
     """size, whiskers, vol, phi of the first j whiskers by falling volume."""
-    order = Window.orderBy(F.col("vol").desc(), "whisker_id").rowsBetween(Window.unboundedPreceding, 0)
-    return summary.select(
-        F.sum("size").over(order).alias("size"), F.count("*").over(order).alias("whiskers"), F.sum("vol").over(order).alias("vol"),
-        (F.count("*").over(order) / F.sum("vol").over(order)).alias("phi"),
-    )
+    from levcut.operators.relational import prefix_sums
+
+    order = [F.col("vol").desc(), F.col("whisker_id")]
+    own = summary.select("whisker_id", "vol", F.col("size").cast("double").alias("size_"))
+    out = prefix_sums(own, order, {"sizes": "size_", "volumes": "vol"}, "whiskers")
+    return out.select(F.col("sizes").cast("long").alias("size"), F.col("whiskers").cast("long").alias("whiskers"), F.col("volumes").alias("vol"), (F.col("whiskers") / F.col("volumes")).alias("phi"))
 
 
 # --- network community profile -----------------------------------------------
@@ -242,24 +243,33 @@ def improvements(spark: SparkSession, g: SmallGraph, pieces: list[list[int]]) ->
     """(phi, improved phi, improved size) of every piece in order, dealt over tasks."""
     if not pieces:
         return []
-    held = spark.sparkContext.broadcast(g)
+    held = ship(spark, g)
 
     def run(piece):
-        phi, side = held.value.improve(piece)
-        return float(held.value.phi(piece)), float(phi), len(side)
+        g = held()
+        phi, side = g.improve(piece)
+        return float(g.phi(piece)), float(phi), len(side)
 
     return spark.sparkContext.parallelize(pieces, min(len(pieces), 256)).map(run).collect()
 
 
-def look(edges: DataFrame) -> DataFrame:
-    """Is the graph like a hot dog, an expander, or nibbled at: best balanced and best small cuts."""
-    g = SmallGraph.of(edges)
-    _, vector = g.fiedler()
-    even = g.sweep(vector, 0.3)[0]
-    small = g.sweep(vector)[0]
-    small = min([small, *(phi for _, phi, _ in improvements(edges.sparkSession, g, g.recursive(6)))])
-    kind = "hot dog" if even < 0.1 and even < 2 * small else "expander" if small > 0.25 else "nibble"
-    return edges.sparkSession.createDataFrame([(float(even), float(small), kind)], "balanced_phi double, small_phi double, look string")
+def look(edges: DataFrame, seeds: int = 24, rounds: int = 60) -> DataFrame:
+    """Is the graph like a hot dog, an expander, or nibbled at: best balanced and best small cuts.
+
+    The even cut is the best prefix of the global vector with 0.3 of the volume on
+    each side; small cuts are its best prefix, those of local sweeps from hashed
+    seeds, and the best union of whiskers' prefixes. All of it is distributed.
+    """
+    vector, _ = spectral.fiedler(edges, rounds)
+    swept = cut_lineage(spectral.sweep(edges, vector))
+    total = graph.degrees(edges).agg(F.sum("vol").alias("v")).first()["v"]
+    even = spectral.balanced(swept, total, 0.3).first()
+    near = local.sweep(edges, local.ppr(edges, local.seeds_by_hash(edges, seeds), 0.05, 2e-4).filter("p > 0"), "p")
+    pieces = bag_prefixes(whisker_summary(edges, decompose(edges))).select("phi")
+    small = graph.best_prefix(swept).select("phi").union(graph.best_prefix(near).select("phi")).union(pieces).agg(F.min("phi").alias("p")).first()["p"]
+    balanced = even["phi"] if even else 1.0
+    kind = "hot dog" if balanced < 0.1 and balanced < 2 * small else "expander" if small > 0.25 else "nibble"
+    return edges.sparkSession.createDataFrame([(float(balanced), float(small), kind)], "balanced_phi double, small_phi double, look string")
 
 
 def compactness(edges: DataFrame, sets: DataFrame, most: int = 5000) -> DataFrame:

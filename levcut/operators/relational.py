@@ -11,26 +11,36 @@ from levcut.runtime import cut_lineage
 
 
 def prefix_sum(df: DataFrame, order: Sequence[Column], value: str, name: str, place: str | None = None, part: str | None = None) -> DataFrame:
-    """Running sum of value over all rows in order, without one task for all; part names a column for the range.
+    """Running sum of value over all rows in order; place names a column for the row's number, part one for its range."""
+    return prefix_sums(df, order, {name: value}, place, part)
+
+
+def prefix_sums(df: DataFrame, order: Sequence[Column], sums: dict[str, str], place: str | None = None, part: str | None = None) -> DataFrame:
+    """Running sums (name: column) over all rows in order, without one task for all.
 
     Rows are dealt by range; sums of the ranges, one row each, give the offsets.
     The dealt frame is checkpointed so that both uses see the same ranges.
     """
     ranged = cut_lineage(df.repartitionByRange(*order).withColumn("part_", F.spark_partition_id()))
-    totals = ranged.groupBy("part_").agg(F.sum(value).alias("sum_"), F.count("*").alias("n_"))
     before = Window.orderBy("part_").rowsBetween(Window.unboundedPreceding, -1)
-    offsets = totals.select(
-        "part_", F.coalesce(F.sum("sum_").over(before), F.lit(0.0)).alias("sum_"), F.coalesce(F.sum("n_").over(before), F.lit(0)).alias("n_")
-    )
     inside = Window.partitionBy("part_").orderBy(*order)
-    out = ranged.join(F.broadcast(offsets), "part_").withColumn(
-        name, F.col("sum_") + F.sum(value).over(inside.rowsBetween(Window.unboundedPreceding, 0))
-    )
+    run = inside.rowsBetween(Window.unboundedPreceding, 0)
+    held = [f"sum{i}_" for i in range(len(sums))]
+    totals = ranged.groupBy("part_").agg(*[F.sum(v).alias(h) for h, v in zip(held, sums.values(), strict=True)], F.count("*").alias("n_"))
+    offsets = totals.select("part_", *[F.coalesce(F.sum(h).over(before), F.lit(0.0)).alias(h) for h in held], F.coalesce(F.sum("n_").over(before), F.lit(0)).alias("n_"))
+    out = ranged.join(F.broadcast(offsets), "part_").withColumns({name: F.col(h) + F.sum(v).over(run) for h, (name, v) in zip(held, sums.items(), strict=True)})
     if place:
         out = out.withColumn(place, F.col("n_") + F.row_number().over(inside))
     if part:
         out = out.withColumn(part, F.col("part_"))
-    return out.drop("part_", "sum_", "n_")
+    return out.drop("part_", *held, "n_")
+
+
+def ranks(df: DataFrame, value: str, name: str) -> DataFrame:
+    """The rows with the rank of value among all (ties share the least), by running sums over its distinct values."""
+    counts = df.groupBy(value).agg(F.count("*").cast("double").alias("ties_"))
+    placed = prefix_sum(counts, [F.col(value)], "ties_", "upto_").select(F.col(value).alias("value_"), (F.col("upto_") - F.col("ties_") + 1).alias(name))
+    return df.join(placed, F.col(value).eqNullSafe(F.col("value_"))).drop("value_")
 
 
 def range_join(points: DataFrame, at: str, intervals: DataFrame, low: str, high: str, width: float) -> DataFrame:

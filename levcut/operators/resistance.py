@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from levcut.functions.portable import u01
 from levcut.operators import graph
-from levcut.operators.small import SmallGraph
+from levcut.operators.small import NODES, SmallGraph
 from levcut.runtime import cut_lineage
 
 
@@ -22,6 +22,19 @@ def exact(edges: DataFrame) -> DataFrame:
     return edges.sparkSession.createDataFrame(rows, "src long, dst long, r double, leverage double")
 
 
+def scores(edges: DataFrame, count: int = 16, rounds: int = 40, tol: float = 1e-3) -> DataFrame:
+    """exact() where the driver can hold the graph, else the sketch with its bridges put at 1."""
+    from levcut.operators import probes
+
+    if graph.degrees(edges).limit(NODES + 1).count() <= NODES:
+        return exact(edges)
+    rough = sketch(edges, count, rounds, tol)
+    alone = probes.bridges(edges).withColumn("bridge_", F.lit(True))
+    sure = F.coalesce("bridge_", F.lit(False))
+    joined = rough.join(edges.select("src", "dst", "w"), ["src", "dst"]).join(alone, ["src", "dst"], "left")
+    return joined.select("src", "dst", F.when(sure, 1 / F.col("w")).otherwise(F.col("r")).alias("r"), F.when(sure, 1.0).otherwise(F.least("leverage", F.lit(1.0))).alias("leverage"))
+
+
 def sketch(edges: DataFrame, count: int = 24, rounds: int = 60, tol: float = 1e-6, seed: int = 5) -> DataFrame:
     """src, dst, r, leverage from ``count`` random signs per edge.
 

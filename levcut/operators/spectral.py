@@ -53,7 +53,7 @@ def rayleigh(edges: DataFrame, x: DataFrame) -> float:
 
 def sweep(edges: DataFrame, vector: DataFrame) -> DataFrame:
     """Every prefix's cut in the order of the vector."""
-    return graph.sweep(edges, vector.select(F.lit(0).alias("seed_id"), "node", "value"))
+    return graph.sweep_all(edges, vector)
 
 
 def balanced(swept: DataFrame, total_volume: float, beta: float) -> DataFrame:
@@ -62,9 +62,27 @@ def balanced(swept: DataFrame, total_volume: float, beta: float) -> DataFrame:
     return graph.best_prefix(swept.filter(share >= beta))
 
 
+def residual(edges: DataFrame, x: DataFrame, quotient: float) -> float:
+    """How far x is from an eigenvector: the normalized Laplacian has an eigenvalue within this of the quotient.
+
+    x: node, value of unit degree-weighted norm.
+    """
+    deg = graph.degrees(edges).select("node", "vol")
+    near = x.select(F.col("node").alias("dst"), F.col("value").alias("other"))
+    pulled = graph.both_ways(edges).join(near, "dst").groupBy(F.col("src").alias("node")).agg(F.sum(F.col("w") * F.col("other")).alias("s"))
+    gap = F.col("value") - F.col("s") / F.col("vol") - quotient * F.col("value")
+    return math.sqrt(x.join(deg, "node").join(pulled, "node").agg(F.sum(F.col("vol") * gap * gap).alias("r")).first()["r"])
+
+
 def lower_bound(edges: DataFrame, rounds: int = 120) -> float:
-    """Half the Rayleigh quotient reached: half of lambda_2 once converged."""
-    return fiedler(edges, rounds)[1] / 2
+    """Half of the least value that the eigenvalue next to the quotient can have.
+
+    Every set's conductance is at least half of the second eigenvalue. The
+    quotient itself is an upper estimate of it, so the residual is taken off; what
+    is left is a bound if the iteration has met the second eigenvalue, not a later one.
+    """
+    x, quotient = fiedler(edges, rounds)
+    return max(0.0, quotient - residual(edges, x, quotient)) / 2
 
 
 def embed(edges: DataFrame, k: int, rounds: int = 30) -> DataFrame:

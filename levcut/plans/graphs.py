@@ -23,35 +23,35 @@ def query(sql: str | None = None):
     return add
 
 
-_BIDS = """e AS (SELECT least(o_custkey * 2, l_partkey * 2 + 1) AS src, greatest(o_custkey * 2, l_partkey * 2 + 1) AS dst, sum(l_extendedprice::DECIMAL(18, 2))::DOUBLE AS w
+BIDS = """e AS (SELECT least(o_custkey * 2, l_partkey * 2 + 1) AS src, greatest(o_custkey * 2, l_partkey * 2 + 1) AS dst, sum(l_extendedprice::DECIMAL(18, 2))::DOUBLE AS w
       FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY ALL)"""
-_OP = """e AS (SELECT DISTINCT least(l_orderkey * 2, l_partkey * 2 + 1) AS src, greatest(l_orderkey * 2, l_partkey * 2 + 1) AS dst, 1.0::DOUBLE AS w
+SPARSE = """e AS (SELECT DISTINCT least(l_orderkey * 2, l_partkey * 2 + 1) AS src, greatest(l_orderkey * 2, l_partkey * 2 + 1) AS dst, 1.0::DOUBLE AS w
       FROM lineitem JOIN orders ON l_orderkey = o_orderkey WHERE o_orderdate < (SELECT min(o_orderdate) FROM orders) + INTERVAL 90 DAYS)"""
-_BOTH = "s AS (SELECT src, dst, w FROM e UNION ALL SELECT dst, src, w FROM e), g AS (SELECT src AS node, count(*) AS deg, sum(w) AS vol FROM s GROUP BY src)"
+BOTH = "s AS (SELECT src, dst, w FROM e UNION ALL SELECT dst, src, w FROM e), g AS (SELECT src AS node, count(*) AS deg, sum(w) AS vol FROM s GROUP BY src)"
 
 
 def _sparse(spark: SparkSession, d: str) -> DataFrame:
     return t.g_order_part(spark, d, 90)
 
 
-@query(f"WITH {_BIDS} SELECT src, dst, round(w, 2) AS w FROM e")
+@query(f"WITH {BIDS} SELECT src, dst, round(w, 2) AS w FROM e")
 def graph_bids(spark: SparkSession, d: str) -> DataFrame:
     return t.g_bids(spark, d).withColumn("w", F.round("w", 2))
 
 
-@query(f"WITH {_OP}, {_BOTH} SELECT node, deg, vol FROM g")
+@query(f"WITH {SPARSE}, {BOTH} SELECT node, deg, vol FROM g")
 def graph_degrees(spark: SparkSession, d: str) -> DataFrame:
     return graph.degrees(_sparse(spark, d))
 
 
-@query(f"""WITH RECURSIVE {_OP}, {_BOTH},
+@query(f"""WITH RECURSIVE {SPARSE}, {BOTH},
 r AS (SELECT node, node AS root FROM g UNION SELECT s.dst, r.root FROM r JOIN s ON s.src = r.node AND r.root < s.dst)
 SELECT node, min(root) AS component FROM r GROUP BY node""")
 def graph_components(spark: SparkSession, d: str) -> DataFrame:
     return graph.components(_sparse(spark, d))
 
 
-@query(f"""WITH RECURSIVE {_OP}, {_BOTH},
+@query(f"""WITH RECURSIVE {SPARSE}, {BOTH},
 z AS (SELECT min(node) AS node FROM g),
 r AS (SELECT node, 0 AS dist FROM z UNION SELECT s.dst, r.dist + 1 FROM r JOIN s ON s.src = r.node WHERE r.dist < 6)
 SELECT z.node AS source, r.node, min(dist)::INT AS dist FROM r, z GROUP BY ALL""")
@@ -68,7 +68,7 @@ n{i} AS MATERIALIZED (SELECT node FROM (SELECT src AS node FROM p{i} UNION ALL S
 p{i + 1} AS MATERIALIZED (SELECT src, dst, w FROM p{i} WHERE src IN (SELECT node FROM n{i}) AND dst IN (SELECT node FROM n{i}))"""
         for i in range(rounds)
     )
-    return f"WITH {_OP}, p0 AS MATERIALIZED (SELECT * FROM e){steps} SELECT src, dst, w FROM p{rounds}"
+    return f"WITH {SPARSE}, p0 AS MATERIALIZED (SELECT * FROM e){steps} SELECT src, dst, w FROM p{rounds}"
 
 
 @query(_peel_sql(2, 30))
@@ -76,7 +76,7 @@ def graph_two_core(spark: SparkSession, d: str) -> DataFrame:
     return graph.peel(_sparse(spark, d), 2)
 
 
-@query("""WITH b AS (SELECT DISTINCT doc_id, unnest(regexp_extract_all(lower(text), '([a-z]+)', 1)) AS term FROM documents),
+@query(r"""WITH b AS (SELECT DISTINCT doc_id, unnest(regexp_extract_all(lower(text), '([\p{L}\p{M}\p{N}_]+)', 1)) AS term FROM documents),
 g AS (SELECT count(*) AS deg FROM b GROUP BY doc_id UNION ALL SELECT count(*) FROM b GROUP BY term)
 SELECT count(*) AS nodes, round(avg(deg), 6) AS mean, round(var_pop(deg), 6) AS variance, round(var_pop(deg) / avg(deg), 6) AS dispersion,
        round(1 + sum((deg >= 2)::INT) / sum(CASE WHEN deg >= 2 THEN ln(deg / 1.5) END), 6) AS exponent
@@ -86,7 +86,7 @@ def graph_degree_tail(spark: SparkSession, d: str) -> DataFrame:
     return tail.select("nodes", *[r6(F.col(c)).alias(c) for c in tail.columns[1:]])
 
 
-@query(f"""WITH {_BIDS}, {_BOTH},
+@query(f"""WITH {BIDS}, {BOTH},
 sets AS (SELECT 'nation' || c_nationkey AS set_id, c_custkey * 2 AS node FROM customer),
 tot AS (SELECT sum(vol) AS v, count(*) AS n FROM g),
 b AS (SELECT set_id, count(*) AS k, sum(vol) AS vol FROM sets JOIN g USING (node) GROUP BY set_id)
@@ -104,7 +104,7 @@ def set_scores_nations(spark: SparkSession, d: str) -> DataFrame:
     )
 
 
-@query(f"""WITH {_BIDS}, {_BOTH},
+@query(f"""WITH {BIDS}, {BOTH},
 sets AS (SELECT DISTINCT p_brand AS set_id, node FROM (
   SELECT p_brand, p_partkey * 2 + 1 AS node FROM part
   UNION ALL SELECT p_brand, o_custkey * 2 FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey WHERE l_extendedprice > 50000)),
@@ -123,7 +123,7 @@ def set_scores_brands(spark: SparkSession, d: str) -> DataFrame:
     return s.select("set_id", r6(F.col("conductance")).alias("conductance"), r6(F.col("modularity")).alias("modularity"))
 
 
-_SP = """a AS (SELECT c_mktsegment AS x, o_orderpriority AS y, count(*)::DOUBLE AS w FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY ALL),
+TEN_NODES = """a AS (SELECT c_mktsegment AS x, o_orderpriority AS y, count(*)::DOUBLE AS w FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY ALL),
 e AS (SELECT dense_rank() OVER (ORDER BY x) - 1 AS i, dense_rank() OVER (ORDER BY y) + 4 AS j, w FROM a),
 n AS (SELECT i AS node, sum(w) AS vol FROM (SELECT i, w FROM e UNION ALL SELECT j, w FROM e) GROUP BY i),
 k AS (SELECT unnest(range(1, 1023))::BIGINT AS m),
@@ -132,19 +132,19 @@ c AS (SELECT m, sum(w) AS cut FROM k JOIN e ON ((m >> i::INT) & 1) <> ((m >> j::
 p AS (SELECT size, cut / vol AS phi FROM v JOIN c USING (m) WHERE vol <= (SELECT sum(vol) FROM n) / 2)"""
 
 
-@query(f"WITH {_SP} SELECT size::BIGINT AS size, round(min(phi), 6) AS phi FROM p GROUP BY size")
+@query(f"WITH {TEN_NODES} SELECT size::BIGINT AS size, round(min(phi), 6) AS phi FROM p GROUP BY size")
 def profile_exact(spark: SparkSession, d: str) -> DataFrame:
     g = small.SmallGraph.of(graph.build(t.g_segment_priority(spark, d), "src", "dst", "w"))
     return spark.createDataFrame([(k, round(p, 6)) for k, p in g.profile().items()], "size long, phi double")
 
 
-@query(f"WITH {_SP} SELECT round(min(phi), 6) AS phi FROM p")
+@query(f"WITH {TEN_NODES} SELECT round(min(phi), 6) AS phi FROM p")
 def conductance_exact(spark: SparkSession, d: str) -> DataFrame:
     g = small.SmallGraph.of(graph.build(t.g_segment_priority(spark, d), "src", "dst", "w"))
     return spark.createDataFrame([(round(g.exact()[0], 6),)], "phi double")
 
 
-@query(f"""WITH {_OP}, {_BOTH},
+@query(f"""WITH {SPARSE}, {BOTH},
 r AS (SELECT node, vol, row_number() OVER (ORDER BY deg DESC, node) AS rank FROM g),
 c AS (SELECT greatest(a.rank, b.rank) AS rank, sum(w) AS closed FROM e JOIN r a ON a.node = src JOIN r b ON b.node = dst GROUP BY ALL),
 x AS (SELECT r.rank, r.node, sum(vol) OVER o AS vol, sum(vol) OVER o - 2 * sum(coalesce(closed, 0)) OVER o AS cut FROM r LEFT JOIN c USING (rank) WINDOW o AS (ORDER BY rank))
@@ -156,7 +156,7 @@ def sweep_by_degree(spark: SparkSession, d: str) -> DataFrame:
 
 
 def _ppr_sql(rounds: int, alpha: float, eps: float) -> str:
-    sql = f"WITH {_OP}, {_BOTH}, r0 AS (SELECT min(node) AS node, 0.0::DOUBLE AS p, 1.0::DOUBLE AS r FROM g)"
+    sql = f"WITH {SPARSE}, {BOTH}, r0 AS (SELECT min(node) AS node, 0.0::DOUBLE AS p, 1.0::DOUBLE AS r FROM g)"
     for i in range(rounds):
         sql += f""",
 r{i + 1} AS (SELECT node, sum(p) AS p, sum(r) AS r FROM (
@@ -173,24 +173,6 @@ def ppr_push_rounds(spark: SparkSession, d: str) -> DataFrame:
     return out.select("node", F.round("p", 9).alias("p"), F.round("r", 9).alias("r"))
 
 
-@query()
-def local_ppr_sets(spark: SparkSession, d: str) -> DataFrame:
-    e = graph.giant(_sparse(spark, d)).cache()
-    return graph.best_prefix(local.sweep(e, local.ppr(e, local.seeds_by_hash(e, 8), 0.05, 2e-4).filter("p > 0"), "p"))
-
-
-@query()
-def local_nibble_sets(spark: SparkSession, d: str) -> DataFrame:
-    e = graph.giant(_sparse(spark, d)).cache()
-    return graph.best_prefix(local.sweep(e, local.nibble(e, local.seeds_by_hash(e, 8))))
-
-
-@query()
-def local_heat_sets(spark: SparkSession, d: str) -> DataFrame:
-    e = graph.giant(_sparse(spark, d)).cache()
-    return graph.best_prefix(local.sweep(e, local.heat(e, local.seeds_by_hash(e, 8))))
-
-
 @query()
 def spectral_sweep(spark: SparkSession, d: str) -> DataFrame:
     e = graph.giant(_sparse(spark, d)).cache()
@@ -204,19 +186,13 @@ def spectral_embedding_kmeans(spark: SparkSession, d: str) -> DataFrame:
     return spectral.kmeans(spectral.embed(e, 3, 8), 3).groupBy("part").agg(F.count("*").alias("nodes"))
 
 
-@query()
-def whisker_shares(spark: SparkSession, d: str) -> DataFrame:
-    e = graph.giant(_sparse(spark, d)).cache()
-    return probes.whisker_shares(e, probes.decompose(e))
-
-
 @query()
 def whisker_bag(spark: SparkSession, d: str) -> DataFrame:
     e = graph.giant(_sparse(spark, d)).cache()
     return probes.bag(probes.whisker_summary(e, probes.decompose(e)))
 
 
-@query(f"""WITH {_OP}, {_BOTH}, l AS (SELECT node FROM g WHERE deg = 1)
+@query(f"""WITH {SPARSE}, {BOTH}, l AS (SELECT node FROM g WHERE deg = 1)
 SELECT (SELECT count(*) FROM l)::BIGINT AS leaves, (SELECT count(*) FROM g)::BIGINT AS nodes""")
 def leaf_whiskers(spark: SparkSession, d: str) -> DataFrame:
     g = graph.degrees(_sparse(spark, d))
@@ -253,13 +229,6 @@ def profile_shape_by_graph(spark: SparkSession, d: str) -> DataFrame:
     return probes.shape(probes.profile(parts))
 
 
-@query()
-def compactness_whiskers(spark: SparkSession, d: str) -> DataFrame:
-    e = graph.giant(_sparse(spark, d)).cache()
-    sets = probes.decompose(e).filter("role = 'whisker'").select(F.col("whisker_id").alias("set_id"), "node")
-    return probes.compactness(e, sets)
-
-
 @query()
 def flow_improvement(spark: SparkSession, d: str) -> DataFrame:
     g = small.SmallGraph.of(graph.giant(_sparse(spark, d)))
@@ -338,12 +307,6 @@ def cut_bounds_and_methods(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame([(a, float(b)) for a, b in rows], "method string, value double")
 
 
-@query()
-def edge_leverage_exact(spark: SparkSession, d: str) -> DataFrame:
-    e = graph.build(t.g_segment_priority(spark, d), "src", "dst", "w")
-    return resistance.exact(e)
-
-
 @query()
 def edge_leverage_sketch(spark: SparkSession, d: str) -> DataFrame:
     e = graph.build(t.g_segment_priority(spark, d), "src", "dst", "w").cache()
@@ -397,15 +360,9 @@ def _model_summary(name: str, make):
     QUERIES[f"model_{name}"] = run
 
 
-_model_summary("power_law", lambda s, d: models.power_law(s, 2000, 4.0, 2.5))
 _model_summary("copying", lambda s, d: models.copying(s, 2000))
 _model_summary("forest_fire", lambda s, d: models.forest_fire(s, 1000))
-_model_summary("geometric", lambda s, d: models.geometric(s, 1000, 0.06))
-_model_summary("expander", lambda s, d: models.expander(s, 1000))
 _model_summary("rewired", lambda s, d: models.rewired(t.g_order_part(s, d, 90)))
-_model_summary("hierarchical", lambda s, d: models.hierarchical(s, 6))
-_model_summary("core_periphery", lambda s, d: models.core_periphery(s, 500, 200))
-_model_summary("road_like", lambda s, d: models.road_like(s, 30))
 
 
 def _graph_summary(name: str, make):
@@ -418,8 +375,6 @@ def _graph_summary(name: str, make):
 
 _graph_summary("part_supplier", t.g_part_supplier)
 _graph_summary("customer_order", t.g_customer_order)
-_graph_summary("doc_term", t.g_doc_term)
-_graph_summary("pages", t.g_pages)
 _graph_summary("turns", t.g_turns)
 _graph_summary("copurchase", t.g_copurchase)
 ORACLES["workload_customer_order"] = "SELECT count(*) AS edges, count(*)::DOUBLE AS weight FROM orders"

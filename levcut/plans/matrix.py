@@ -25,7 +25,7 @@ def query(sql: str | None = None):
     return add
 
 
-_EVENTS = """d AS (
+EVENTS = """d AS (
   SELECT event_id AS id, value, hour(ts)::DOUBLE AS hour, (props->>'$.k')::DOUBLE AS y FROM events),
 m AS (
   SELECT count(*) AS m, avg(value) AS av, avg(hour) AS ah, avg(y) AS ay, var_pop(value) * count(*) AS vv, var_pop(hour) * count(*) AS hh,
@@ -35,14 +35,14 @@ h AS (
   FROM d, m)"""
 
 
-@query(f"WITH {_EVENTS} SELECT id, round(h * m / 3, 4) AS h_over_mean FROM h WHERE h > 6.0 / m")
+@query(f"WITH {EVENTS} SELECT id, round(h * m / 3, 4) AS h_over_mean FROM h WHERE h > 6.0 / m")
 def ls_leverage_flags(spark: SparkSession, d: str) -> DataFrame:
     rows = t.design_events(spark, d)
     m = rows.count()
     return lsq.flag(rows, XS).select("id", F.round(F.col("h") * m / 3, 4).alias("h_over_mean"))
 
 
-@query(f"WITH {_EVENTS} SELECT any_value(m) AS m, round(sum(h), 6) AS trace, round(max(h) * any_value(m) / 3, 4) AS max_over_mean, count(*) FILTER (h > 6.0 / m) AS over_two, count(*) FILTER (h > 9.0 / m) AS over_three FROM h")
+@query(f"WITH {EVENTS} SELECT any_value(m) AS m, round(sum(h), 6) AS trace, round(max(h) * any_value(m) / 3, 4) AS max_over_mean, count(*) FILTER (h > 6.0 / m) AS over_two, count(*) FILTER (h > 9.0 / m) AS over_three FROM h")
 def ls_leverage_summary(spark: SparkSession, d: str) -> DataFrame:
     rows = lsq.leverage(t.design_events(spark, d), XS)
     m = rows.count()
@@ -52,7 +52,7 @@ def ls_leverage_summary(spark: SparkSession, d: str) -> DataFrame:
     )
 
 
-_BETA = f"""WITH {_EVENTS},
+_BETA = f"""WITH {EVENTS},
 b AS (
   SELECT (hh * vy - vh * hy) / (vv * hh - vh * vh) AS b1, (vv * hy - vh * vy) / (vv * hh - vh * vh) AS b2, av, ah, ay FROM m)
 SELECT round(ay - b1 * av - b2 * ah, 4) AS b_one, round(b1, 6) AS b_value, round(b2, 6) AS b_hour FROM b"""
@@ -71,7 +71,7 @@ for _method in ("cholesky", "qr", "svd"):
     ORACLES[f"ls_solve_{_method}"] = _BETA
 
 
-@query(f"""WITH {_EVENTS},
+@query(f"""WITH {EVENTS},
 b AS (SELECT (hh * vy - vh * hy) / (vv * hh - vh * vh) AS b1, (vv * hy - vh * vy) / (vv * hh - vh * vh) AS b2, av, ah, ay FROM m)
 SELECT id, round(ay + b1 * (value - av) + b2 * (hour - ah), 4) AS fitted, round(y - ay - b1 * (value - av) - b2 * (hour - ah), 4) AS residual FROM d, b""")
 def ls_fit_diagnostics(spark: SparkSession, d: str) -> DataFrame:
@@ -79,17 +79,6 @@ def ls_fit_diagnostics(spark: SparkSession, d: str) -> DataFrame:
     return rows.select("id", F.round("fitted", 4).alias("fitted"), F.round("residual", 4).alias("residual"))
 
 
-@query()
-def ls_assumptions(spark: SparkSession, d: str) -> DataFrame:
-    return lsq.assumptions(t.design_events(spark, d), "y", XS, "id")
-
-
-@query()
-def ls_delete_effect(spark: SparkSession, d: str) -> DataFrame:
-    a, b, n = lsq.delete_effect(t.design_events(spark, d), "y", XS)
-    return spark.createDataFrame([(x, float(p), float(q), n) for x, p, q in zip(XS, a, b, strict=True)], "name string, all_rows double, without double, flagged int")
-
-
 def _compare(spark: SparkSession, rows: DataFrame, y: str, xs, r: int, seeds: int = 5) -> DataFrame:
     rows = rows.cache()
     exact = lsq.solve(rows, y, xs)
@@ -111,12 +100,6 @@ def ls_sampled_benign(spark: SparkSession, d: str) -> DataFrame:
     return _compare(spark, t.design_lineitem(spark, d), "y", LINE, lsq.sample_size(4, 0.1))
 
 
-@query()
-def ls_leverage_approx(spark: SparkSession, d: str) -> DataFrame:
-    rows = lsq.leverage_approx(lsq.leverage(t.design_events(spark, d), XS), XS, "id", 400)
-    return rows.agg(F.corr("h", "h_approx").alias("corr"), F.max(F.col("h_approx") / F.col("h")).alias("most"), F.min(F.col("h_approx") / F.col("h")).alias("least"))
-
-
 @query()
 def ls_regularized(spark: SparkSession, d: str) -> DataFrame:
     rows = t.design_lineitem(spark, d)
@@ -124,12 +107,6 @@ def ls_regularized(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame(out, "l1 double, l2 double, " + ", ".join(f"{c} double" for c in LINE))
 
 
-@query()
-def ls_early_stopping(spark: SparkSession, d: str) -> DataFrame:
-    found = lsq.boosted(t.design_lineitem(spark, d), "y", LINE, (1, 4, 16, 64, 256))
-    return spark.createDataFrame([(i, e, *map(float, b)) for i, (b, e) in found.items()], "steps int, loss double, " + ", ".join(f"{c} double" for c in LINE))
-
-
 _HROWS = (0, 1, 77, 4095)
 
 
@@ -143,34 +120,18 @@ def hadamard_rows(spark: SparkSession, d: str) -> DataFrame:
     return out.select("i", (F.round("value", 4) + 0.0).alias("value"), (F.round("hour", 4) + 0.0).alias("hour"))
 
 
-@query()
-def hadamard_uniformity(spark: SparkSession, d: str) -> DataFrame:
-    rows = t.design_events(spark, d)
-    m = rows.count()
-    after = hadamard.transform(rows, list(XS), "id", hadamard.padded(m), 5)
-    return spark.createDataFrame([(hadamard.uniformity(rows, XS), hadamard.uniformity(after, XS) * m / hadamard.padded(m))], "before double, after double")
-
-
-@query()
-def hadamard_fast_ls(spark: SparkSession, d: str) -> DataFrame:
-    rows = t.design_events(spark, d).cache()
-    m, exact = rows.count(), lsq.solve(rows, "y", XS)
-    out = [(a, *lsq.errors(rows, "y", XS, exact, hadamard.fast(rows, "y", XS, "id", m, 300, 3, a))) for a in ("uniform", "project")]
-    return spark.createDataFrame(out, "after string, residual_ratio double, solution_error double")
-
-
-_BRAND = """a AS (
+BRAND = """a AS (
   SELECT o_custkey AS r, p_brand AS c, count(*)::DOUBLE AS v FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey GROUP BY ALL),
 g AS (SELECT x.c AS i, y.c AS j, sum(x.v * y.v) AS s FROM a x JOIN a y USING (r) GROUP BY ALL),
 tr AS (SELECT sum(s) AS total FROM g WHERE i = j)"""
 
 
-@query(f"WITH {_BRAND} SELECT i AS col_id, round(s, 6) AS score, round(s / total, 9) AS p FROM g, tr WHERE i = j")
+@query(f"WITH {BRAND} SELECT i AS col_id, round(s, 6) AS score, round(s / total, 9) AS p FROM g, tr WHERE i = j")
 def column_norm_probabilities(spark: SparkSession, d: str) -> DataFrame:
     return sample.by_norm(t.customer_brand(spark, d)).select("col_id", r6(F.col("score")).alias("score"), F.round("p", 9).alias("p"))
 
 
-@query(f"""WITH {_BRAND},
+@query(f"""WITH {BRAND},
 q AS (SELECT i, sum(s * s) AS q FROM g GROUP BY i)
 SELECT q.i AS c1, round(sqrt(total - q.q / g.s), 4) AS error FROM q JOIN g ON q.i = g.i AND g.j = g.i, tr""")
 def best_columns_k1(spark: SparkSession, d: str) -> DataFrame:
@@ -178,7 +139,7 @@ def best_columns_k1(spark: SparkSession, d: str) -> DataFrame:
     return found.select(F.col("col_ids")[0].alias("c1"), F.round("error", 4).alias("error"))
 
 
-@query(f"""WITH {_BRAND},
+@query(f"""WITH {BRAND},
 q AS (SELECT x.i AS i, y.i AS j, sum(x.s * y.s) AS q FROM g x JOIN g y ON x.j = y.j GROUP BY ALL)
 SELECT q.i AS c1, q.j AS c2, round(sqrt(total - (gj.s * qi.q - 2 * g.s * q.q + gi.s * qj.q) / (gi.s * gj.s - g.s * g.s)), 4) AS error
 FROM q JOIN g ON g.i = q.i AND g.j = q.j JOIN g gi ON gi.i = q.i AND gi.j = q.i JOIN g gj ON gj.i = q.j AND gj.j = q.j
@@ -188,13 +149,13 @@ def best_columns_k2(spark: SparkSession, d: str) -> DataFrame:
     return found.select(F.col("col_ids")[0].alias("c1"), F.col("col_ids")[1].alias("c2"), F.round("error", 4).alias("error"))
 
 
-@query(f"WITH {_BRAND}, p AS (SELECT i AS col_id, s / total AS p FROM g, tr WHERE i = j) SELECT col_id, round(1 / sqrt(least(1.0, 8 * p)), 6) AS scale FROM p WHERE {u01_sql('col_id', 3)} < least(1.0, 8 * p)")
+@query(f"WITH {BRAND}, p AS (SELECT i AS col_id, s / total AS p FROM g, tr WHERE i = j) SELECT col_id, round(1 / sqrt(least(1.0, 8 * p)), 6) AS scale FROM p WHERE {u01_sql('col_id', 3)} < least(1.0, 8 * p)")
 def sample_bernoulli(spark: SparkSession, d: str) -> DataFrame:
     p = sample.by_norm(t.customer_brand(spark, d))
     return sample.draw(p, 8, "bernoulli", 3).select("col_id", r6(F.col("scale")).alias("scale"))
 
 
-@query(f"WITH {_BRAND}, p AS (SELECT i AS col_id, s / total AS p FROM g, tr WHERE i = j) SELECT col_id FROM p ORDER BY -ln(greatest({u01_sql('col_id', 3)}, pow(2.0, -33))) / p LIMIT 8")
+@query(f"WITH {BRAND}, p AS (SELECT i AS col_id, s / total AS p FROM g, tr WHERE i = j) SELECT col_id FROM p ORDER BY -ln(greatest({u01_sql('col_id', 3)}, pow(2.0, -33))) / p LIMIT 8")
 def sample_exponential_keys(spark: SparkSession, d: str) -> DataFrame:
     return sample.draw(sample.by_norm(t.customer_brand(spark, d)), 8, "exponential_keys", 3).select("col_id")
 
@@ -204,9 +165,14 @@ def sample_uniform_probabilities(spark: SparkSession, d: str) -> DataFrame:
     return sample.uniform(t.customer_brand(spark, d)).select("col_id", F.round("p", 9).alias("p"))
 
 
-@query()
+@query(f"""WITH {BRAND}, p AS (SELECT i AS col_id, s / total AS p FROM g, tr WHERE i = j),
+h AS (SELECT col_id, p, sum(p) OVER (ORDER BY col_id ROWS UNBOUNDED PRECEDING) AS high FROM p),
+u AS (SELECT {u01_sql('id', 3)} * (1 - 1e-12) AS u FROM range(40) r(id)),
+w AS (SELECT u, min(high) AS high FROM u JOIN h ON h.high > u.u GROUP BY u)
+SELECT col_id, round(p, 9) AS p, count(*)::INT AS draws, round(sqrt(count(*) / (40 * p)), 6) AS scale FROM w JOIN h USING (high) GROUP BY col_id, p""")
 def sample_with_replacement(spark: SparkSession, d: str) -> DataFrame:
-    return sample.draw(sample.by_norm(t.customer_brand(spark, d)), 40, "with_replacement", 3)
+    found = sample.draw(sample.by_norm(t.customer_brand(spark, d)), 40, "with_replacement", 3)
+    return found.select("col_id", F.round("p", 9).alias("p"), "draws", r6(F.col("scale")).alias("scale"))
 
 
 @query()
@@ -214,24 +180,6 @@ def leverage_columns_customer_part(spark: SparkSession, d: str) -> DataFrame:
     return leverage.columns(svd.topk(t.customer_part(spark, d), 5, "subspace", power=3).v)
 
 
-@query()
-def leverage_columns_two_term(spark: SparkSession, d: str) -> DataFrame:
-    a = t.customer_brand(spark, d).cache()
-    return leverage.columns(svd.topk(a, 4).v, probs="two_term", a=a)
-
-
-@query()
-def leverage_rows_customer_brand(spark: SparkSession, d: str) -> DataFrame:
-    return leverage.rows(svd.transpose(t.customer_brand(spark, d)), 4)
-
-
-@query()
-def leverage_basis_free(spark: SparkSession, d: str) -> DataFrame:
-    v = svd.topk(t.customer_brand(spark, d), 5).v
-    a, b = leverage.columns(v), leverage.projector_diag(v).select("col_id", F.col("score").alias("other"))
-    return a.join(b, "col_id").agg(F.max(F.abs(F.col("score") - F.col("other"))).alias("gap"))
-
-
 @query()
 def leverage_cumulative_terms(spark: SparkSession, d: str) -> DataFrame:
     v = svd.topk(t.term_counts(spark, d), 10, "subspace", power=3).v
@@ -255,7 +203,7 @@ def leverage_columns_approximate(spark: SparkSession, d: str) -> DataFrame:
     return leverage.columns_approx(t.customer_part(spark, d), 5)
 
 
-_TERMS = """o AS (SELECT doc_id, lang, unnest(regexp_extract_all(lower(text), '([a-z]+)', 1)) AS term FROM documents),
+TERMS = r"""o AS (SELECT doc_id, lang, unnest(regexp_extract_all(lower(text), '([\p{L}\p{M}\p{N}_]+)', 1)) AS term FROM documents),
 b AS (SELECT DISTINCT doc_id, lang, term FROM o),
 k AS (SELECT term FROM b GROUP BY term HAVING count(*) >= 5),
 c AS (SELECT term, lang, count(*)::DOUBLE AS n FROM b JOIN k USING (term) GROUP BY ALL),
@@ -264,7 +212,7 @@ m AS (SELECT sum(nl) AS m, -sum(nl / (SELECT count(*) FROM documents) * log2(nl
 f AS (SELECT term, sum(n) AS df FROM c GROUP BY term)"""
 
 
-@query(f"""WITH {_TERMS},
+@query(f"""WITH {TERMS},
 x AS (SELECT f.term, f.df, l.nl, coalesce(c.n, 0) AS n, m.m, m.prior FROM f CROSS JOIN l CROSS JOIN m LEFT JOIN c ON c.term = f.term AND c.lang = l.lang)
 SELECT term AS col_id, any_value(df) AS df,
        round(any_value(prior) - any_value(df) / any_value(m) * sum(CASE WHEN n > 0 THEN -n / df * log2(n / df) ELSE 0 END)
@@ -289,17 +237,6 @@ def leverage_vs_gain_control(spark: SparkSession, d: str) -> DataFrame:
     return leverage.columns(svd.topk(a, 10).v).join(mi, "col_id").agg(F.corr("score", "mi").alias("pearson"))
 
 
-@query()
-def svd_values_brand(spark: SparkSession, d: str) -> DataFrame:
-    s = svd.topk(t.customer_brand(spark, d), 6)
-    return spark.createDataFrame([(i + 1, float(x), s.tail(i + 1)) for i, x in enumerate(s.sigma)], "k int, sigma double, tail double")
-
-
-@query()
-def svd_pca_embeddings(spark: SparkSession, d: str) -> DataFrame:
-    return svd.pca(t.embedding_matrix(spark, d), 5)[0]
-
-
 @query()
 def svd_lsa_documents(spark: SparkSession, d: str) -> DataFrame:
     return svd.lsa(t.term_binary(spark, d), 5, "tfidf")
@@ -312,7 +249,7 @@ def cssp_two_stage_brand(spark: SparkSession, d: str) -> DataFrame:
     rows = []
     for rule in qr.RULES:
         ids = columns.two_stage(a, 3, rule=rule, found=found)
-        rows.append((rule, [str(i) for i in ids], columns.residual(a, ids), columns.residual(a, ids, "spec"), found.tail()))
+        rows.append((rule, [str(i) for i in ids], *(columns.residual(a, ids, n, known=found.gram) for n in ("fro", "spec")), found.tail()))
     return spark.createDataFrame(rows, "rule string, col_ids array<string>, fro double, spectral double, optimum double")
 
 
@@ -321,7 +258,7 @@ def cssp_two_stage_terms(spark: SparkSession, d: str) -> DataFrame:
     a = t.term_binary(spark, d).cache()
     found = svd.topk(a, 5, "subspace", power=3)
     ids = columns.two_stage(a, 5, found=found)
-    return spark.createDataFrame([([str(i) for i in ids], columns.residual(a, ids), found.tail())], "col_ids array<string>, fro double, optimum double")
+    return spark.createDataFrame([([str(i) for i in ids], columns.residual(a, ids, known=found.gram), found.tail())], "col_ids array<string>, fro double, optimum double")
 
 
 @query()
@@ -339,12 +276,6 @@ def cssp_sweep_k(spark: SparkSession, d: str) -> DataFrame:
     return columns.sweep_k(t.customer_brand(spark, d).cache(), (1, 2, 4, 8))
 
 
-@query()
-def cssp_top_loading(spark: SparkSession, d: str) -> DataFrame:
-    ids = columns.top_loading(svd.topk(t.customer_brand(spark, d), 4).v, 4)
-    return spark.createDataFrame([(i, str(x)) for i, x in enumerate(ids)], "vector int, col_id string")
-
-
 @query()
 def cssp_relative_error(spark: SparkSession, d: str) -> DataFrame:
     a = t.customer_brand(spark, d).cache()
@@ -377,6 +308,14 @@ def cssp_classify(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame([(k, columns.classify(a, columns.two_stage(a, k, found=svd.topk(a, k, "subspace", power=2)), t.doc_labels(spark, d))) for k in (4, 8)], "k int, accuracy double")
 
 
+@query()
+def cssp_cluster(spark: SparkSession, d: str) -> DataFrame:
+    """Documents grouped by the chosen terms alone: how the groups meet the languages."""
+    a = t.term_binary(spark, d).cache()
+    parts = columns.cluster(a, columns.two_stage(a, 8, found=svd.topk(a, 8, "subspace", power=2)), 4)
+    return parts.join(t.doc_labels(spark, d), "row_id").groupBy("part", "label").agg(F.count("*").alias("n"))
+
+
 @query()
 def cssp_transfer(spark: SparkSession, d: str) -> DataFrame:
     a = t.customer_brand(spark, d).cache()

@@ -8,6 +8,10 @@ from pyspark.sql import functions as F
 from levcut.functions.portable import key60
 
 
+#: A word of any script, the same in Java's and DuckDB's expressions.
+WORD = r"[\p{L}\p{M}\p{N}_]+"
+
+
 def load(spark: SparkSession, folder: str, name: str, fmt: str = "parquet", schema: str | None = None) -> DataFrame:
     """A table of the folder; text formats need a declared schema."""
     if fmt == "parquet":
@@ -46,8 +50,8 @@ def design_lineitem(spark: SparkSession, d: str) -> DataFrame:
 
 
 def tokens(spark: SparkSession, d: str) -> DataFrame:
-    """doc_id, lang, term: one row an occurrence of an ASCII-lower-cased word."""
-    words = F.regexp_extract_all(F.lower("text"), F.lit("([a-z]+)"), F.lit(1))
+    """doc_id, lang, term: one row an occurrence of a lower-cased word, of letters, marks, digits and _ of any script."""
+    words = F.regexp_extract_all(F.lower("text"), F.lit(f"({WORD})"), F.lit(1))
     return load(spark, d, "documents").select("doc_id", "lang", F.explode(words).alias("term"))
 
 
@@ -152,8 +156,8 @@ def g_turns(spark: SparkSession, d: str) -> DataFrame:
     return turn.join(nxt, F.col("dst") == F.col("src") + 1).select("src", "dst", F.lit(1.0).alias("w"))
 
 
-def g_copurchase(spark: SparkSession, d: str, most: int = 50) -> DataFrame:
-    """Parts bought in the same order; w counts orders."""
+def g_copurchase(spark: SparkSession, d: str) -> DataFrame:
+    """Parts bought in the same order; w counts orders. An order of n parts gives n (n - 1) / 2 pairs, which are what is asked for."""
     items = load(spark, d, "lineitem").select("l_orderkey", "l_partkey").distinct()
     other = items.select(F.col("l_orderkey"), F.col("l_partkey").alias("dst"))
     joined = items.join(other, "l_orderkey").filter("l_partkey < dst")
