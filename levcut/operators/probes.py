@@ -323,9 +323,14 @@ def ground_truth(sets: DataFrame, labels: DataFrame) -> DataFrame:
 # --- applications --------------------------------------------------------------
 
 
-def micro_markets(edges: DataFrame, low: int, high: int, most_phi: float, seeds: int = 12) -> DataFrame:
-    """Sets of a size band below a conductance limit, best first; one per seed."""
-    starts = local.seeds_by_hash(edges, seeds)
+def seeds_for(edges: DataFrame, share: float = 0.01, least: int = 12) -> int:
+    """Seeds in proportion to the graph's nodes: each is a key, so more of them are rows, not jobs."""
+    return max(least, int(share * graph.degrees(edges).count()))
+
+
+def micro_markets(edges: DataFrame, low: int, high: int, most_phi: float, seeds: int | None = None) -> DataFrame:
+    """Sets of a size band below a conductance limit, best first; one per seed, seeds in proportion to the nodes."""
+    starts = local.seeds_by_hash(edges, seeds or seeds_for(edges))
     swept = cut_lineage(local.sweep(edges, local.ppr(edges, starts, 0.05, 1e-4).filter("p > 0"), "p"))
     best = graph.best_prefix(swept.filter(F.col("rank").between(low, high)))
     return best.filter(F.col("phi") <= most_phi).orderBy("phi", "seed_id")
@@ -335,6 +340,11 @@ def expand_phrases(edges: DataFrame, phrases: DataFrame, top: int = 5, most_phi:
     """seed_id, node, p, phi: nearest nodes of the phrase's own side, only where
     the phrase's neighbourhood is a set of low conductance."""
     vectors = local.ppr(edges, phrases.select(F.col("node").alias("seed_id"), "node"), 0.1, 1e-4).filter("p > 0")
+    return expand_from(edges, vectors, top, most_phi)
+
+
+def expand_from(edges: DataFrame, vectors: DataFrame, top: int, most_phi: float) -> DataFrame:
+    """The same from walks (seed_id, node, p) that are known."""
     gate = graph.best_prefix(local.sweep(edges, vectors, "p")).filter(F.col("phi") <= most_phi).select("seed_id", "phi")
     same = vectors.filter((F.col("node") != F.col("seed_id")) & (F.col("node") % 2 == F.col("seed_id") % 2))
     w = Window.partitionBy("seed_id").orderBy(F.col("p").desc(), "node")
@@ -347,6 +357,67 @@ def spectral_pieces(edges: DataFrame) -> DataFrame:
     return graph.members(swept, graph.best_prefix(swept)).select(F.lit("global_spectral").alias("method"), F.col("set_id").cast("string"), "node")
 
 
+def set_measures(edges: DataFrame, sets: DataFrame, measure: str) -> DataFrame:
+    """Summaries of sets (method, set_id, node) with another score of graph.MEASURES in place of conductance."""
+    keyed = sets.withColumn("set_id", F.concat_ws("/", "method", "set_id"))
+    scored = graph.score(edges, keyed).filter(F.col(measure).isNotNull())
+    return scored.select(F.split("set_id", "/")[0].alias("method"), "set_id", F.col("n_nodes").alias("size"), "vol", "cut", F.col(measure).alias("phi"))
+
+
+def compare(edges: DataFrame, sets: DataFrame, most: int = 5000) -> DataFrame:
+    """method, bin, sets, phi, internal_phi, mean_distance, parts: conductance against compactness by method and size.
+
+    sets: method, set_id, node. Sets over ``most`` nodes are scored, not measured inside.
+    """
+    summaries = set_summaries(edges, sets)
+    keyed = sets.select(F.concat_ws("/", "method", "set_id").alias("set_id"), "node")
+    small = keyed.join(keyed.groupBy("set_id").count().filter(F.col("count") <= most), "set_id", "left_semi")
+    inside = compactness(edges, small, most)
+    both = summaries.join(inside, "set_id", "left").withColumn("bin", F.pow(F.lit(2.0), F.floor(F.log2(F.greatest("size", F.lit(1))))))
+    return both.groupBy("method", "bin").agg(
+        F.count("*").alias("sets"), F.min("phi").alias("least_phi"), F.avg("phi").alias("phi"), F.avg("internal_phi").alias("internal_phi"),
+        F.avg("mean_distance").alias("mean_distance"), F.avg("parts").alias("parts"),
+    )
+
+
+def local_sets(edges: DataFrame, seeds: int, low: int, high: int, alpha: float = 0.02, eps: float = 5e-5, method: str = "local_spectral") -> DataFrame:
+    """(method, set_id, node): of each seed the best prefix within a band of sizes."""
+    vectors = local.ppr(edges, local.seeds_by_hash(edges, seeds), alpha, eps).filter("p > 0")
+    swept = cut_lineage(local.sweep(edges, vectors, "p").filter(F.col("rank") <= high))
+    best = graph.best_prefix(swept.filter(F.col("rank") >= low))
+    return graph.members(swept, best).select(F.lit(method).alias("method"), F.col("set_id").cast("string").alias("set_id"), "node")
+
+
+def flow_sets(edges: DataFrame, sets: DataFrame, method: str = "local_flow", most: int = 20_000) -> DataFrame:
+    """(method, set_id, node): of each set the subset of least conductance, one max-flow a set and task.
+
+    Only the set, the edges inside it and its boundary move, so the graph may be
+    of any size; a set of more than ``most`` nodes is refused.
+    """
+    from levcut.operators.small import best_subset
+
+    keyed = sets.select("set_id", "node").distinct()
+    deg = graph.degrees(edges).select("node", "vol")
+    left, right = keyed.withColumnRenamed("node", "src"), keyed.withColumnRenamed("node", "dst")
+    arcs = edges.join(left, "src").join(right, ["set_id", "dst"]).select("set_id", F.col("src").alias("a"), F.col("dst").alias("b"), "w")
+    own = keyed.join(deg, "node").select("set_id", F.col("node").alias("a"), F.lit(None).cast("long").alias("b"), F.col("vol").alias("w"))
+
+    def run(pdf):
+        import pandas as pd
+
+        nodes = pdf[pdf["b"].isna()]
+        if len(nodes) > most:
+            raise ValueError(f"a set of {len(nodes)} nodes")
+        inside = pdf[pdf["b"].notna()]
+        volumes = dict(zip(nodes["a"].astype(int), nodes["w"], strict=True))
+        links = list(zip(inside["a"].astype(int), inside["b"].astype(int), inside["w"], strict=True))
+        kept = best_subset(volumes, links)
+        return pd.DataFrame({"set_id": pdf["set_id"].iloc[0], "node": kept})
+
+    found = arcs.unionByName(own).groupBy("set_id").applyInPandas(run, "set_id string, node long")
+    return found.select(F.lit(method).alias("method"), "set_id", "node")
+
+
 def residual_structure(edges: DataFrame, twin: DataFrame, seeds: int = 8) -> DataFrame:
     """bin, phi, twin_phi: profile of a graph and of its degree-preserving random twin."""
     own = profile(local_profile(edges, seeds)).select("bin", "phi")

@@ -245,13 +245,6 @@ def multilevel_bisection(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame([(int(g.ids[i]), int(i in side)) for i in range(g.n)], "node long, part int")
 
 
-@query()
-def multilevel_bisection_distributed(spark: SparkSession, d: str) -> DataFrame:
-    """All orders and parts; only the coarsest 500 nodes are split on the driver."""
-    e = graph.giant(t.g_order_part(spark, d)).cache()
-    return multilevel.summary(e, multilevel.bisect(e, 500).withColumnRenamed("side", "part"))
-
-
 @query()
 def multilevel_refinement(spark: SparkSession, d: str) -> DataFrame:
     """Local improvement alone, from a split by a hash: cut before and after."""
@@ -278,16 +271,6 @@ def spectral_improvement(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame(rows, "start int, phi double, improved_phi double, size int")
 
 
-@query()
-def edge_betweenness(spark: SparkSession, d: str) -> DataFrame:
-    """Betweenness beside leverage on the sparse graph, from 64 sources by id."""
-    e = graph.giant(_sparse(spark, d)).cache()
-    g = small.SmallGraph.of(e)
-    found = small.betweenness(g, range(0, g.n, max(1, g.n // 64)))
-    rows = spark.createDataFrame([(int(g.ids[i]), int(g.ids[j]), float(b)) for (i, j), b in found.items()], "src long, dst long, betweenness double")
-    return rows.join(resistance.exact(e), ["src", "dst"])
-
-
 @query()
 def edge_betweenness_distributed(spark: SparkSession, d: str) -> DataFrame:
     """All orders and parts, from 16 sources by hash."""
@@ -313,17 +296,6 @@ def edge_leverage_sketch(spark: SparkSession, d: str) -> DataFrame:
     return resistance.check(e, resistance.sketch(e, 16, 12))
 
 
-@query()
-def edge_leverage_correlates(spark: SparkSession, d: str) -> DataFrame:
-    e = graph.giant(_sparse(spark, d)).cache()
-    return resistance.correlates(e, resistance.exact(e))
-
-
-@query()
-def micro_markets(spark: SparkSession, d: str) -> DataFrame:
-    return probes.micro_markets(graph.giant(_sparse(spark, d)).cache(), 4, 256, 0.5)
-
-
 @query()
 def expand_phrases(spark: SparkSession, d: str) -> DataFrame:
     e = graph.giant(_sparse(spark, d)).cache()

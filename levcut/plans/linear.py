@@ -471,3 +471,98 @@ SELECT id, round(h, 6) AS h, h > 0.6 AS flagged FROM h""")
 def regression_ten_points(spark: SparkSession, d: str) -> DataFrame:
     rows = spark.createDataFrame([(i + 1, 1.0, a, b) for i, (a, b) in enumerate(TEN)], "id int, one double, x1 double, x2 double")
     return lsq.leverage(rows, ("one", "x1", "x2")).select("id", r6(F.col("h")).alias("h"), (F.col("h") > 0.6).alias("flagged"))
+
+
+@query(f"WITH RECURSIVE {_basis(4)} SELECT round(corr(score, g.s), 6) AS pearson, round(corr(rs, rn), 6) AS spearman FROM (SELECT col_id, score, rank() OVER (ORDER BY score) AS rs FROM sc) JOIN (SELECT i, s, rank() OVER (ORDER BY s) AS rn FROM g WHERE i = j) g ON g.i = col_id")
+def leverage_vs_column_norm(spark: SparkSession, d: str) -> DataFrame:
+    a = t.customer_brand(spark, d).cache()
+    joined = leverage.columns(svd.topk(a, 4).v).join(sample.by_norm(a).select("col_id", F.col("score").alias("norm")), "col_id").cache()
+    pearson = joined.agg(F.corr("score", "norm").alias("r")).first()["r"]
+    return spark.createDataFrame([(round(pearson, 6), round(columns.rank_correlation(joined, "score", "norm"), 6))], "pearson double, spearman double")
+
+
+@query(f"""WITH RECURSIVE {BRAND}, {k.matrix('g')}, {k.pivots(3)}, rest AS (SELECT rest AS m FROM piv), {k.eigen(1, 'rest', 'top')}, {k.eigen(4)}
+SELECT round(sqrt(top.lam[1]), 4) AS spectral, round(sqrt(eig.lam[4]), 4) AS optimum, round(sqrt(top.lam[1] / eig.lam[4]), 6) AS ratio FROM top, eig""")
+def cssp_spectral_error(spark: SparkSession, d: str) -> DataFrame:
+    """Largest singular value that three pivoted columns leave, against the fourth of the matrix."""
+    a = t.customer_brand(spark, d).cache()
+    found = svd.topk(a, 4)
+    error = columns.residual(a, columns.qr_on_matrix(a, 3, "pivot", found.gram), "spec", known=found.gram)
+    return spark.createDataFrame([(round(error, 4), round(float(found.sigma[3]), 4), round(float(error / found.sigma[3]), 6))], "spectral double, optimum double, ratio double")
+
+
+def _two_stage_sql(rank: int, c: int, label: str) -> str:
+    drawn = f"""drawn AS (SELECT col_id, 1 / sqrt(least(1.0, {c} * p)) AS scale FROM sc ORDER BY -ln(greatest({u01_sql('col_id', 3)}, pow(2.0, -33))) / p, col_id LIMIT {c}),
+kept AS (SELECT list(col_id ORDER BY col_id) AS ids FROM drawn),
+sub AS (SELECT list(row_ ORDER BY i) AS m FROM (SELECT i, list(s ORDER BY j) AS row_ FROM (
+  SELECT x.col_id AS i, y.col_id AS j, sum(x.x * y.x) * any_value(dx.scale * dy.scale) AS s
+  FROM vt x JOIN vt y USING (rank) JOIN drawn dx ON dx.col_id = x.col_id JOIN drawn dy ON dy.col_id = y.col_id GROUP BY ALL) GROUP BY i))"""
+    return f"""SELECT * FROM (WITH RECURSIVE {_basis(rank)}, {drawn}, {k.pivots(rank, 'sub')},
+sel AS (SELECT list_transform(chosen, lambda z_: list_position(names, ids[z_])) AS chosen FROM piv, kept, mat), {_projected('sel')}
+SELECT {label}, round(error, 4) AS error, round(sqrt(total - list_sum(lam)), 4) AS optimum FROM out, eig, tr)"""
+
+
+def _two_stage_row(a: DataFrame, rank: int, c: int) -> tuple[float, float]:
+    found = svd.topk(a, rank)
+    ids = columns.two_stage(a, rank, c, "pivot", "exponential_keys", 3, found=found)
+    return round(columns.residual(a, ids, known=found.gram), 4), round(found.tail(), 4)
+
+
+@query(" UNION ALL ".join(_two_stage_sql(4, c, f"{c}::INT AS c") for c in (6, 8, 16)))
+def cssp_draws(spark: SparkSession, d: str) -> DataFrame:
+    """How the error moves with the number of columns drawn in the first stage."""
+    a = t.customer_brand(spark, d).cache()
+    return spark.createDataFrame([(c, *_two_stage_row(a, 4, c)) for c in (6, 8, 16)], "c int, error double, optimum double")
+
+
+@query(" UNION ALL ".join(_two_stage_sql(r, 12, f"{r}::INT AS k") for r in (2, 3, 5)))
+def cssp_ranks(spark: SparkSession, d: str) -> DataFrame:
+    """How the error moves with the number of columns asked for; for one column the rescaled draws all tie."""
+    a = t.customer_brand(spark, d).cache()
+    return spark.createDataFrame([(r, *_two_stage_row(a, r, 12)) for r in (2, 3, 5)], "k int, error double, optimum double")
+
+
+@query(f"""WITH RECURSIVE {_basis(3)}, dr AS (SELECT col_id FROM sc ORDER BY -ln(greatest({u01_sql('col_id', 3)}, pow(2.0, -33))) / p, col_id LIMIT 10),
+sel AS (SELECT list(list_position(names, col_id) ORDER BY col_id) AS chosen FROM dr, mat), {_projected('sel')}
+SELECT len(chosen)::INT AS columns, round(error, 4) AS error, round(error / sqrt(total - list_sum(lam)), 6) AS ratio FROM out, eig, tr""")
+def cssp_more_columns(spark: SparkSession, d: str) -> DataFrame:
+    """Ten columns by leverage against the best rank-three error."""
+    a = t.customer_brand(spark, d).cache()
+    found = svd.topk(a, 3)
+    ids = [r["col_id"] for r in sample.draw(leverage.columns(found.v), 10, "exponential_keys", 3).collect()]
+    error = columns.residual(a, ids, known=found.gram)
+    return spark.createDataFrame([(len(ids), round(error, 4), round(error / found.tail(), 6))], "columns int, error double, ratio double")
+
+
+@query(f"""WITH RECURSIVE {BRAND}, {k.matrix('g')}, {k.pivots(5)},
+ch AS (SELECT names[chosen[z]] AS c, z FROM piv, mat, (SELECT unnest(range(1, 6)) AS z)),
+gs AS (SELECT list(row_ ORDER BY z) AS m FROM (SELECT x.z, list(g.s ORDER BY y.z) AS row_ FROM ch x CROSS JOIN ch y JOIN g ON g.i = x.c AND g.j = y.c GROUP BY x.z)), {k.inverse('gs', 'inv')},
+co AS (SELECT j, list(s ORDER BY z) AS b FROM g JOIN ch ON ch.c = g.i WHERE j NOT IN (SELECT c FROM ch) GROUP BY j),
+xs AS (SELECT j, list_transform(m, lambda r_: list_dot_product(r_, b)) AS x FROM co, inv),
+rows_ AS (SELECT r, list(coalesce(v, 0) ORDER BY z) AS c FROM (SELECT DISTINCT r FROM a WHERE c IN (SELECT c FROM ch)) CROSS JOIN ch LEFT JOIN a USING (r, c) GROUP BY r)
+SELECT count(*) AS entries, round(sqrt(avg((v - list_dot_product(rows_.c, x)) ** 2)), 6) AS rmse FROM a JOIN xs ON xs.j = a.c JOIN rows_ USING (r)""")
+def cssp_reconstruct(spark: SparkSession, d: str) -> DataFrame:
+    """Entries of the other columns from five chosen ones."""
+    a = t.customer_brand(spark, d).cache()
+    out = columns.reconstruct(a, columns.qr_on_matrix(a, 5))
+    return out.agg(F.count("*").alias("entries"), F.round(F.sqrt(F.avg((F.col("truth") - F.col("value")) ** 2)), 6).alias("rmse"))
+
+
+@query(f"""WITH {TERMS}, ids AS (SELECT term FROM f WHERE df < 0.5 * (SELECT m FROM m) ORDER BY df DESC, term LIMIT 24),
+x AS (SELECT doc_id, term FROM b WHERE term IN (SELECT term FROM ids)), r AS (SELECT doc_id, lang, {u01_sql('doc_id', 3)} < 0.25 AS test FROM documents),
+z AS (SELECT lang, count(*) AS n FROM r WHERE NOT test GROUP BY lang),
+mean AS (SELECT lang, term, count(*) / any_value(n) AS mean FROM x JOIN r USING (doc_id) JOIN z USING (lang) WHERE NOT test GROUP BY lang, term),
+norm AS (SELECT lang, sum(mean * mean) AS norm FROM mean GROUP BY lang),
+gap AS (SELECT r.doc_id, r.lang AS truth, norm.lang, any_value(norm) - 2 * coalesce(sum(mean), 0) AS gap FROM r CROSS JOIN norm LEFT JOIN (SELECT doc_id, lang, mean FROM x JOIN mean USING (term)) d ON d.doc_id = r.doc_id AND d.lang = norm.lang WHERE test GROUP BY ALL)
+SELECT count(*) AS rows_tested, round(avg((guess = truth)::INT), 4) AS accuracy FROM (SELECT doc_id, truth, arg_min(lang, gap) AS guess FROM gap GROUP BY ALL)""")
+def cssp_classify_terms(spark: SparkSession, d: str) -> DataFrame:
+    """Languages told by two dozen terms: nearest class mean on held-out documents."""
+    from levcut.functions.portable import u01
+
+    a = t.term_binary(spark, d).cache()
+    labels = t.doc_labels(spark, d)
+    m = labels.count()
+    df = a.groupBy("col_id").agg(F.count("*").alias("df"))
+    ids = [r["col_id"] for r in df.filter(F.col("df") < 0.5 * m).orderBy(F.desc("df"), "col_id").limit(24).collect()]
+    accuracy = columns.classify(a, ids, labels, 3)
+    return spark.createDataFrame([(labels.filter(u01("row_id", 3) < 0.25).count(), round(accuracy, 4))], "rows_tested long, accuracy double")

@@ -295,12 +295,6 @@ def cssp_bounds(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame([(k, float(v)) for k, v in columns.bounds(3, 25).items()], "bound string, factor double")
 
 
-@query()
-def cssp_reconstruct(spark: SparkSession, d: str) -> DataFrame:
-    a = t.customer_brand(spark, d).cache()
-    out = columns.reconstruct(a, columns.two_stage(a, 5))
-    return out.agg(F.count("*").alias("entries"), F.sqrt(F.avg((F.col("truth") - F.col("value")) ** 2)).alias("rmse"))
-
 
 @query()
 def cssp_classify(spark: SparkSession, d: str) -> DataFrame:

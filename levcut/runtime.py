@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import pickle
 import tempfile
+import time
+import uuid
 from collections.abc import Callable
 from dataclasses import dataclass, field
 
@@ -74,8 +76,28 @@ def bounded(df: DataFrame, most: int) -> list:
 
 @dataclass
 class Trace:
-    """What a method has cost: passes over its input, rounds, notes."""
+    """What a method has cost: wall seconds, Spark jobs, stages and tasks, and notes of its own."""
 
-    passes: int = 0
-    rounds: int = 0
+    seconds: float = 0.0
+    jobs: int = 0
+    stages: int = 0
+    tasks: int = 0
     notes: dict = field(default_factory=dict)
+
+
+def traced(spark: SparkSession, method: Callable[[], object]) -> tuple[object, Trace]:
+    """The method's result and its cost, counted over a job group of its own."""
+    context, group = spark.sparkContext, f"trace-{uuid.uuid4().hex}"
+    before = context.getLocalProperty("spark.jobGroup.id")
+    context.setLocalProperty("spark.jobGroup.id", group)
+    began = time.perf_counter()
+    try:
+        out = method()
+    finally:
+        context.setLocalProperty("spark.jobGroup.id", before)
+    seconds = time.perf_counter() - began
+    tracker = context.statusTracker()
+    jobs = tracker.getJobIdsForGroup(group)
+    stages = {s for j in jobs if (job := tracker.getJobInfo(j)) for s in job.stageIds}
+    tasks = sum(x.numCompletedTasks for s in stages if (x := tracker.getStageInfo(s)))
+    return out, Trace(seconds, len(jobs), len(stages), tasks)
