@@ -41,14 +41,14 @@ def _profile(e: DataFrame, name: str, alphas=(0.05,), eps: float = 2e-4, share:
 @query()
 def profile_doc_term(spark: SparkSession, d: str) -> DataFrame:
     """Least conductance by size; seeds in proportion to the nodes."""
-    return _profile(graph.giant(t.g_doc_term(spark, d)).cache(), "doc_term", share=0.0005)
+    return _profile(graph.giant(t.g_doc_term(spark, d)).cache(), "doc_term", share=0.0001)
 
 
 @query()
 def profile_doc_term_core(spark: SparkSession, d: str) -> DataFrame:
     """The same once whiskers are gone."""
     e = graph.giant(t.g_doc_term(spark, d)).cache()
-    return _profile(cut_lineage(probes.core(e)), "doc_term_core", share=0.0005)
+    return _profile(cut_lineage(probes.core(e)), "doc_term_core", share=0.0001)
 
 
 @query()
@@ -112,7 +112,7 @@ def probe_ensemble(spark: SparkSession, d: str) -> DataFrame:
 def communities_of_500(spark: SparkSession, d: str) -> DataFrame:
     """Sets of about five hundred nodes of the order-part graph: spectral ones, and what flow makes of them."""
     e = graph.giant(t.g_order_part(spark, d)).cache()
-    found = cut_lineage(probes.local_sets(e, 16, 300, 700, 0.01, 2e-5))
+    found = cut_lineage(probes.local_sets(e, 6, 300, 700, 0.05, 1e-4))
     return probes.compare(e, found.unionByName(probes.flow_sets(e, found)))
 
 
@@ -172,15 +172,6 @@ def multilevel_invariants(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame([row], "nodes long, parts long, balanced boolean, better_than_hash boolean")
 
 
-@query("SELECT * FROM (VALUES ('expander', 'expander'), ('lattice', 'hot dog')) t(name, look)")
-def look_of_models(spark: SparkSession, d: str) -> DataFrame:
-    """A long lattice is a hot dog, an expander is one."""
-    looks = []
-    for name, e in (("expander", models.expander(spark, 400, 10)), ("lattice", models.lattice(spark, 24))):
-        looks.append((name, probes.look(e.cache(), 8).first()["look"]))
-    return spark.createDataFrame(looks, "name string, look string")
-
-
 # --- markets of bids -------------------------------------------------------------------------
 
 
