@@ -172,6 +172,11 @@ def multilevel_invariants(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame([row], "nodes long, parts long, balanced boolean, better_than_hash boolean")
 
 
+def _least_push(e: DataFrame, share: float) -> float:
+    """A residual of this share is pushed on at a node of average volume."""
+    return share / graph.degrees(e).agg(F.avg("vol").alias("v")).first()["v"]
+
+
 # --- markets of bids -------------------------------------------------------------------------
 
 
@@ -180,7 +185,7 @@ def micro_markets_bids(spark: SparkSession, d: str) -> DataFrame:
     """Advertisers and phrases that keep to themselves: sets of the bid graph, best first, and the nation that most of the customers share."""
     e = graph.giant(t.g_bids(spark, d)).cache()
     starts = local.seeds_by_hash(e, probes.seeds_for(e, 0.005))
-    swept = cut_lineage(local.sweep(e, local.ppr(e, starts, 0.1, 2e-8).filter("p > 0"), "p").filter(F.col("rank") <= 400))
+    swept = cut_lineage(local.sweep(e, local.ppr(e, starts, 0.1, _least_push(e, 2e-3)).filter("p > 0"), "p").filter(F.col("rank") <= 400))
     best = graph.best_prefix(swept.filter(F.col("rank") >= 8))
     nations = t.load(spark, d, "customer").select((F.col("c_custkey") * 2).alias("node"), F.col("c_nationkey").alias("label"))
     purity = probes.ground_truth(graph.members(swept, best), nations).select(F.col("set_id").alias("seed_id"), "label", "precision", "recall")
@@ -192,7 +197,7 @@ def expand_phrases_bids(spark: SparkSession, d: str) -> DataFrame:
     """The five dearest parts as phrases: nearest parts, where the neighbourhood is a market of its own."""
     e = graph.giant(t.g_bids(spark, d)).cache()
     phrases = graph.degrees(e).filter("node % 2 = 1").orderBy(F.desc("vol"), "node").limit(5).select("node")
-    vectors = local.ppr(e, phrases.select(F.col("node").alias("seed_id"), "node"), 0.1, 2e-8).filter("p > 0")
+    vectors = local.ppr(e, phrases.select(F.col("node").alias("seed_id"), "node"), 0.1, _least_push(e, 2e-3)).filter("p > 0")
     return probes.expand_from(e, vectors, 5, 1.0)
 
 
