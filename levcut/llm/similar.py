@@ -9,8 +9,11 @@ the threshold shares no band with probability (1 - 0.8^6)^40, about 5e-6, a more
 similar one with less. Each candidate is then decided by its whole shingle sets.
 Equal sets are one node. Within a bucket first all members are compared with the
 one that meets the most others, so a large group of copies takes as many
-comparisons as it has members; after that every pair of a bucket that is not yet
-in one component, and whose sizes allow the similarity, is compared too.
+comparisons as it has members. What then still lies in several components is
+compared in full: small buckets as pairs, larger ones in cells of two chunks of
+bounded size, whose comparisons are made inside one task and give out links alone.
+So a large group whose members are alike but below the threshold is never
+written out as pairs: its rows are its members, once a chunk.
 
 Nulls: a null or empty text has no shingles and an empty set, like any other
 equal set. Rows with null doc_id link as in ``simhash``.
@@ -33,6 +36,10 @@ SHINGLE, SEED, SIMILAR = 5, 43, 0.8
 BANDS, ROWS = 40, 6
 #: Shingles of one numpy pass of the min-hashes.
 PIECE = 4096
+#: Buckets up to so many sets are compared as pairs of rows.
+PAIRED = 12
+#: Sets and shingles of a chunk at most, but for a set that is larger alone.
+CHUNK_SETS, CHUNK_SHINGLES = 2048, 500_000
 
 
 def shingles(text: str) -> np.ndarray:
@@ -104,7 +111,7 @@ def verified(pairs: DataFrame, sets: DataFrame, similar: float = SIMILAR) -> Dat
     return scored.filter(F.col("common") >= similar * F.col("any") - 1e-9).select("a", "b")
 
 
-def links(rows: DataFrame, similar: float = SIMILAR) -> DataFrame:
+def links(rows: DataFrame, similar: float = SIMILAR, paired: int = PAIRED) -> DataFrame:
     """fp, to: pairs of set_ids that connect all sets of at least that similarity."""
     one = rows.dropDuplicates(["set_id"])
     buckets = one.select("set_id", F.explode("keys").alias("key"))
@@ -118,12 +125,58 @@ def links(rows: DataFrame, similar: float = SIMILAR) -> DataFrame:
     tried = stored(first.select(F.least("set_id", "lead").alias("a"), F.greatest("set_id", "lead").alias("b")).distinct())
     near = stored(verified(tried, sets, similar)).toDF("fp", "to")
     roots = stored(simhash.components(near)).withColumnRenamed("fp", "set_id")
-    placed = shared.join(roots, "set_id", "left").select("key", "set_id", F.coalesce("root", "set_id").alias("root"))
+    placed = shared.join(roots, "set_id", "left").select("key", "set_id", "n", F.coalesce("root", "set_id").alias("root"))
     open_ = placed.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).filter("low != high").select("key")
     left = stored(placed.join(open_, "key"))
-    x, y = left.toDF("key", "a", "ra"), left.toDF("key", "b", "rb")
+    few = left.filter(F.col("n") <= paired).select("key", "set_id", "root")
+    x, y = few.toDF("key", "a", "ra"), few.toDF("key", "b", "rb")
     rest = x.join(y, "key").filter("a < b and ra != rb").select("a", "b").distinct().join(tried, ["a", "b"], "left_anti")
-    return near.unionByName(stored(verified(stored(rest), sets, similar)).toDF("fp", "to"))
+    pairs = near.unionByName(stored(verified(stored(rest), sets, similar)).toDF("fp", "to"))
+    return pairs.unionByName(stored(in_cells(left.filter(F.col("n") > paired), sets, similar).toDF("fp", "to").distinct()))
+
+
+def in_cells(buckets: DataFrame, sets: DataFrame, similar: float, chunk_sets: int = CHUNK_SETS, chunk_shingles: int = CHUNK_SHINGLES) -> DataFrame:
+    """a, b: the sets of one bucket but two components that are as similar as that.
+
+    buckets: key, set_id, root. A bucket is dealt over chunks by hash of the set;
+    each pair of chunks is a cell, and a set goes to every cell of its chunk.
+    """
+    sized = buckets.join(sets.select("set_id", "size"), "set_id")
+    chunks = F.greatest(F.ceil(F.count("*") / chunk_sets), F.ceil(F.sum("size") / chunk_shingles)).cast("int")
+    dealt = sized.select("key", "set_id", "root").join(sized.groupBy("key").agg(chunks.alias("chunks")), "key")
+    own = F.pmod(F.xxhash64("set_id"), F.col("chunks")).cast("int")
+    sent = dealt.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("chunks") - 1)))
+    cells = sent.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "set_id", "root", (F.col("own") <= F.col("other")).alias("first"))
+
+    def compare(table: pa.Table) -> pa.Table:
+        ids, roots, first = (table.column(c).to_numpy() for c in ("set_id", "root", "first"))
+        lists = table.column("hashes").combine_chunks()
+        ends = np.cumsum([len(x) for x in lists])
+        values = lists.flatten().to_numpy(zero_copy_only=False)
+        member = np.repeat(np.arange(len(ids)), np.diff(ends, prepend=0))
+        sizes = np.diff(ends, prepend=0)
+        order = np.argsort(values, kind="stable")
+        by_value = member[order]
+        # The run of equal shingles that each shingle of a set stands in.
+        sorted_ = values[order]
+        starts = np.searchsorted(sorted_, values, "left")
+        stops = np.searchsorted(sorted_, values, "right")
+        one_chunk = bool(first.all())
+        a, b = [], []
+        for x in np.flatnonzero(first).tolist():
+            low, high = ends[x] - sizes[x], ends[x]
+            runs = stops[low:high] - starts[low:high]
+            at = np.arange(int(runs.sum())) + np.repeat(starts[low:high] - np.cumsum(runs) + runs, runs)
+            common = np.bincount(by_value[at], minlength=len(ids))
+            hit = (common >= similar * (sizes + sizes[x] - common) - 1e-9) & (roots != roots[x])
+            hit &= (ids > ids[x]) if one_chunk else ~first
+            found = np.flatnonzero(hit)
+            a.append(np.minimum(ids[found], ids[x]))
+            b.append(np.maximum(ids[found], ids[x]))
+        none = [np.zeros(0, np.int64)]
+        return pa.table({"a": pa.array(np.concatenate(a or none)), "b": pa.array(np.concatenate(b or none))})
+
+    return cells.join(sets.select("set_id", "hashes"), "set_id").groupBy("key", "i", "j").applyInArrow(compare, "a long, b long")
 
 
 def cluster(docs: DataFrame, similar: float = SIMILAR) -> DataFrame:

@@ -67,3 +67,31 @@ def test_pairs_beyond_the_first_comparison(spark):
     group = _groups(texts)
     expected = {i: min(k for k, g in enumerate(group) if g == group[i]) for i in range(len(texts))}
     assert {r["doc_id"]: r["component_id"] for r in similar.cluster(docs).collect()} == expected
+
+
+def test_cells_give_the_links_of_all_pairs(spark):
+    rng = random.Random(8)
+    base = list(range(1, 120))
+    made = []
+    for _ in range(70):
+        copy = set(base) - set(rng.sample(base, rng.randrange(2, 16)))
+        made.append(sorted(copy | {1000 + rng.randrange(10**6) for _ in range(rng.randrange(1, 14))}))
+    roots = [rng.randrange(6) if i % 3 else 100 + i for i in range(70)]
+    buckets = spark.createDataFrame([(7, i, roots[i]) for i in range(70)] + [(8, i, roots[i]) for i in range(0, 70, 7)], "key long, set_id long, root long").repartition(3)
+    sets = spark.createDataFrame([(i, len(x), x) for i, x in enumerate(made)], "set_id long, size int, hashes array<long>").repartition(3)
+    jaccard = lambda a, b: len(set(a) & set(b)) / len(set(a) | set(b))
+    expected = {(i, j) for j in range(70) for i in range(j) if roots[i] != roots[j] and jaccard(made[i], made[j]) >= 0.8}
+    assert 20 < len(expected) < 2000
+    for chunk_sets, chunk_shingles in ((1000, 10**6), (16, 10**6), (1000, 900)):
+        got = similar.in_cells(buckets, sets, 0.8, chunk_sets, chunk_shingles)
+        assert {(r["a"], r["b"]) for r in got.collect()} == expected
+
+
+def test_pairs_and_cells_agree(spark):
+    docs = spark.createDataFrame([(i, t, "en", "a", 1) for i, t in enumerate(_texts())], SCHEMA).repartition(3)
+    rows = similar.stored(similar.sketches(docs))
+    parts = []
+    for paired in (0, 10**6):
+        roots = {r["fp"]: r["root"] for r in simhash.components(similar.stored(similar.links(rows, paired=paired))).collect()}
+        parts.append(roots)
+    assert parts[0] == parts[1]
