@@ -263,32 +263,77 @@ SIGNATURES = [
 GATE_PARTS = ["licen", "copyright", "(c)", "©", "public", "permi", "warrant", "gpl", "redistribut", "bsd", "cc0", "ed under", "commons", "able under", "subject to ", "covered by ", "governed by ", "software", "rights reserved"]
 
 
+#: Words that tell nothing.
+COMMON = set("a an and any be by for from in is it may not of on or that the this to under v version with without you your".split())
+#: Strings that an element of a pattern may have, a run of elements, and a set of keywords.
+SPELLED, RUN, LISTED = 64, 8, 24
+
+
+def rarity(text: str) -> int:
+    """Length of what is uncommon in a string; marks that prose lacks count threefold."""
+    words_ = re.findall(r"[^\W_]+", text)
+    return sum(len(x) for x in words_ if x not in COMMON) + 3 * len(re.findall(r"[^\w\s.,;'\"-]", text))
+
+
+def spellings(parsed) -> list[str] | None:
+    """All strings that a parsed pattern can match, if they are few."""
+    out = [""]
+    for op, value in parsed:
+        if op is kind.LITERAL:
+            more = [chr(value)]
+        elif op in (kind.AT, kind.ASSERT, kind.ASSERT_NOT):
+            continue
+        elif op is kind.IN and all(o is kind.LITERAL for o, _ in value):
+            more = [chr(v) for _, v in value]
+        elif op is kind.SUBPATTERN:
+            more = spellings(value[3])
+        elif op is kind.BRANCH:
+            parts = [spellings(x) for x in value[1]]
+            more = None if any(p is None for p in parts) else [y for p in parts for y in p]
+        elif op in (kind.MAX_REPEAT, kind.MIN_REPEAT) and (value[0], value[1]) == (0, 1):
+            one = spellings(value[2])
+            more = None if one is None else ["", *one]
+        else:
+            more = None
+        if more is None or len(out) * len(more) > SPELLED:
+            return None
+        out = [x + y for x in out for y in more]
+    return out
+
+
 def wanted(pattern: str) -> frozenset[str]:
     """Strings of which every match of the pattern holds at least one; empty if none is sure."""
 
+    def least(options: list[str]) -> frozenset[str]:
+        found = set(options)
+        return frozenset(x for x in found if not any(y != x and y in x for y in found))
+
     def best(options: list[frozenset[str]]) -> frozenset[str]:
-        options = [o for o in options if o]
-        return max(options, key=lambda o: (min(map(len, o)), -len(o), sorted(o)), default=frozenset())
+        options = [o for o in options if o and "" not in o and len(o) <= LISTED]
+        return max(options, key=lambda o: (min(map(rarity, o)) - 0.1 * len(o), sorted(o)), default=frozenset())
 
     def of(parsed) -> frozenset[str]:
         options: list[frozenset[str]] = []
-        run = ""
-        for op, value in parsed:
-            if op is kind.LITERAL:
-                run += chr(value)
-                continue
+        run = [""]
+        for item in parsed:
+            op, value = item
             if op in (kind.AT, kind.ASSERT, kind.ASSERT_NOT):
                 continue
-            options.append(frozenset([run] if run else []))
-            run = ""
-            if op is kind.SUBPATTERN:
-                options.append(of(value[3]))
-            elif op is kind.BRANCH:
-                branches = [of(x) for x in value[1]]
-                options.append(frozenset().union(*branches) if all(branches) else frozenset())
-            elif op in (kind.MAX_REPEAT, kind.MIN_REPEAT) and value[0]:
-                options.append(of(value[2]))
-        return best([*options, frozenset([run] if run else [])])
+            more = spellings([item])
+            if more is not None and len(run) * len(more) <= RUN:
+                run = [x + y for x in run for y in more]
+                continue
+            options.append(least(run))
+            run = more or [""]
+            if more is None:
+                if op is kind.SUBPATTERN:
+                    options.append(of(value[3]))
+                elif op is kind.BRANCH:
+                    branches = [of(x) for x in value[1]]
+                    options.append(least([y for x in branches for y in x]) if all(branches) else frozenset())
+                elif op in (kind.MAX_REPEAT, kind.MIN_REPEAT) and value[0]:
+                    options.append(of(value[2]))
+        return best([*options, least(run)])
 
     return of(parser.parse(pattern))
 
