@@ -130,3 +130,13 @@ def test_rules_pick_independent_columns():
         assert np.linalg.matrix_rank(mat[:, chosen]) == 4
     with pytest.raises(ValueError):
         qr.select(mat, 20)
+
+
+def test_hadamard_folds_what_is_past_its_size(spark):
+    from levcut.functions.portable import u01
+
+    rows = spark.range(50).select(F.col("id").alias("i"), (F.col("id") * F.col("id") % 7).cast("double").alias("x"))
+    signed = rows.select("i", (F.col("x") * F.when(u01("i", 2) < 0.5, -1.0).otherwise(1.0)).alias("s")).collect()
+    want = [sum(r["s"] * (-1) ** (i & r["i"]).bit_count() for r in signed) / 4 for i in range(16)]
+    got = {r["i"]: r["x"] for r in hadamard.transform(rows, ["x"], "i", 16, 2).collect()}
+    assert len(got) == 16 and all(abs(got[i] - want[i]) < 1e-9 for i in range(16))
