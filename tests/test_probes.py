@@ -29,3 +29,17 @@ def test_bag_of_large_whiskers_is_whole_or_refused(spark):
     assert {r["size"] for r in probes.bag(summary).collect()} == {3, 5000, 5003}
     with pytest.raises(TooLarge):
         probes.bag(summary, most_total=5000)
+
+
+def test_bag_of_many_nodes(spark):
+    """Three large whiskers and a few small ones: every total size, by trying all unions."""
+    from itertools import product
+
+    rows = [(150_000, 299_999.0)] * 3 + [(2, 3.0)] * 3 + [(3, 7.0)] * 2
+    got = {r["size"]: (r["phi"], r["whiskers"], r["vol"]) for r in probes.bag(spark.createDataFrame(rows, "size long, vol double")).collect()}
+    want = {}
+    for a, b, c in product(range(4), range(4), range(3)):
+        if j := a + b + c:
+            size, vol = 150_000 * a + 2 * b + 3 * c, 299_999 * a + 3 * b + 7 * c
+            want[size] = min(want.get(size, (9.0, 0, 0)), (j / vol, j, vol))
+    assert got == want
