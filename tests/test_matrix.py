@@ -140,3 +140,15 @@ def test_hadamard_folds_what_is_past_its_size(spark):
     want = [sum(r["s"] * (-1) ** (i & r["i"]).bit_count() for r in signed) / 4 for i in range(16)]
     got = {r["i"]: r["x"] for r in hadamard.transform(rows, ["x"], "i", 16, 2).collect()}
     assert len(got) == 16 and all(abs(got[i] - want[i]) < 1e-9 for i in range(16))
+
+
+def test_bounds_follow_the_matrix(spark, tmp_path):
+    from levcut.plans import matrix
+
+    source = "/root/testdata/sf0.001"
+    for name in ("lineitem", "orders", "part"):
+        rows = spark.read.parquet(f"{source}/{name}.parquet")
+        (rows.filter("p_brand < 'Brand#3'") if name == "part" else rows).write.parquet(f"{tmp_path}/{name}.parquet")
+    n = spark.read.parquet(f"{tmp_path}/part.parquet").select("p_brand").distinct().count()
+    got = {r["bound"]: r["factor"] for r in matrix.cssp_bounds(spark, str(tmp_path)).collect()}
+    assert 3 < n < 25 and got == columns.bounds(3, n)
