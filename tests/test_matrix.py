@@ -152,3 +152,16 @@ def test_bounds_follow_the_matrix(spark, tmp_path):
     n = spark.read.parquet(f"{tmp_path}/part.parquet").select("p_brand").distinct().count()
     got = {r["bound"]: r["factor"] for r in matrix.cssp_bounds(spark, str(tmp_path)).collect()}
     assert 3 < n < 25 and got == columns.bounds(3, n)
+
+
+def test_uniformity_transforms_the_whole_table(spark):
+    import duckdb
+
+    from levcut.plans import linear
+
+    source = "/root/testdata/sf0.1"
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW events AS SELECT * FROM '{source}/events.parquet'")
+    got = linear.hadamard_uniformity(spark, source).first()
+    assert tuple(got) == pytest.approx(con.execute(linear.ORACLES["hadamard_uniformity"]).fetchone(), abs=2e-4)
+    assert got["after"] < 0.5 * got["before"]
